@@ -3,11 +3,15 @@
 from __future__ import annotations
 
 from .decontaminate import op1_decontaminate
+from .htmlcut import op2_html
+from .lmscore import op4_lm_score
+from .media import op6_media
 from .mixing import op3_mixing
+from .pii import op9_pii
 from .shard import op10_shard
 from .simhash import op7_simhash
 from .tokencount import op5_tokens
 from .toxicity import op8_toxicity
 
-QUERIES = {f.__name__: f for f in (op1_decontaminate, op3_mixing, op5_tokens, op7_simhash, op8_toxicity, op10_shard)}
+QUERIES = {f.__name__: f for f in (op1_decontaminate, op2_html, op3_mixing, op4_lm_score, op5_tokens, op6_media, op7_simhash, op8_toxicity, op9_pii, op10_shard)}
 ORACLE_SQL: dict[str, str] = {}
