@@ -24,6 +24,7 @@ BENCHMARK_BYTES = 32 << 20
 #: Words of one shard's index.
 SHARD_WORDS = 1 << 20
 _FOLD = bytes(c + 32 if 65 <= c <= 90 else c if 48 <= c <= 57 or 97 <= c <= 122 or c >= 128 else 32 for c in range(256))
+_LOWER = {c: c + 32 for c in range(65, 91)}
 _WORD = re.compile(r"[^\x00-\x2F\x3A-\x60\x7B-\x7F]+")
 
 
@@ -44,7 +45,7 @@ def windows_of(items: list[tuple[str | None, str | None]], width: int) -> tuple[
 
 
 def _char_spans(text: str, spans: list[list[int]]) -> list[tuple[int, int]]:
-    at = [m.span() for m in _WORD.finditer(text)]
+    at = [m.span() for m in _WORD.finditer(text.translate(_LOWER))]
     return [(at[a][0], at[b - 1][1]) for a, b in spans]
 
 
