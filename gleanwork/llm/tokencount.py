@@ -19,8 +19,12 @@ from .common import map_text, table
 
 LIMIT = 2048
 CHUNK, OVERLAP, STABLE = 1 << 15, 1 << 10, 8
-#: Distinct pieces whose tokens a worker remembers.
-MEMO = 1 << 17
+#: Distinct pieces whose tokens, or their number, a worker remembers.
+MEMO = 1 << 20
+#: Pieces that go to the library in one call.
+JOINED = 4096
+_CLOSING = ".,;:!?%#$&*"
+_BLANK = {9: 32, 10: 32, 13: 32}
 _PIECE = re.compile(r"[^ \n\r\t]+")
 
 
@@ -41,37 +45,74 @@ class Encoder:
         os.environ["TOKENIZERS_PARALLELISM"] = "false"
         from tokenizers import Tokenizer
 
-        self.library, self.memo = Tokenizer.from_file(vocabulary), {}
+        self.library = Tokenizer.from_file(vocabulary)
         self.library.no_padding()
         self.library.no_truncation()
-
-    def learn(self, pieces: set[str]) -> None:
-        new = [p for p in pieces if p not in self.memo]
-        if len(self.memo) + len(new) > MEMO:
-            self.memo.clear()
-            new = list(pieces)
-        for p, e in zip(new, self.library.encode_batch(new, add_special_tokens=False)):
-            self.memo[p] = (e.ids, [b for _, b in e.offsets])
-
-    def count(self, text: str) -> int:
-        pieces = _PIECE.findall(text)
-        self.learn(set(pieces))
-        return sum(len(self.memo[p][0]) for p in pieces)
+        self.numbers: dict[str, int] = {"": 0}
+        self.tokens: dict[str, tuple[list[int], list[int]]] = {}
+
+    def _ask(self, pieces: list[str]) -> None:
+        for i in range(0, len(pieces), JOINED):
+            some = pieces[i : i + JOINED]
+            self.numbers.update(zip(some, map(len, self.library.encode_batch_fast(some, add_special_tokens=False))))
+
+    def count(self, texts: list[str]) -> list[int]:
+        """Tokens of each text. Closing punctuation after a letter or digit is looked up apart, as the splitter parts it
+        there, and an ASCII stem in lower case, as the normaliser gives it.
+        """
+        if len(self.numbers) > MEMO:
+            self.numbers = {"": 0}
+        pieces = [t.translate(_BLANK).split(" ") if "\t" in t or "\r" in t else t.replace("\n", " ").split(" ") for t in texts]
+        new: set[str] = set()
+        for p in pieces:
+            new.update(set(p).difference(self.numbers))
+        parts: dict[str, tuple[str, str]] = {}
+        whole, wanted = [], set()
+        for p in new:
+            stem = p.rstrip(_CLOSING)
+            if stem and "<|" not in p and (stem[-1].isalpha() or "0" <= stem[-1] <= "9"):
+                low = stem.lower() if stem.isascii() else stem
+                if low != p:
+                    parts[p] = (low, p[len(stem) :])
+                    wanted.update(parts[p])
+                    continue
+            whole.append(p)
+        wanted.update(whole)
+        self._ask(list(wanted.difference(self.numbers)))
+        known = self.numbers
+        for p, (stem, tail) in parts.items():
+            known[p] = known[stem] + known[tail]
+        return [sum(map(known.__getitem__, p)) for p in pieces]
 
     def encode(self, text: str) -> tuple[np.ndarray, np.ndarray]:
         """Token ids and end offsets (code points)."""
         found = list(_PIECE.finditer(text))
-        self.learn({m[0] for m in found})
+        if len(self.tokens) > MEMO >> 3:
+            self.tokens = {}
+        new = list({m[0] for m in found}.difference(self.tokens))
+        for i in range(0, len(new), JOINED):
+            for p, e in zip(new[i : i + JOINED], self.library.encode_batch(new[i : i + JOINED], add_special_tokens=False)):
+                self.tokens[p] = (e.ids, [b for _, b in e.offsets])
         ids: list[int] = []
         ends: list[int] = []
         for m in found:
-            tokens, offsets = self.memo[m[0]]
+            tokens, offsets = self.tokens[m[0]]
             ids += tokens
             start = m.start()
             ends += [start + b for b in offsets]
         return np.array(ids, np.int64), np.array(ends, np.int64)
 
 
+def encoder_of(vocabulary: str) -> Encoder:
+    """The process's encoder: it outlives a task, so that a reused worker keeps what it has learnt."""
+    import tokenizers
+
+    held = tokenizers.__dict__.setdefault("_held_encoders", {})
+    if vocabulary not in held:
+        held[vocabulary] = Encoder(vocabulary)
+    return held[vocabulary]
+
+
 def splice(text: str, left: tuple[np.ndarray, np.ndarray], right: tuple[np.ndarray, np.ndarray], low: int, high: int, stable: int) -> tuple[int, int] | None:
     """(tokens of left kept, tokens of right skipped) at the first boundary in [low, high) proven stable, or None.
 
@@ -126,10 +167,15 @@ def token_counts(docs: DataFrame, vocabulary: str | None = None, key: str = "doc
     schema = T.StructType([T.StructField("key", docs.schema[key].dataType), T.StructField("n_bytes", T.LongType()), T.StructField("n_tokens", T.LongType())])
 
     def work(blocks):
-        encoder = Encoder(path)
+        encoder = encoder_of(path)
         for (keys,), texts in blocks:
             texts = [t or "" for t in texts]
-            counts = [encoder.count(t) if len(t) <= chunk else count_long(encoder.encode, t, chunk, overlap) for t in texts]
+            short = [t for t in texts if len(t) <= chunk]
+            counted = []
+            for i in range(0, len(short), 256):
+                counted += encoder.count(short[i : i + 256])
+            of_short = iter(counted)
+            counts = [next(of_short) if len(t) <= chunk else count_long(encoder.encode, t, chunk, overlap) for t in texts]
             yield [keys, [len(t.encode("utf-8", "surrogatepass")) for t in texts], counts]
 
     return map_text(docs.select(docs[key].alias("key"), docs[text].alias("text")), ["key"], "text", schema, work).withColumnRenamed("key", key)
