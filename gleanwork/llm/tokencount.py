@@ -70,7 +70,7 @@ class Encoder:
         whole, wanted = [], set()
         for p in new:
             stem = p.rstrip(_CLOSING)
-            if stem and "<|" not in p and (stem[-1].isalpha() or "0" <= stem[-1] <= "9"):
+            if stem and "<|" not in p and (stem[-1].lower().isalpha() or "0" <= stem[-1] <= "9"):
                 low = stem.lower() if stem.isascii() else stem
                 if low != p:
                     parts[p] = (low, p[len(stem) :])
