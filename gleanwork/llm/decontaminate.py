@@ -23,6 +23,8 @@ WINDOW = 13
 BENCHMARK_BYTES = 32 << 20
 #: Words of one shard's index.
 SHARD_WORDS = 1 << 20
+#: Occurrences located at a time.
+_ROWS = 1 << 18
 _FOLD = bytes(c + 32 if 65 <= c <= 90 else c if 48 <= c <= 57 or 97 <= c <= 122 or c >= 128 else 32 for c in range(256))
 _LOWER = {c: c + 32 for c in range(65, 91)}
 _WORD = re.compile(r"[^\x00-\x2F\x3A-\x60\x7B-\x7F]+")
@@ -86,13 +88,16 @@ class _Shard:
         items: dict[int, set] = defaultdict(set)
         for width, (patterns, names) in by_length.items():
             lo, hi = index.search(patterns)
-            for k in np.flatnonzero(lo < hi).tolist():
-                for first in range(int(lo[k]), int(hi[k]), 1 << 18):
-                    places = index.locate(np.arange(first, min(int(hi[k]), first + (1 << 18))))
-                    np.add.at(marks, places, 1)
-                    np.add.at(marks, places + width, -1)
-                    for d in np.unique(owner[np.searchsorted(begin, places, "right") - 1]).tolist():
-                        items[d] |= names[k]
+            before = np.r_[0, np.cumsum(hi - lo)]
+            for start in range(0, int(before[-1]), _ROWS):
+                at = np.arange(start, min(int(before[-1]), start + _ROWS))
+                window = np.searchsorted(before, at, "right") - 1
+                places = index.locate(lo[window] + at - before[window])
+                np.add.at(marks, places, 1)
+                np.add.at(marks, places + width, -1)
+                pairs = np.unique(owner[np.searchsorted(begin, places, "right") - 1] * len(patterns) + window)
+                for d, k in zip((pairs // len(patterns)).tolist(), (pairs % len(patterns)).tolist()):
+                    items[d] |= names[k]
         covered = np.flatnonzero(np.diff(np.r_[0, (np.cumsum(marks[:-1]) > 0).astype(np.int8), 0]))
         out: dict[int, tuple[list, set]] = {}
         for a, b in zip(covered[::2].tolist(), covered[1::2].tolist()):
