@@ -2,5 +2,11 @@
 
 from __future__ import annotations
 
-QUERIES: dict = {}
-ORACLE_SQL: dict[str, str] = {}
+from . import corpus
+from .corpus import flagship  # noqa: F401
+
+_ALL: dict = {}
+for _part in (corpus,):
+    _ALL.update(_part.Q)
+QUERIES = {name: f for name, (f, _) in _ALL.items()}
+ORACLE_SQL = {name: sql for name, (_, sql) in _ALL.items() if sql}
