@@ -16,6 +16,7 @@ from dataclasses import dataclass, field
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute
 from pyspark.sql import Column, DataFrame, functions as F, types as T
 
 from .common import map_text, table
@@ -28,8 +29,8 @@ CATEGORIES = {
 }
 LAST = "toxic"
 #: Labelled texts of each kind that the models are fitted on, at most (documented bound; all else covers all rows).
-TRAIN_ROWS = 4000
-FEATURES, BUCKETS, FOLDS = 3000, 1 << 20, 5
+TRAIN_ROWS = 3000
+FEATURES, BUCKETS, FOLDS = 2500, 1 << 20, 5
 STEMS = (4, 5, 6, 7)
 _WORD = re.compile(r"\w+")
 
@@ -84,7 +85,7 @@ def _fit(x: np.ndarray, y: np.ndarray, weight: np.ndarray, l2: float = 1e-3, ste
     """Weighted logistic regression by accelerated gradient steps; the last column of x is 1 and is not shrunk."""
     w = look = np.zeros(x.shape[1], np.float32)
     share = weight / weight.sum()
-    rate = 4.0 / max(1e-6, float((share @ (x * x)).sum()))
+    rate = 4.0 / max(1e-6, float(np.einsum("i,ij,ij->", share, x, x)))
     rate = min(rate * 8, 4.0)
     shrink = np.full(x.shape[1], l2, np.float32)
     shrink[-1] = 0
@@ -121,7 +122,10 @@ def fit_chain(rows: list[tuple[np.ndarray, np.ndarray, list[int]]], names: list[
     slots[picked] = np.arange(1, len(picked) + 1)
     chain = Chain(names, slots)
     n = len(picked)
-    x = np.zeros((len(rows), n + len(names)), np.float32)  # features, earlier categories, bias
+    # Features, earlier categories (0 until they are predicted), bias. Every model is fitted on this one matrix: folds are
+    # left out by weight, so that no copy of it is made.
+    x = np.zeros((len(rows), n + len(names)), np.float32)
+    x[:, -1] = 1
     for i, (ids, counts, _) in enumerate(rows):
         cols = slots[ids]
         keep = cols > 0
@@ -129,18 +133,19 @@ def fit_chain(rows: list[tuple[np.ndarray, np.ndarray, list[int]]], names: list[
     fold = np.arange(len(rows)) % folds
     oof = np.zeros(len(rows), np.float32)
     for k in range(len(names)):
-        part = np.concatenate([x[:, : n + k], np.ones((len(rows), 1), np.float32)], axis=1)
         for f in range(folds):
             train = fold != f
             if train.any() and not train.all():
-                w = _fit(part[train], y[train, k], weight[train])
-                oof[~train] = 1 / (1 + np.exp(-np.clip(part[~train] @ w, -30, 30)))
-        chain.weights.append(_fit(part, y[:, k], weight) if len(rows) else np.r_[np.zeros(n + k), -30.0])
-        x[:, n + k] = oof
+                w = _fit(x, y[:, k], weight * train)
+                oof[~train] = 1 / (1 + np.exp(-np.clip(x[~train] @ w, -30, 30)))
+        w = _fit(x, y[:, k], weight) if len(rows) else np.r_[np.zeros(n + len(names) - 1), -30.0]
+        chain.weights.append(np.r_[w[: n + k], w[-1]])
+        if k + 1 < len(names):
+            x[:, n + k] = oof
     cuts = np.linspace(0.05, 0.95, 91)
     score = [2 * (weight * (oof >= c) * last).sum() / max(1e-9, (weight * (oof >= c)).sum() + (weight * last).sum()) for c in cuts]
     if len(rows):
-        chain.threshold = float(cuts[int(np.argmax(score))])
+        chain.threshold = float(cuts[max(i for i, s in enumerate(score) if s >= max(score) - 1e-6)])  # of equals, the strictest
     return chain
 
 
@@ -156,7 +161,7 @@ def train(docs: DataFrame, labels: DataFrame, train_rows: int = TRAIN_ROWS, key:
     picked = part[0].union(part[1])
     joined = docs.select(docs[key].alias("key"), docs[text].cast("string").alias("text")).join(F.broadcast(picked), "key").select("key", "toxic", "text")
     lists = list(CATEGORIES.values())
-    schema = T.StructType([T.StructField("key", docs.schema[key].dataType), T.StructField("ids", T.ArrayType(T.IntegerType())), T.StructField("counts", T.ArrayType(T.IntegerType())), T.StructField("y", T.ArrayType(T.IntegerType()))])
+    schema = T.StructType([T.StructField("key", docs.schema[key].dataType), T.StructField("ids", T.ArrayType(T.IntegerType())), T.StructField("counts", T.ArrayType(T.ShortType())), T.StructField("y", T.ArrayType(T.IntegerType()))])
 
     def work(blocks):
         for (keys, toxic), texts in blocks:
@@ -165,12 +170,14 @@ def train(docs: DataFrame, labels: DataFrame, train_rows: int = TRAIN_ROWS, key:
                 a, b = features(t)
                 found = set(_WORD.findall((t or "").lower()))
                 ids.append(a)
-                counts.append(b)
+                counts.append(np.minimum(b, 32767).astype(np.int16))
                 ys.append([int(bool(flag) and not found.isdisjoint(x)) for x in lists] + [int(bool(flag))])
-            yield [keys, pa.array(ids, pa.list_(pa.int32())), pa.array(counts, pa.list_(pa.int32())), ys]
+            yield [keys, pa.array(ids, pa.list_(pa.int32())), pa.array(counts, pa.list_(pa.int16())), ys]
 
-    got = map_text(joined, ["key", "toxic"], "text", schema, work).toArrow().sort_by("key")
-    rows = [(i.values.to_numpy(), c.values.to_numpy(), y.as_py()) for i, c, y in zip(got.column("ids"), got.column("counts"), got.column("y"))]
+    got = map_text(joined, ["key", "toxic"], "text", schema, work).toArrow()
+    order = pa.compute.sort_indices(got.column("key")).to_pylist()
+    ids, counts, ys = (got.column(c) for c in ("ids", "counts", "y"))
+    rows = [(ids[i].values.to_numpy(), counts[i].values.to_numpy(), ys[i].as_py()) for i in order]
     n = [sum(1 for r in rows if r[2][-1] == t) for t in (0, 1)]
     weight = np.array([sizes.get(r[2][-1], 0) / max(1, n[r[2][-1]]) for r in rows], np.float32)
     return fit_chain(rows, [*CATEGORIES, LAST], weight)
