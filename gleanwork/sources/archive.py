@@ -100,20 +100,23 @@ class ArchiveSource(DataSource):
 
 def read_archive(spark: SparkSession, path: str, snapshots: list[int] | None = None) -> DataFrame:
     """Pages of archive files. Any store that Spark reads: files come through binaryFile, one task for each."""
+    df = _records(spark.read.format("binaryFile").load(path).select("content"))
+    return df if snapshots is None else df.filter(F.col("snapshot_ix").isin(snapshots) | F.col("_corrupt").isNotNull())
+
+
+def _records(files: DataFrame) -> DataFrame:
     import pyarrow as pa
 
-    files = spark.read.format("binaryFile").load(path).select("content")
     names = [f.split()[0] for f in SCHEMA.split(", ")]
+    kinds = [pa.int64(), pa.string(), pa.string(), pa.timestamp("us", "UTC"), pa.int32(), pa.string()]
 
     def run(batches):
         for b in batches:
             for content in b.column(0):
                 rows = [r for m in members(io.BytesIO(content.as_py())) if (r := parse(m)) is not None]
-                kinds = [pa.int64(), pa.string(), pa.string(), pa.timestamp("us", "UTC"), pa.int32(), pa.string()]
                 yield pa.RecordBatch.from_arrays([pa.array([r[i] for r in rows], k) for i, k in enumerate(kinds)], names=names)
 
-    df = files.mapInArrow(run, SCHEMA)
-    return df if snapshots is None else df.filter(F.col("snapshot_ix").isin(snapshots) | F.col("_corrupt").isNotNull())
+    return files.mapInArrow(run, SCHEMA)
 
 
 def from_pages(pages: DataFrame, key: str = "page_id") -> DataFrame:
@@ -145,3 +148,20 @@ def write_archives(pages: DataFrame, folder: str, files: int = 4) -> None:
         os.rename(f"{folder}/part-{part:05d}.warc.gz.tmp", f"{folder}/part-{part:05d}.warc.gz")
 
     pages.repartition(files, "page_id").foreachPartition(run)
+
+
+def write_archive_table(pages: DataFrame, path: str) -> None:
+    """Records as gzip members in a parquet column: archives in any store that Spark writes, without a mounted folder."""
+    import pyarrow as pa
+
+    def run(batches):
+        for b in batches:
+            rows = b.to_pylist()
+            made = [write_record(r["url"], r["html"], r["page_id"], r["crawl_ts"].strftime("%Y-%m-%dT%H:%M:%SZ"), r["snapshot_ix"]) for r in rows]
+            yield pa.RecordBatch.from_arrays([pa.array(made, pa.binary())], names=["content"])
+
+    pages.select("page_id", "url", "html", "crawl_ts", "snapshot_ix").mapInArrow(run, "content binary").write.parquet(path)
+
+
+def read_archive_table(spark: SparkSession, path: str) -> DataFrame:
+    return _records(spark.read.parquet(path).select("content"))
