@@ -30,7 +30,7 @@ CATEGORIES = {
 LAST = "toxic"
 #: Labelled texts of each kind that the models are fitted on, at most (documented bound; all else covers all rows).
 TRAIN_ROWS = 3000
-FEATURES, BUCKETS, FOLDS = 2500, 1 << 20, 5
+FEATURES, BUCKETS, FOLDS = 1000, 1 << 20, 5
 STEMS = (4, 5, 6, 7)
 _WORD = re.compile(r"\w+")
 
@@ -62,6 +62,7 @@ class Chain:
 
     names: list[str]
     slots: np.ndarray
+    columns: int
     weights: list[np.ndarray] = field(default_factory=list)
     threshold: float = 0.5
 
@@ -74,14 +75,14 @@ class Chain:
     def predict(self, text: str | None) -> list[float]:
         cols, values = self.row(text)
         out: list[float] = []
-        n = int(self.slots.max())
+        n = self.columns
         for w in self.weights:
             z = float(w[cols] @ values) + float(w[n : n + len(out)] @ np.array(out)) + float(w[-1])
             out.append(1 / (1 + np.exp(-np.clip(z, -30, 30))))
         return out
 
 
-def _fit(x: np.ndarray, y: np.ndarray, weight: np.ndarray, l2: float = 1e-3, steps: int = 150) -> np.ndarray:
+def _fit(x: np.ndarray, y: np.ndarray, weight: np.ndarray, l2: float = 1e-4, steps: int = 150) -> np.ndarray:
     """Weighted logistic regression by accelerated gradient steps; the last column of x is 1 and is not shrunk."""
     w = look = np.zeros(x.shape[1], np.float32)
     share = weight / weight.sum()
@@ -120,8 +121,8 @@ def fit_chain(rows: list[tuple[np.ndarray, np.ndarray, list[int]]], names: list[
     picked = np.argsort(-gain, kind="stable")[: min(n_features, int((gain > 0).sum()))]
     slots = np.zeros(BUCKETS, np.int32)
     slots[picked] = np.arange(1, len(picked) + 1)
-    chain = Chain(names, slots)
     n = len(picked)
+    chain = Chain(names, slots, n)
     # Features, earlier categories (0 until they are predicted), bias. Every model is fitted on this one matrix: folds are
     # left out by weight, so that no copy of it is made.
     x = np.zeros((len(rows), n + len(names)), np.float32)
