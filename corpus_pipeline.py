@@ -27,23 +27,19 @@ def near_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     Documents without an id stay if no document with an id is in their component, one for each component.
     """
     found = near_duplicates(docs)
-    keep = found.filter(F.col("doc_id").eqNullSafe(F.col("component"))).groupBy("doc_id").agg(F.count("*").alias("_rows"))
-    kept = docs.join(keep.withColumnRenamed("doc_id", "_id"), docs["doc_id"].eqNullSafe(F.col("_id")))
-    return first_rows(kept, docs.columns)
-
-
-def first_rows(kept: DataFrame, columns: list[str]) -> DataFrame:
-    """Rows whose id stands alone as they are; of rows that share an id, the least by text."""
-    alone = kept.filter("_rows = 1").select(columns)
-    shared = kept.filter("_rows > 1").select(F.struct(*columns).alias("r"))
-    return alone.union(shared.groupBy("r.doc_id").agg(F.min_by("r", F.struct("r.text", F.xxhash64("r"))).alias("r")).select("r.*"))
+    keep = found.filter(F.col("doc_id").eqNullSafe(F.col("component"))).groupBy("doc_id").agg(F.count("*").alias("rows"))
+    packed = docs.select(F.struct(*docs.columns).alias("r"))
+    kept = packed.join(keep, F.col("r.doc_id").eqNullSafe(keep["doc_id"])).select("r", "rows")
+    alone, shared = kept.filter("rows = 1"), kept.filter("rows > 1")
+    one = shared.groupBy("r.doc_id").agg(F.min_by("r", F.struct("r.text", F.xxhash64("r"))).alias("r"))
+    return alone.select("r.*").union(one.select("r.*"))
 
 
 def decontaminate(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Drops documents with at least one word in twenty inside a benchmark window."""
     found = find_contamination(docs, table(spark, sf_dir, "benchmark"))
     bad = found.filter(contaminated(F.col("n_hit"), F.col("n_words"))).select(F.col("doc_id").alias("_id")).dropDuplicates()
-    return docs.join(bad, docs["doc_id"].eqNullSafe(F.col("_id")), "left_anti")
+    return docs.join(bad, docs["doc_id"].eqNullSafe(bad["_id"]), "left_anti")
 
 
 def mixing(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

@@ -52,15 +52,17 @@ def slot_of(key: Column, slots: int = SLOTS) -> Column:
 def place(df: DataFrame, key: str = "doc_id", shards: list[str] | int = SHARDS, slots: int = SLOTS, prefix: str = "") -> DataFrame:
     """df with columns <prefix>slot (long) and <prefix>shard (int).
 
-    Equal keys share a shard; null keys share one too; repeated rows stay; an empty table stays empty. A ValueError tells of
-    a column that already has one of the two names (choose a prefix). The broadcast table has exactly slots rows of 12 bytes.
+    Equal keys share a shard; null keys share one too; repeated rows stay; an empty table stays empty. A column of df that
+    already has one of the two names is replaced (choose a prefix to keep it). The broadcast table has exactly slots rows of
+    12 bytes.
     """
     names = [f"shard-{k:05d}" for k in range(shards)] if isinstance(shards, int) else list(shards)
-    if clash := {f"{prefix}slot", f"{prefix}shard"} & {c.lower() for c in df.columns}:
-        raise ValueError(f"columns {sorted(clash)} exist; give a prefix")
     filled = lookup_table(names, slots)
     lookup = df.sparkSession.createDataFrame(pa.table({f"{prefix}slot": np.arange(slots, dtype=np.int64), f"{prefix}shard": filled}))
-    return df.withColumn(f"{prefix}slot", slot_of(df[key], slots)).join(F.broadcast(lookup), f"{prefix}slot", "left").select(*df.columns, f"{prefix}slot", f"{prefix}shard")
+    kept = [c for c in df.columns if c.lower() not in (f"{prefix}slot".lower(), f"{prefix}shard".lower()) or c == key]
+    packed = df.select(F.struct(*[df[f"`{c}`"] for c in kept]).alias("_row"), slot_of(df[f"`{key}`"], slots).alias("_slot"))
+    placed = packed.join(F.broadcast(lookup.toDF("_at", "_shard")), F.col("_slot") == F.col("_at"), "left")
+    return placed.select("_row.*", F.col("_slot").alias(f"{prefix}slot"), F.col("_shard").alias(f"{prefix}shard"))
 
 
 def op10_shard(spark, sf_dir: str) -> DataFrame:
