@@ -72,14 +72,15 @@ class Chain:
         keep = cols > 0
         return cols[keep] - 1, np.log1p(counts[keep])
 
-    def predict(self, text: str | None) -> list[float]:
+    def predict(self, text: str | None) -> tuple[list[float], bool]:
+        """Probabilities of the categories, and the verdict; a text without any known feature is never rejected."""
         cols, values = self.row(text)
         out: list[float] = []
         n = self.columns
         for w in self.weights:
             z = float(w[cols] @ values) + float(w[n : n + len(out)] @ np.array(out)) + float(w[-1])
-            out.append(1 / (1 + np.exp(-np.clip(z, -30, 30))))
-        return out
+            out.append(float(1 / (1 + np.exp(-np.clip(z, -30, 30)))))
+        return out, bool(len(cols)) and out[-1] >= self.threshold
 
 
 def _fit(x: np.ndarray, y: np.ndarray, weight: np.ndarray, l2: float = 1e-4, steps: int = 150) -> np.ndarray:
@@ -187,7 +188,7 @@ def train(docs: DataFrame, labels: DataFrame, train_rows: int = TRAIN_ROWS, key:
 def score(docs: DataFrame, chain: Chain, key: str = "doc_id", text: str = "text", carry: list[str] | None = None) -> DataFrame:
     """(key, one probability for each category, toxic) for each row; carry: other columns to keep beside them.
 
-    Null and empty texts get the models' bias alone; repeated rows repeat. No shuffle.
+    Null, empty and wholly unknown texts get the models' bias alone and are not toxic; repeated rows repeat. No shuffle.
     """
     shared = docs.sparkSession.sparkContext.broadcast(chain)
     carry = carry or []
@@ -198,7 +199,7 @@ def score(docs: DataFrame, chain: Chain, key: str = "doc_id", text: str = "text"
         model = shared.value
         for cols, texts in blocks:
             p = [model.predict(t) for t in texts]
-            yield [*cols[: 1 + len(carry)], *([x[k] for x in p] for k in range(len(probs))), [x[-1] >= model.threshold for x in p]]
+            yield [*cols[: 1 + len(carry)], *([x[k] for x, _ in p] for k in range(len(probs))), [bad for _, bad in p]]
 
     if text in carry:
         raise ValueError("the text is read anyway; join it back or use keep_clean()")
@@ -214,7 +215,7 @@ def keep_clean(docs: DataFrame, chain: Chain, text: str = "text") -> DataFrame:
         import pandas as pd
 
         model = shared.value
-        return pd.Series([model.predict(t)[-1] >= model.threshold for t in texts], dtype=bool)
+        return pd.Series([model.predict(t)[1] for t in texts], dtype=bool)
 
     return docs.filter(~toxic(docs[text].cast("string")))
 
