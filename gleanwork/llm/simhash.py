@@ -106,7 +106,8 @@ def near_duplicates(docs: DataFrame, key: str = "doc_id", text: str = "text", re
     reps = members.join(classes, members["node"] == classes["fp"]).select("fp", "root", "rep")
     least = reps.groupBy("root").agg(F.min("rep").alias("least"))
     linked = members.join(least, "root").select(F.col("node").alias("fp"), "least")
-    of_class = classes.join(linked, "fp", "left").select("fp", F.coalesce("least", "rep").alias("component"))
+    # A table of its own, so that both sides of the last join are plain exchanges and a hot fingerprint can be split.
+    of_class = materialise(classes.join(linked, "fp", "left").select("fp", F.coalesce("least", "rep").alias("component")), "components")
     return fps.join(of_class, "fp").select(F.col("key").alias(key), "fp", "component")
 
 
