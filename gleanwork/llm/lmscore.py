@@ -4,9 +4,9 @@ A target model (texts labelled good) and a background model (all texts) are matc
 unigrams, one smoothing, one vocabulary. A document's score is its mean loss under the target model minus its mean loss
 under the background model; low scores are like the target.
 
-Counts cover the whole corpus. Partitions count first, a shuffle sums. What is broadcast is bounded by parameters: VOCABULARY
-words, and the bigrams of at least the count that leaves no more than BIGRAMS of them (rarer ones fall back to unigrams, in
-both models alike).
+Counts cover the whole corpus, and both models use every bigram. Partitions count first, a shuffle sums. What is broadcast is
+bounded by parameters: VOCABULARY words, and the commonest bigrams, at most BIGRAMS. The others stay a distributed table; a
+document's own, counted for each document, are joined to it. The split changes where a loss is looked up, never its value.
 """
 
 from __future__ import annotations
@@ -15,9 +15,10 @@ from collections import Counter
 
 import numpy as np
 import pyarrow as pa
+from pyspark import TaskContext
 from pyspark.sql import DataFrame, functions as F, types as T
 
-from .common import map_text, materialise, table
+from .common import map_text, materialise, table, to_arrow_schema
 from .decontaminate import words
 
 VOCABULARY, BIGRAMS = 1 << 15, 1 << 20
@@ -50,32 +51,45 @@ def _ids(known: dict[bytes, int], text: str | None) -> np.ndarray:
 
 
 class Models:
-    """Both models over one vocabulary: counts of words, and of kept bigrams by sorted key."""
+    """Both models over one vocabulary: counts of words, and of broadcast bigrams by sorted key."""
 
     def __init__(self, size: int, unigrams: np.ndarray, keys: np.ndarray, pairs: np.ndarray):
         self.size, self.keys = size, keys  # size: words and the unknown one
-        single = (unigrams + ALPHA) / (unigrams.sum(axis=1, keepdims=True) + ALPHA * size)
-        self.base = np.log((1 - LAMBDA) * single)
-        first = np.maximum(unigrams[:, keys // size], 1)
-        self.both = np.log(LAMBDA * pairs / first + (1 - LAMBDA) * single[:, keys % size]) if len(keys) else np.zeros((2, 0))
-        self.start = np.log(single)
-
-    def losses(self, ids: np.ndarray) -> tuple[float, float]:
-        """Mean loss a token under the target and the background model."""
+        self.first = np.maximum(unigrams, 1)
+        self.single = (unigrams + ALPHA) / (unigrams.sum(axis=1, keepdims=True) + ALPHA * size)
+        self.base = np.log((1 - LAMBDA) * self.single)
+        self.both = self.together(keys, pairs)
+        self.start = np.log(self.single)
+
+    def together(self, keys: np.ndarray, pairs: np.ndarray) -> np.ndarray:
+        """Log probabilities of bigrams from their counts, a row for each model."""
+        first, second = keys // self.size, keys % self.size
+        return np.log(LAMBDA * pairs / self.first[:, first] + (1 - LAMBDA) * self.single[:, second])
+
+    def gains(self, keys: np.ndarray, pairs: np.ndarray) -> np.ndarray:
+        """What bigrams add to the log probability that their second word has alone."""
+        return self.together(keys, pairs) - self.base[:, keys % self.size]
+
+    def sums(self, ids: np.ndarray) -> tuple[float, float, np.ndarray]:
+        """Log probability under the target and the background model, and the bigrams scored by their second word alone."""
         if not len(ids):
-            return 0.0, 0.0
+            return 0.0, 0.0, np.zeros(0, np.int64)
         key = ids[:-1] * self.size + ids[1:]
         at = np.minimum(np.searchsorted(self.keys, key), max(0, len(self.keys) - 1))
         held = self.keys[at] == key if len(self.keys) else np.zeros(len(key), bool)
         out = []
         for m in (0, 1):
             rest = np.where(held, self.both[m][at], self.base[m][ids[1:]]) if len(self.keys) else self.base[m][ids[1:]]
-            out.append(-(self.start[m][ids[0]] + rest.sum()) / len(ids))
-        return out[0], out[1]
+            out.append(float(self.start[m][ids[0]] + rest.sum()))
+        return out[0], out[1], key[~held]
 
 
-def train(docs: DataFrame, target: DataFrame, key: str = "doc_id", text: str = "text", size: int = VOCABULARY, bigrams: int = BIGRAMS, target_ids: int = TARGET_IDS) -> tuple[list[bytes], Models]:
-    """Fit both models; target has the keys of the target texts (column key). Null keys are never in the target."""
+def train(docs: DataFrame, target: DataFrame, key: str = "doc_id", text: str = "text", size: int = VOCABULARY, bigrams: int = BIGRAMS, target_ids: int = TARGET_IDS) -> tuple[list[bytes], Models, DataFrame | None]:
+    """Fit both models; target has the keys of the target texts (column key). Null keys are never in the target.
+
+    Gives the vocabulary, the models with at most bigrams bigrams, and what each other one adds: (gram, target, background),
+    None if there is no other.
+    """
     spark = docs.sparkSession
     listed = vocabulary(docs, text, size)
     n = len(listed) + 1
@@ -124,35 +138,81 @@ def train(docs: DataFrame, target: DataFrame, key: str = "doc_id", text: str = "
     unigrams = np.zeros((2, n))
     for r in counts.filter("gram < 0").toLocalIterator():
         unigrams[:, -1 - r["gram"]] = r["target"], r["all"]
-    least = 1
-    sizes = {r["c"]: r["n"] for r in counts.filter("gram >= 0").groupBy(F.least(F.col("all"), F.lit(1 << 16)).alias("c")).agg(F.count("*").alias("n")).collect()}
-    total = 0
+    grams, top = counts.filter("gram >= 0"), 1 << 16
+    # Counts from top on are told apart by powers of two only.
+    step = F.when(F.col("all") < top, F.col("all")).otherwise(F.pow(F.lit(2.0), F.floor(F.log2("all"))).cast("long"))
+    sizes = {r["c"]: r["n"] for r in grams.groupBy(step.alias("c")).agg(F.count("*").alias("n")).collect()}
+    least, total = 1, 0
     for c in sorted(sizes, reverse=True):
         total += sizes[c]
         if total > bigrams:
-            least = c + 1
+            least = c + 1 if c < top else 2 * c
             break
-    kept = counts.filter((F.col("gram") >= 0) & (F.col("all") >= least)).toArrow()
+    kept = grams.filter(F.col("all") >= least).toArrow()
     keys = kept.column("gram").to_numpy()
     order = np.argsort(keys)
     pairs = np.stack([kept.column("target").to_numpy()[order], kept.column("all").to_numpy()[order]]).astype(float)
-    return listed, Models(n, unigrams, keys[order], pairs)
+    models = Models(n, unigrams, keys[order], pairs)
+    if least == 1:
+        return listed, models, None
+    held = spark.sparkContext.broadcast(models)
+
+    def gains(batches):
+        for b in batches:
+            keys, target, everything = (c.to_numpy(zero_copy_only=False) for c in b.columns)
+            t, a = held.value.gains(keys, np.stack([target, everything]).astype(float))
+            yield pa.RecordBatch.from_arrays([b.column(0), pa.array(t), pa.array(a)], names=["gram", "target", "background"])
+
+    return listed, models, grams.filter(F.col("all") < least).select("gram", "target", "all").mapInArrow(gains, "gram long, target double, background double")
 
 
-def score(docs: DataFrame, listed: list[bytes], models: Models, key: str = "doc_id", text: str = "text") -> DataFrame:
+def score(docs: DataFrame, listed: list[bytes], models: Models, others: DataFrame | None = None, key: str = "doc_id", text: str = "text") -> DataFrame:
     """(key, n_tokens, target_loss, background_loss, score) for each row; null and empty texts have no tokens and score 0."""
     shared = docs.sparkSession.sparkContext.broadcast((listed, models))
-    schema = T.StructType([docs.schema[key], T.StructField("n_tokens", T.LongType()), *(T.StructField(c, T.DoubleType()) for c in ("target_loss", "background_loss", "score"))])
+    many, others_joined = T.ArrayType(T.LongType()), others is not None
+    schema = T.StructType([T.StructField("key", docs.schema[key].dataType), T.StructField("n_tokens", T.LongType()), T.StructField("target", T.DoubleType()), T.StructField("background", T.DoubleType())])
+    if others_joined:
+        for c, kind in (("row", T.LongType()), ("grams", many), ("times", many)):
+            schema = schema.add(c, kind)
 
     def work(blocks):
         found, m = shared.value
         known = {w: i for i, w in enumerate(found)}
+        row = TaskContext.get().partitionId() << 40
         for (keys,), texts in blocks:
-            ids = [_ids(known, t) for t in texts]
-            pairs = [m.losses(i) for i in ids]
-            yield [keys, [len(i) for i in ids], [p[0] for p in pairs], [p[1] for p in pairs], [p[0] - p[1] for p in pairs]]
-
-    return map_text(docs, [key], text, schema, work)
+            lengths, sums, grams, times = [], [], [], []
+            for t in texts:
+                ids = _ids(known, t)
+                *logs, rest = m.sums(ids)
+                lengths.append(len(ids))
+                sums.append(logs)
+                if others_joined:
+                    g, c = np.unique(rest, return_counts=True)
+                    grams.append(g)
+                    times.append(c)
+            cols = [keys, lengths, [x[0] for x in sums], [x[1] for x in sums]]
+            if others_joined:
+                cols += [np.arange(row, row + len(keys)), _lists(grams), _lists(times)]
+                row += len(keys)
+            yield cols
+
+    out = map_text(docs.select(docs[key].alias("key"), docs[text].alias("text")), ["key"], "text", schema, work)
+    target, background = F.col("target"), F.col("background")
+    if others_joined:
+        # Written, so that every use sees the same row numbers.
+        out = materialise(out, "scored")
+        each = out.select("row", F.explode(F.arrays_zip("grams", "times")).alias("g")).select("row", F.col("g.grams").alias("gram"), F.col("g.times").alias("times"))
+        added = each.join(others, "gram").groupBy("row").agg(F.sum(F.col("times") * target).alias("t"), F.sum(F.col("times") * background).alias("b"))
+        out = out.drop("grams", "times").join(added, "row", "left")
+        target, background = target + F.coalesce("t", F.lit(0.0)), background + F.coalesce("b", F.lit(0.0))
+    loss = lambda total: F.when(F.col("n_tokens") > 0, -total / F.col("n_tokens")).otherwise(0.0)
+    out = out.select(F.col("key").alias(key), "n_tokens", loss(target).alias("target_loss"), loss(background).alias("background_loss"))
+    return out.withColumn("score", F.col("target_loss") - F.col("background_loss"))
+
+
+def _lists(parts: list[np.ndarray]) -> pa.Array:
+    ends = np.cumsum([0, *map(len, parts)]).astype(np.int32)
+    return pa.ListArray.from_arrays(pa.array(ends), pa.array(np.concatenate([np.zeros(0, np.int64), *parts]).astype(np.int64)), type=to_arrow_schema(T.StructType([T.StructField("x", T.ArrayType(T.LongType()))])).field(0).type)
 
 
 def op4_lm_score(spark, sf_dir: str) -> DataFrame:
