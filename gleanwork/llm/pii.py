@@ -1,8 +1,9 @@
 """Personal data: exact base patterns, and a character-level BiLSTM-CRF that adds what they miss.
 
 The tagger is trained in numpy on labelled spans that a generator writes (addresses, numbers and keys in many spellings,
-inside carrier words, with look-alikes that are not personal data). Every span it can add has a digit or an at sign, so it
-reads the surroundings of every such character of the whole text, in overlapping windows; where windows overlap, their
+inside carrier words, with look-alikes that are not personal data). Every span it can add has a digit, an at sign or
+the written form of one ("(at)", "[at]"; see _plausible), so it reads the surroundings of each of these in the whole text, out
+to the ends of the tokens there, in overlapping windows; where windows overlap, their
 emissions are averaged, weighted to a window's middle, and one Viterbi pass decodes the whole stretch.
 """
 
@@ -30,7 +31,8 @@ TAGS = 1 + 2 * len(KINDS)
 WINDOW, OVERLAP, MARGIN = 96, 48, 40
 TRAIN_TEXTS, EPOCHS, BATCH, RATE = 1500, 14, 48, 0.012
 _DIGIT = re.compile(r"[0-9]")
-_TRIGGER = re.compile(r"[0-9@]+")
+_TRIGGER = re.compile(r"[0-9@]+|\((?:at|dot)\)|\[(?:at|dot)\]")
+_REST = re.compile(r"\S*")
 
 
 def luhn(digits: str) -> bool:
@@ -160,10 +162,13 @@ def default_tagger() -> Tagger:
 
 
 def stretches(text: str) -> list[tuple[int, int]]:
-    """Merged surroundings of every digit and at sign."""
+    """Merged surroundings of every digit, at sign and written at or dot; none cuts a token."""
     out: list[list[int]] = []
     for m in _TRIGGER.finditer(text):
-        a, b = max(0, m.start() - MARGIN), min(len(text), m.end() + MARGIN)
+        a, b, seen = max(0, m.start() - MARGIN), min(len(text), m.end() + MARGIN), out[-1][1] if out else 0
+        while a > seen and not text[a - 1].isspace():
+            a -= 1
+        b = _REST.match(text, b).end() if b > seen else seen
         if out and a <= out[-1][1]:
             out[-1][1] = b
         else:

@@ -1,9 +1,9 @@
-"""Nothing of the input is left out: bigrams beyond the broadcast ones."""
+"""Nothing of the input is left out: bigrams beyond the broadcast ones, addresses without an at sign."""
 
 import math
 from collections import Counter
 
-from gleanwork.llm import lmscore
+from gleanwork.llm import lmscore, pii
 
 
 def brute_losses(texts, good, size):
@@ -44,3 +44,14 @@ def test_language_model_uses_every_bigram(spark):
     new = spark.createDataFrame([(1, "w1 w22 w1 zz")], "doc_id long, text string")
     one, two = (lmscore.score(new, *lmscore.train(df, target, bigrams=n)).first() for n in (1 << 20, 0))
     assert all(math.isclose(one[c], two[c], abs_tol=1e-9) for c in ("target_loss", "background_loss", "score"))
+
+
+def test_addresses_without_digit_or_at_sign(spark):
+    texts = ["write to jane.doe (at) host.org", "x " * 400 + "contact: bob.smith[at]example.com, or call" + " y" * 400, "write to the host"]
+    rows = {r["doc_id"]: r for r in pii.find_pii(spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string"), pii.default_tagger()).collect()}
+    found = [[(s["kind"], t[s["start"] : s["end"]]) for s in rows[i]["spans"]] for i, t in enumerate(texts)]
+    assert found == [[("email", "jane.doe (at) host.org")], [("email", "bob.smith[at]example.com")], []]
+    # A stretch cuts no token, and stretches do not overlap.
+    text = "q " * 50 + "u" * 90 + "[at]" + "h" * 90 + ".org " + "q " * 50 + "k" * 70 + "123" + "k" * 70
+    where = pii.stretches(text)
+    assert [text[a:b].strip(" q") for a, b in where] == ["u" * 90 + "[at]" + "h" * 90 + ".org", "k" * 70 + "123" + "k" * 70]
