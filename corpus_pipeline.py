@@ -21,25 +21,36 @@ def toxicity(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     return keep_clean(docs, train(docs, table(spark, sf_dir, "labels")))
 
 
+def identified(docs: DataFrame) -> DataFrame:
+    """(r, row): each row of docs as a struct, and 128 bits of hash over all its columns and which of them are null."""
+    parts = [x for c in docs.columns for x in (F.col(f"r.`{c}`").isNull(), F.col(f"r.`{c}`"))]
+    half = lambda seed: F.lpad(F.hex(F.xxhash64(F.lit(seed), *parts)), 16, "0")
+    return docs.select(F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("r")).select("r", F.concat(half(1), half(2)).alias("row"))
+
+
 def near_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Keeps of each component the document with the least doc_id; of rows that repeat a doc_id, one.
+    """Keeps of each component one row: one with the least doc_id.
 
-    Documents without an id stay if no document with an id is in their component, one for each component.
+    A row without an id stays if no row with an id is in its component. Rows of one doc_id in several components are as many
+    documents. Rows are told apart by all their columns.
     """
-    found = near_duplicates(docs)
-    keep = found.filter(F.col("doc_id").eqNullSafe(F.col("component"))).groupBy("doc_id").agg(F.count("*").alias("rows"))
-    packed = docs.select(F.struct(*docs.columns).alias("r"))
-    kept = packed.join(keep, F.col("r.doc_id").eqNullSafe(keep["doc_id"])).select("r", "rows")
-    alone, shared = kept.filter("rows = 1"), kept.filter("rows > 1")
-    one = shared.groupBy("r.doc_id").agg(F.min_by("r", F.struct("r.text", F.xxhash64("r"))).alias("r"))
+    rows = identified(docs)
+    found = near_duplicates(rows.select("row", F.col("r.doc_id").alias("doc_id"), F.col("r.text").alias("text")), row="row")
+    alike = found.groupBy("root", "doc_id", "row").agg(F.count("*").alias("n"))
+    first = F.struct(F.col("doc_id").isNull(), "doc_id", "row")
+    keep = alike.groupBy("root").agg(F.min_by(F.struct("row", "n"), first).alias("k")).select(F.col("k.row").alias("kept"), F.col("k.n").alias("n"))
+    kept = rows.join(keep, rows["row"] == keep["kept"]).select("r", "row", "n")
+    alone, shared = kept.filter("n = 1"), kept.filter("n > 1")
+    one = shared.groupBy("row").agg(F.first("r").alias("r"))
     return alone.select("r.*").union(one.select("r.*"))
 
 
 def decontaminate(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Drops documents with at least one word in twenty inside a benchmark window."""
-    found = find_contamination(docs, table(spark, sf_dir, "benchmark"))
-    bad = found.filter(contaminated(F.col("n_hit"), F.col("n_words"))).select(F.col("doc_id").alias("_id")).dropDuplicates()
-    return docs.join(bad, docs["doc_id"].eqNullSafe(bad["_id"]), "left_anti")
+    """Drops rows with at least one word in twenty inside a benchmark window; other rows of the same doc_id stay."""
+    rows = identified(docs)
+    found = find_contamination(rows.select("row", F.col("r.text").alias("text")), table(spark, sf_dir, "benchmark"), key="row")
+    bad = found.filter(contaminated(F.col("n_hit"), F.col("n_words"))).select(F.col("row").alias("bad")).dropDuplicates()
+    return rows.join(bad, rows["row"] == bad["bad"], "left_anti").select("r.*")
 
 
 def mixing(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

@@ -50,15 +50,16 @@ def fingerprint(text: str | None, width: int = SHINGLE) -> int:
     return int(np.packbits(bits, bitorder="little").view(np.int64)[0])
 
 
-def fingerprints(docs: DataFrame, key: str = "doc_id", text: str = "text", width: int = SHINGLE) -> DataFrame:
-    """(key, fp long) for each row; null and empty texts have fingerprint 0."""
-    schema = T.StructType([T.StructField("key", docs.schema[key].dataType), T.StructField("fp", T.LongType())])
+def fingerprints(docs: DataFrame, key: str = "doc_id", text: str = "text", width: int = SHINGLE, row: str | None = None) -> DataFrame:
+    """(key, row where asked for, fp long) for each row; null and empty texts have fingerprint 0."""
+    named = {"key": key, "row": row} if row else {"key": key}
+    schema = T.StructType([*(T.StructField(name, docs.schema[c].dataType) for name, c in named.items()), T.StructField("fp", T.LongType())])
 
     def work(blocks):
-        for (keys,), texts in blocks:
-            yield [keys, pa.array([fingerprint(t, width) for t in texts], pa.int64())]
+        for carried, texts in blocks:
+            yield [*carried, pa.array([fingerprint(t, width) for t in texts], pa.int64())]
 
-    return map_text(docs.select(docs[key].alias("key"), docs[text].alias("text")), ["key"], "text", schema, work)
+    return map_text(docs.select(*(docs[c].alias(name) for name, c in named.items()), docs[text].alias("text")), list(named), "text", schema, work)
 
 
 def class_links(classes: DataFrame, reach: int = REACH, min_shards: int = MIN_SHARDS, shard_classes: int = SHARD_CLASSES, sample: int = SAMPLE) -> DataFrame:
@@ -93,22 +94,25 @@ def class_links(classes: DataFrame, reach: int = REACH, min_shards: int = MIN_SH
     return sent.groupBy("leaf").applyInArrow(solve, "a long, b long")
 
 
-def near_duplicates(docs: DataFrame, key: str = "doc_id", text: str = "text", reach: int = REACH, width: int = SHINGLE, **router) -> DataFrame:
+def near_duplicates(docs: DataFrame, key: str = "doc_id", text: str = "text", reach: int = REACH, width: int = SHINGLE, row: str | None = None, **router) -> DataFrame:
     """(key, fp, component) for each input row; component is the least key that links of fingerprints reach.
 
+    With row, a column that tells rows apart, also that column as row, and root: one fingerprint for each component, which tells
+    components apart whose least keys are equal or null.
+
     Texts that are null, empty or without words share fingerprint 0 and link like others. Repeated rows give repeated rows.
     A null key never names a component unless all its keys are null. An empty table gives no rows. Every link of every
     size of group is followed; only classes of equal fingerprints are compared, never their members.
     """
-    fps = materialise(fingerprints(docs, key, text, width), "fingerprints")
+    fps = materialise(fingerprints(docs, key, text, width, row), "fingerprints")
     classes = materialise(fps.groupBy("fp").agg(F.min("key").alias("rep")), "classes")
     members = materialise(connected_components(class_links(classes, reach, **router)), "members")
     reps = members.join(classes, members["node"] == classes["fp"]).select("fp", "root", "rep")
     least = reps.groupBy("root").agg(F.min("rep").alias("least"))
-    linked = members.join(least, "root").select(F.col("node").alias("fp"), "least")
+    linked = members.join(least, "root").select(F.col("node").alias("fp"), "root", "least")
     # A table of its own, so that both sides of the last join are plain exchanges and a hot fingerprint can be split.
-    of_class = materialise(classes.join(linked, "fp", "left").select("fp", F.coalesce("least", "rep").alias("component")), "components")
-    return fps.join(of_class, "fp").select(F.col("key").alias(key), "fp", "component")
+    of_class = materialise(classes.join(linked, "fp", "left").select("fp", F.coalesce("root", "fp").alias("root"), F.coalesce("least", "rep").alias("component")), "components")
+    return fps.join(of_class, "fp").select(F.col("key").alias(key), "fp", "component", *(["row", "root"] if row else []))
 
 
 def op7_simhash(spark, sf_dir: str) -> DataFrame:

@@ -1,8 +1,9 @@
-"""Nothing of the input is left out: bigrams beyond the broadcast ones, addresses without an at sign."""
+"""Nothing of the input is left out: bigrams beyond the broadcast ones, addresses without an at sign, rows that share an id or have none."""
 
 import math
 from collections import Counter
 
+import corpus_pipeline
 from gleanwork.llm import lmscore, pii
 
 
@@ -55,3 +56,21 @@ def test_addresses_without_digit_or_at_sign(spark):
     text = "q " * 50 + "u" * 90 + "[at]" + "h" * 90 + ".org " + "q " * 50 + "k" * 70 + "123" + "k" * 70
     where = pii.stretches(text)
     assert [text[a:b].strip(" q") for a, b in where] == ["u" * 90 + "[at]" + "h" * 90 + ".org", "k" * 70 + "123" + "k" * 70]
+
+
+def words_of(seed):
+    return " ".join(f"w{(seed * 7919 + k * k * (seed + 3)) % 997}" for k in range(60))
+
+
+def test_rows_of_one_id_are_decided_one_by_one(spark, data):
+    stages = dict(corpus_pipeline.STAGES)
+    a, b, c, d, e = (words_of(i) for i in range(5))
+    rows = [(None, a, "x"), (None, b, "x"), (None, b, "x"), (1, c, "x"), (None, c, "x"), (7, d, "x"), (7, e, "x"), (7, e, None), (8, e, "x"), (2, None, None), (None, None, "x")]
+    kept = stages["near_dedup"](spark, spark.createDataFrame(rows, "doc_id long, text string, source string"), data).collect()
+    assert sorted((r["doc_id"] or 0, r["text"] or "") for r in kept) == sorted([(0, a), (0, b), (1, c), (7, d), (7, e), (2, "")])
+    # Null columns tell rows apart.
+    assert corpus_pipeline.identified(spark.createDataFrame([(1, "y", None), (1, None, "y")], "doc_id long, text string, source string")).select("row").distinct().count() == 2
+    passage = spark.read.parquet(f"{data}/benchmark.parquet").filter("length(text) > 100").first()["text"]
+    rows = [(None, passage), (None, a), (None, a), (5, passage), (5, b), (6, None)]
+    clean = stages["decontamination"](spark, spark.createDataFrame(rows, "doc_id long, text string"), data).collect()
+    assert sorted((r["doc_id"] or 0, r["text"] or "") for r in clean) == sorted([(0, a), (0, a), (5, b), (6, "")])
