@@ -364,6 +364,12 @@ def w27(spark, d):
     return metrics.stage_sizes([("raw", docs), ("quality", pipeline.quality_stage(docs, MILD, with_repetition=False))]).drop("ix")
 
 
+@query("w27b_quality_stage_whole")
+def w27b(spark, d):
+    docs = table(spark, d, "documents")
+    return metrics.stage_sizes([("raw", docs), ("quality", pipeline.quality_stage(docs, MILD))]).drop("ix")
+
+
 # ---------------------------------------------------------------- deduplication
 SHINGLES_SQL = "(SELECT DISTINCT doc_id, ('0x' || substr(md5(g), 1, 7))::BIGINT AS h FROM (SELECT doc_id, substring(text, i::INT, 5) AS g FROM (SELECT doc_id, text, unnest(range(1, greatest(length(text) - 4, 1) + 1)) AS i FROM documents WHERE length(text) > 0)))"
 
@@ -599,6 +605,21 @@ def w45b(spark, d):
     return pipeline.run(crawled(spark, d), MILD, stages=("quality", "dedup", "clean"), save_stages=True).funnel
 
 
+def whole(df: DataFrame, key: str, host: str, blocklist_of) -> list[tuple[str, DataFrame]]:
+    """Every stage with nothing reduced: rules and repetition, the printed 20 x 40 hashes, hosts, cleaning."""
+    q = dedup.save(pipeline.quality_stage(df, MILD, key), "quality")
+    dd = dedup.save(dedup.run(q, minhash.BANDS, minhash.ROWS, key=key), "dedup")
+    h = hosts.apply(dd, blocklist_of(dd), host)
+    return [("quality", q), ("dedup", dd), ("hosts", h), ("clean", normalize.run(h))]
+
+
+@query("w45c_funnel_whole")
+def w45c(spark, d):
+    docs = crawled(spark, d)
+    listed = lambda dd: hosts.term_page_share(dd, SITE_TERMS, "source").filter("share > 0.02")
+    return metrics.funnel_ratios(metrics.stage_sizes([("raw", docs), *whole(docs, "doc_id", "source", listed)]))
+
+
 @query("w46_pages_pipeline", f"""WITH v AS (SELECT * FROM {VIEW_SQL} WHERE {either_sql('fr')}), x AS (SELECT page_id, {HOST_SQL} AS host, {MAIN_SQL} AS text FROM v), p AS (SELECT * FROM x WHERE {score_sql('text', 'fr')} > 0.05), q AS (SELECT * FROM p WHERE NOT {mild_flags('text')}),
   h AS (SELECT * FROM q WHERE host NOT IN (SELECT host FROM {BLOCK_SQL} WHERE len(reasons) > 0))
   SELECT 0 AS ix, 'gate' AS stage, count(*) AS pages, coalesce(sum(length(text)), 0)::BIGINT AS chars FROM x UNION ALL SELECT 1, 'precise', count(*), coalesce(sum(length(text)), 0)::BIGINT FROM p UNION ALL SELECT 2, 'quality', count(*), coalesce(sum(length(text)), 0)::BIGINT FROM q UNION ALL SELECT 3, 'hosts', count(*), coalesce(sum(length(text)), 0)::BIGINT FROM h UNION ALL SELECT 4, 'clean', count(*), coalesce(sum(length({footer_sql(punct_sql('text'))})), 0)::BIGINT FROM h""")
@@ -611,6 +632,15 @@ def w46(spark, d):
     return metrics.stage_sizes([("gate", x), ("precise", p), ("quality", q), ("hosts", h), ("clean", normalize.run(h))])
 
 
+@query("w46d_pages_pipeline_whole")
+def w46d(spark, d):
+    ix, when = dedup.recency(F.col("page_id"))
+    v = gate.gate_view(table(spark, d, "pages")).withColumns({"host": hosts.host_of(F.col("url")), "crawl_ts": when})
+    x = gate.rapid_gate(v, "fr").withColumn("text", htmltext.extract_main_text(F.col("html"))).drop("html")
+    p = x.filter(langid.is_target(F.col("text"), "fr"))
+    return metrics.stage_sizes([("gate", x), ("precise", p), *whole(p, "page_id", "host", lambda dd: block(spark, hosted(spark, d)))])
+
+
 @query("w46b_gate_off", f"SELECT page_id FROM {VIEW_SQL} WHERE {score_sql(MAIN_SQL, 'fr')} > 0.05")
 def w46b(spark, d):
     return pipeline.extract_stage(gate.gate_view(table(spark, d, "pages")), "fr", "off").select("page_id")
