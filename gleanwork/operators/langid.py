@@ -7,6 +7,7 @@ SQL as oracle), and weights trained on hashed character n-grams (a trained model
 from __future__ import annotations
 
 import zlib
+from collections import Counter
 from dataclasses import dataclass
 
 import numpy as np
@@ -17,7 +18,7 @@ from ..functions import textstats as ts
 from ..profiles import FUNCTION_WORDS
 
 THRESHOLD = 0.05
-BITS, CAP, TRAIN_ROWS = 18, 10_000, 5_000
+BITS, TRAIN_ROWS = 18, 5_000
 
 
 def own_words(code: str) -> list[str]:
@@ -56,15 +57,15 @@ def _hits(w: Column, listed: list[str]) -> Column:
 
 
 def ngram_counts(text: str) -> dict[int, float]:
-    """Hashed counts of character 1- to 3-grams of the lower-cased first CAP characters, L2-normalised."""
-    t = " " + (text or "")[:CAP].lower() + " "
+    """Hashed counts of character 1- to 3-grams of the whole lower-cased text, L2-normalised."""
+    t = " " + (text or "").lower() + " "
     if len(t) == 2:
         return {}
     counts: dict[int, float] = {}
     for n in (1, 2, 3):
-        for i in range(len(t) - n + 1):
-            h = zlib.crc32(t[i : i + n].encode("utf-8", "surrogatepass")) & ((1 << BITS) - 1)
-            counts[h] = counts.get(h, 0.0) + 1.0
+        for gram, m in Counter(map("".join, zip(*(t[i:] for i in range(n))))).items():
+            h = zlib.crc32(gram.encode("utf-8", "surrogatepass")) & ((1 << BITS) - 1)
+            counts[h] = counts.get(h, 0.0) + m
     norm = sum(v * v for v in counts.values()) ** 0.5
     return {k: v / norm for k, v in counts.items()}
 
@@ -83,7 +84,7 @@ class LangModel:
 
 def train(df: DataFrame, label: Column, key: str = "doc_id", text: str = "text", rows: int = TRAIN_ROWS, epochs: int = 12) -> LangModel:
     """Logistic regression on at most rows labelled texts picked by a hash of the key; threshold of maximal F1 on a fifth."""
-    picked = df.select(F.substring(text, 1, CAP).alias("t"), label.cast("int").alias("y"), F.xxhash64(key).alias("h")).filter("t IS NOT NULL AND y IS NOT NULL").orderBy("h", "t").limit(rows).toArrow()
+    picked = df.select(F.col(text).cast("string").alias("t"), label.cast("int").alias("y"), F.xxhash64(key).alias("h")).filter("t IS NOT NULL AND y IS NOT NULL").orderBy("h", "t").limit(rows).toArrow()
     data = [(np.array(list(f), np.int64), np.array(list(f.values())), y) for t, y in zip(picked.column("t").to_pylist(), picked.column("y").to_pylist()) if (f := ngram_counts(t))]
     w = np.zeros((1 << BITS) + 1)
     fit, held = [d for i, d in enumerate(data) if i % 5], [d for i, d in enumerate(data) if i % 5 == 0]
@@ -123,11 +124,10 @@ def naive_bayes(train_df: DataFrame, df: DataFrame, label: str = "lang", key: st
         starts = F.sequence(F.lit(1), F.greatest(F.length("_t") - (n - 1), F.lit(1)))
         return ts.hold(d, _t=F.lower(F.col(text))).select(*cols, F.explode(F.transform(starts, lambda i: F.substring(F.col("_t"), i, F.lit(n)))).alias("g"))
 
-    short = train_df.select(label, F.substring(text, 1, CAP // 5).alias(text))
-    counts = grams(short, label).groupBy(label, "g").agg(F.count("*").alias("c"))
+    counts = grams(train_df.select(label, text), label).groupBy(label, "g").agg(F.count("*").alias("c"))
     totals = counts.groupBy(label).agg(F.sum("c").alias("total"))
     vocabulary = counts.select("g").distinct().count()
     model = counts.select("g").distinct().crossJoin(F.broadcast(totals)).join(counts, [label, "g"], "left").select(label, "g", F.log((F.coalesce("c", F.lit(0)) + k) / (F.col("total") + k * vocabulary)).alias("lp"))
-    doc = grams(df.select(key, F.substring(text, 1, CAP // 5).alias(text)), key).groupBy(key, "g").agg(F.count("*").alias("m"))
+    doc = grams(df.select(key, text), key).groupBy(key, "g").agg(F.count("*").alias("m"))
     scored = doc.join(model, "g").groupBy(key, label).agg(F.sum(F.col("m") * F.col("lp")).alias("s"))
     return scored.groupBy(key).agg(F.max_by(label, F.struct("s", label)).alias("predicted"))
