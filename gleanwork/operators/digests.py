@@ -93,3 +93,33 @@ def cosine(x: Column, y: Column) -> Column:
     dot = F.aggregate(F.zip_with(x, y, lambda p, q: p.cast("double") * q.cast("double")), F.lit(0.0), lambda s, v: s + v)
     norm = lambda v: F.sqrt(F.aggregate(v, F.lit(0.0), lambda s, e: s + e.cast("double") * e.cast("double")))
     return dot / (norm(x) * norm(y))
+
+
+def close_pairs(df: DataFrame, least: float, key: str = "vec_id", vector: str = "embedding", block: int = 2048) -> DataFrame:
+    """(a, b, cosine), a < b, of all pairs of cosine least or more. Exact: every block of vectors meets every other.
+
+    The work grows with the square of the vectors, and each vector is sent once for each block. Null and zero vectors have no pair.
+    """
+    blocks = max(1, -(-df.count() // block))
+    mine = F.pmod(F.xxhash64(key), F.lit(blocks))
+    rows = df.filter(F.col(vector).isNotNull() & F.col(key).isNotNull()).select(F.col(key).alias("id"), F.col(vector).cast("array<double>").alias("v"), mine.alias("at"))
+    sent = rows.select("id", "v", "at", F.explode(F.sequence(F.lit(0), F.lit(blocks - 1))).alias("other"))
+    sent = sent.select("id", "v", "at", F.least("at", "other").alias("i"), F.greatest("at", "other").alias("j"))
+    kind = df.schema[key].dataType
+    schema = T.StructType([T.StructField("a", kind), T.StructField("b", kind), T.StructField("cosine", T.DoubleType())])
+
+    def solve(t: pa.Table) -> pa.Table:
+        i, j = t.column("i")[0].as_py(), t.column("j")[0].as_py()
+        at, ids = t.column("at").to_numpy(), t.column("id").to_numpy()
+        v = np.array(t.column("v").to_pylist(), float)
+        norm = np.sqrt((v * v).sum(axis=1))
+        ids, at, v = ids[norm > 0], at[norm > 0], v[norm > 0] / norm[norm > 0, None]
+        left, right = np.flatnonzero(at == i), np.flatnonzero(at == j)
+        c = v[left] @ v[right].T
+        x, y = np.nonzero(c >= least)
+        a, b, c = ids[left[x]], ids[right[y]], c[x, y]
+        # Inside a block each pair is met from both sides.
+        keep = a < b if i == j else a != b
+        return pa.table({"a": np.minimum(a, b)[keep], "b": np.maximum(a, b)[keep], "cosine": c[keep]})
+
+    return sent.groupBy("i", "j").applyInArrow(solve, schema)

@@ -317,6 +317,11 @@ def w76(spark, d):
     return j.filter("cosine >= 0.9").select("a", "b", F.round("cosine", 5).alias("cosine"))
 
 
+@query("w76b_embedding_near_dup_whole")
+def w76b(spark, d):
+    return digests.close_pairs(table(spark, d, "embeddings"), 0.9).select("a", "b", F.round("cosine", 5).alias("cosine"))
+
+
 TURNS = "(SELECT conv_id, turn, text AS gold, lead(text) OVER (PARTITION BY conv_id ORDER BY turn) AS pred FROM conversations)"
 
 
