@@ -13,9 +13,15 @@ TITLE = r"(?is)<title[^>]*>(.*?)</title>"
 ENTITIES = [("&lt;", "<"), ("&gt;", ">"), ("&quot;", '"'), ("&#39;", "'"), ("&nbsp;", " "), ("&amp;", "&")]
 
 
+def _early(html: Column, size: int, whole: str, pattern: str) -> Column:
+    """Group 1 of pattern in the first size characters if these hold the whole element, else in the whole page."""
+    head = F.substring(html, 1, size)
+    return F.when(head.rlike(whole), F.regexp_extract(head, pattern, 1)).otherwise(F.regexp_extract(html, pattern, 1))
+
+
 def declared_language(html: Column) -> Column:
     """Primary subtag of the lang attribute of the html element, lower-cased; empty if there is none."""
-    return F.lower(F.regexp_extract(F.substring(html, 1, HEAD), LANG, 1))
+    return F.lower(_early(html, HEAD, r"(?i)<html\b[^>]*>", LANG))
 
 
 def declares_language(html: Column, code: str) -> Column:
@@ -30,7 +36,7 @@ def decode(text: Column) -> Column:
 
 def title(html: Column) -> Column:
     """Text of the first title element, decoded, white space as one space; empty if missing."""
-    return F.trim(F.regexp_replace(decode(F.regexp_extract(F.substring(html, 1, TITLE_HEAD), TITLE, 1)), r"[ \t\r\n]+", " "))
+    return F.trim(F.regexp_replace(decode(_early(html, TITLE_HEAD, TITLE, TITLE)), r"[ \t\r\n]+", " "))
 
 
 def title_matches(html: Column, code: str, threshold: float = langid.THRESHOLD) -> Column:
