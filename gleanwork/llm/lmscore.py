@@ -22,8 +22,9 @@ from .common import map_text, materialise, table, to_arrow_schema
 from .decontaminate import words
 
 VOCABULARY, BIGRAMS = 1 << 15, 1 << 20
-#: Distinct keys a worker counts before it passes them on, and target ids that are broadcast rather than joined.
-HELD, TARGET_IDS = 1 << 18, 1 << 22
+#: Distinct words a worker counts before it passes them on, grams it counts at a time, distinct grams it holds, and target
+#: ids that are broadcast rather than joined by a shuffle.
+HELD, BLOCK, GRAMS, TARGET_IDS = 1 << 17, 1 << 19, 1 << 20, 1 << 19
 LAMBDA, ALPHA = 0.6, 0.1
 
 
@@ -50,6 +51,39 @@ def _ids(known: dict[bytes, int], text: str | None) -> np.ndarray:
     return np.array([known.get(w, unknown) for w in words(text)], np.int64)
 
 
+class Held:
+    """Sorted distinct grams with their counts in target texts and in all, merged block by block."""
+
+    def __init__(self):
+        self.keys = self.target = self.everything = np.zeros(0, np.int64)
+
+    @property
+    def size(self) -> int:
+        return len(self.keys)
+
+    def add(self, raw: list[np.ndarray], flags: list[bool]) -> None:
+        if not raw:
+            return
+        for grams, marked in ((raw, False), ([g for g, f in zip(raw, flags) if f], True)):
+            if grams:
+                self._merge(*np.unique(np.concatenate(grams), return_counts=True), marked)
+
+    def _merge(self, keys: np.ndarray, n: np.ndarray, marked: bool) -> None:
+        every = np.concatenate([self.keys, keys])
+        order = np.argsort(every, kind="stable")
+        every = every[order]
+        first = np.flatnonzero(np.r_[True, every[1:] != every[:-1]])
+        none = np.zeros(len(keys), np.int64)
+        add = lambda old, new: np.add.reduceat(np.concatenate([old, new])[order], first)
+        self.target, self.everything = add(self.target, n if marked else none), add(self.everything, none if marked else n)
+        self.keys = every[first]
+
+    def empty(self) -> list[pa.Array]:
+        out = [pa.array(self.keys), pa.array(self.target), pa.array(self.everything)]
+        self.__init__()
+        return out
+
+
 class Models:
     """Both models over one vocabulary: counts of words, and of broadcast bigrams by sorted key."""
 
@@ -96,44 +130,31 @@ def train(docs: DataFrame, target: DataFrame, key: str = "doc_id", text: str = "
     shared = spark.sparkContext.broadcast(listed)
     wanted = target.select(F.col(key).alias("t")).filter("t IS NOT NULL").dropDuplicates()
     body = docs.select(docs[key].alias("key"), docs[text].alias("text"))
-    if wanted.count() <= target_ids:
-        ids = spark.sparkContext.broadcast(frozenset(r["t"] for r in wanted.toLocalIterator()))
-        marked = body.withColumn("flag", F.lit(False))
-    else:
-        ids = None
-        marked = body.join(wanted, body["key"] == wanted["t"], "left").select("key", "text", F.col("t").isNotNull().alias("flag"))
+    side = F.broadcast(wanted) if wanted.limit(target_ids + 1).count() <= target_ids else wanted
+    marked = body.join(side, body["key"] == side["t"], "left").select("text", F.col("t").isNotNull().alias("flag"))
     schema = T.StructType([T.StructField("gram", T.LongType()), T.StructField("target", T.LongType()), T.StructField("all", T.LongType())])
 
     def work(blocks):
         known = {w: i for i, w in enumerate(shared.value)}
-        members = ids.value if ids is not None else None
-        held, size_held = ([], []), 0
-
-        def flush():
-            out = []
-            for part in held:
-                out.append(np.unique(np.concatenate(part), return_counts=True) if part else (np.zeros(0, np.int64), np.zeros(0, np.int64)))
-            (tk, tn), (bk, bn) = out
-            keys = np.union1d(tk, bk)
-            t, a = np.zeros(len(keys), np.int64), np.zeros(len(keys), np.int64)
-            t[np.searchsorted(keys, tk)] = tn
-            a[np.searchsorted(keys, bk)] = bn
-            return [pa.array(keys), pa.array(t), pa.array(a)]
-
-        for (keys, flags), texts in blocks:
-            for k, f, t in zip(keys, flags, texts):
+        raw, flags, waiting, held = [], [], 0, Held()
+        for (marks,), texts in blocks:
+            for f, t in zip(marks, texts):
                 w = _ids(known, t)
-                grams = np.concatenate([-1 - w, w[:-1] * n + w[1:]])  # below 0: single words
-                held[1].append(grams)
-                if f or (members is not None and k in members):
-                    held[0].append(grams)
-                size_held += len(grams)
-                if size_held > 8 * HELD * 4:
-                    yield flush()
-                    held, size_held = ([], []), 0
-        yield flush()
-
-    counts = map_text(marked, ["key", "flag"], "text", schema, work).groupBy("gram").agg(F.sum("target").alias("target"), F.sum("all").alias("all"))
+                for i in range(0, len(w), BLOCK):
+                    part = w[i : i + BLOCK + 1]
+                    grams = np.concatenate([-1 - part[:BLOCK], part[:-1] * n + part[1:]])  # below 0: single words
+                    raw.append(grams)
+                    flags.append(f)
+                    waiting += len(grams)
+                    if waiting >= BLOCK:
+                        held.add(raw, flags)
+                        raw, flags, waiting = [], [], 0
+                        if held.size > GRAMS:
+                            yield held.empty()
+        held.add(raw, flags)
+        yield held.empty()
+
+    counts = map_text(marked, ["flag"], "text", schema, work).groupBy("gram").agg(F.sum("target").alias("target"), F.sum("all").alias("all"))
     counts = materialise(counts, "grams")
     unigrams = np.zeros((2, n))
     for r in counts.filter("gram < 0").toLocalIterator():
