@@ -5,31 +5,44 @@ inside carrier words, with look-alikes that are not personal data). Every span i
 the written form of one ("(at)", "[at]"; see _plausible), so it reads the surroundings of each of these in the whole text, out
 to the ends of the tokens there, in overlapping windows; where windows overlap, their
 emissions are averaged, weighted to a window's middle, and one Viterbi pass decodes the whole stretch.
+
+Time grows linearly with a text's length, whatever it holds, and a stretch of any length is decoded in bounded memory. The
+trained weights lie beside this module; `python -m gleanwork.llm.pii` trains them again and writes them.
 """
 
 from __future__ import annotations
 
+import bisect
 import functools
+import importlib.resources
+import io
+import itertools
 import re
+from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, functions as F, types as T
 
 from .common import map_text, table
-from .tagger import Tagger, encode
+from .tagger import Decoder, Tagger, encode
 
-# Base kinds and their patterns.
+# Base kinds and their patterns. They match what the plain patterns of the contract match, but never try a start
+# inside a run that was read from its beginning, and give nothing back; an address is sought from its at sign.
 BASE = {
-    "email": re.compile(r"[A-Za-z0-9._%+-]+@[A-Za-z0-9-]+(\.[A-Za-z0-9-]+)+"),
-    "ip": re.compile(r"[0-9]+(\.[0-9]+)(\.[0-9]+)(\.[0-9]+)"),
-    "card": re.compile(r"[0-9]([\x20-]?[0-9])+"),
+    "email": re.compile(r"@[A-Za-z0-9-]++(?:\.[A-Za-z0-9-]++)++"),
+    "ip": re.compile(r"(?<![0-9])[0-9]++(?:\.[0-9]++){3}"),
+    "card": re.compile(r"[0-9](?:[\x20-]?[0-9])++"),
     "phone": re.compile(r"\+[0-9][\x20().0-9-]+[0-9]"),
 }
+_LOCAL = frozenset("ABCDEFGHIJKLMNOPQRSTUVWXYZabcdefghijklmnopqrstuvwxyz0123456789._%+-")
 KINDS = [*BASE, "secret"]
 TAGS = 1 + 2 * len(KINDS)
 WINDOW, OVERLAP, MARGIN = 96, 48, 40
 TRAIN_TEXTS, EPOCHS, BATCH, RATE = 1500, 14, 48, 0.012
+WEIGHTS = "tagger_weights.npz"
+#: Windows that run together, and characters of short stretches that are held at a time.
+TOGETHER, HELD = 256, 1 << 17
 _DIGIT = re.compile(r"[0-9]")
 _TRIGGER = re.compile(r"[0-9@]+|\((?:at|dot)\)|\[(?:at|dot)\]")
 _REST = re.compile(r"\S*")
@@ -46,7 +59,7 @@ def luhn(digits: str) -> bool:
 def valid(kind: str, found: str) -> bool:
     digits = "".join(c for c in found if "0" <= c <= "9")
     if kind == "ip":
-        return all(len(p.lstrip("0")) <= 3 and int(p) <= 255 for p in found.split("."))
+        return all(len(p) <= 3 and int(p or "0") <= 255 for p in (x.lstrip("0") for x in found.split(".")))
     if kind == "card":
         return 13 <= len(digits) <= 19 and luhn(digits)
     if kind == "phone":
@@ -54,13 +67,30 @@ def valid(kind: str, found: str) -> bool:
     return True
 
 
+def _matches(kind: str, text: str) -> Iterator[tuple[int, int]]:
+    """Leftmost non-overlapping matches of a kind, valid or not."""
+    pattern = BASE[kind]
+    if kind != "email":
+        yield from (m.span() for m in pattern.finditer(text))
+        return
+    end, at = 0, text.find("@")
+    while at >= 0:
+        start = at
+        while start > end and text[start - 1] in _LOCAL:
+            start -= 1
+        if start < at and (m := pattern.match(text, at)):
+            end = m.end()
+            yield start, end
+        at = text.find("@", max(at + 1, end))
+
+
 def base_spans(text: str) -> list[tuple[int, int, int]]:
     """(kind's number, start, end) of valid matches, leftmost and non-overlapping within each kind."""
     out = []
     number = bool(_DIGIT.search(text))
-    for k, (kind, pattern) in enumerate(BASE.items()):
-        if "@" in text if kind == "email" else number and (kind != "phone" or "+" in text):
-            out += [(k, m.start(), m.end()) for m in pattern.finditer(text) if valid(kind, m[0])]
+    for k, kind in enumerate(BASE):
+        if kind == "email" or number and (kind != "phone" or "+" in text):
+            out += [(k, a, b) for a, b in _matches(kind, text) if valid(kind, text[a:b])]
     return out
 
 
@@ -157,8 +187,9 @@ def train(texts: list[tuple[str, list]] | None = None, epochs: int = EPOCHS, see
 
 @functools.cache
 def default_tagger() -> Tagger:
-    """The tagger on the generator's spans, trained once in a process."""
-    return train()
+    """The tagger on the generator's spans: its stored weights, or trained here where they are missing."""
+    stored = importlib.resources.files(__package__) / WEIGHTS
+    return Tagger.load(io.BytesIO(stored.read_bytes()), TAGS) if stored.is_file() else train()
 
 
 def stretches(text: str) -> list[tuple[int, int]]:
@@ -176,54 +207,108 @@ def stretches(text: str) -> list[tuple[int, int]]:
     return [(a, b) for a, b in out]
 
 
-def tag_stretches(model: Tagger, parts: list[str]) -> list[list[tuple[int, int, int]]]:
-    """Spans of each stretch: windows run in batches, overlaps are averaged, one decoding for each stretch."""
-    windows = [(i, a) for i, p in enumerate(parts) for a in range(0, max(1, len(p) - OVERLAP), WINDOW - OVERLAP)]
-    coded = [encode(p) for p in parts]
-    sums = [np.zeros((len(p), TAGS), np.float32) for p in parts]
-    weight = [np.zeros((len(p), 1), np.float32) for p in parts]
-    for i in range(0, len(windows), 256):
-        some = windows[i : i + 256]
+def _runs(tags: list[int], start: int) -> Iterator[tuple[int, int, int]]:
+    """(kind's number, start, end) of the spans that tags spell out."""
+    i = 0
+    while i < len(tags):
+        j = i + 1
+        if tags[i]:
+            k = (tags[i] - 1) // 2
+            while j < len(tags) and tags[j] == 2 + 2 * k:
+                j += 1
+            yield k, start + i, start + j
+        i = j
+
+
+def _emissions(model: Tagger, parts: list[str]) -> Iterator[tuple[int, np.ndarray]]:
+    """(number of the part, emissions of its next characters): windows run together, overlaps are averaged."""
+    step, weight = WINDOW - OVERLAP, np.minimum(np.arange(1, WINDOW + 1), np.arange(WINDOW, 0, -1)).astype(np.float32)
+    windows = ((p, a) for p, t in enumerate(parts) for a in range(0, max(1, len(t) - OVERLAP), step))
+    over: list = [-1, None, None]  # part, and sums and weights of the characters that its next window shares
+    while some := list(itertools.islice(windows, TOGETHER)):
         ids, mask = np.zeros((len(some), WINDOW), np.int64), np.zeros((len(some), WINDOW), np.float32)
         for j, (p, a) in enumerate(some):
-            x = coded[p][a : a + WINDOW]
+            x = encode(parts[p][a : a + WINDOW])
             ids[j, : len(x)], mask[j, : len(x)] = x, 1
         e = model.emissions(ids, mask)
         for j, (p, a) in enumerate(some):
             n = int(mask[j].sum())
-            w = np.minimum(np.arange(1, n + 1), np.arange(n, 0, -1)).astype(np.float32)[:, None]
-            sums[p][a : a + n] += w * e[j, :n]
-            weight[p][a : a + n] += w
+            w = np.minimum(weight[:n], np.arange(n, 0, -1, dtype=np.float32))[:, None]
+            sums, total = w * e[j, :n], w.copy()
+            if over[0] == p:
+                sums[: len(over[1])] += over[1]
+                total[: len(over[2])] += over[2]
+            ready = n if a + n >= len(parts[p]) else step
+            yield p, sums[:ready] / total[:ready]
+            over = [p, sums[ready:], total[ready:]]
+
+
+def tag_stretches(model: Tagger, parts: list[str]) -> list[list[tuple[int, int, int]]]:
+    """Spans of each stretch, by one decoding of the whole stretch."""
+    out: list[list] = [[] for _ in parts]
+    for p, group in itertools.groupby(_emissions(model, parts), lambda x: x[0]):
+        decoder, tags, begin, look = Decoder(model), [], 0, HELD
+        for last, (_, e) in _marked_last(group):
+            tags += decoder.push(e)
+            if last:
+                tags += decoder.end()
+            # What precedes the last untagged character is final; a span is never cut.
+            if last or len(tags) > look:
+                cut = len(tags) if last else next((i for i in range(len(tags) - 1, 0, -1) if not tags[i]), 0)
+                out[p] += _runs(tags[:cut], begin)
+                tags, begin = tags[cut:], begin + cut
+                look = max(HELD, 2 * len(tags))
+    return out
+
+
+def _marked_last(found):
+    found = iter(found)
+    held = next(found)
+    for x in found:
+        yield False, held
+        held = x
+    yield True, held
+
+
+def _free(spans: list[tuple[int, int, int]], base: list[tuple[int, int, int]]) -> list[tuple[int, int, int]]:
+    """The spans that overlap no base span."""
+    ends: list[int] = []
+    starts: list[int] = []
+    for _, a, b in sorted(base, key=lambda x: x[1]):
+        if ends and a <= ends[-1]:
+            ends[-1] = max(ends[-1], b)
+        else:
+            starts.append(a)
+            ends.append(b)
     out = []
-    for s, w in zip(sums, weight):
-        spans, tags = [], model.decode(s / np.maximum(w, 1e-9)).tolist() if len(s) else []
-        i = 0
-        while i < len(tags):
-            if tags[i]:
-                k, j = (tags[i] - 1) // 2, i + 1
-                while j < len(tags) and tags[j] == 2 + 2 * k:
-                    j += 1
-                spans.append((k, i, j))
-                i = j
-            else:
-                i += 1
-        out.append(spans)
+    for k, a, b in spans:
+        i = bisect.bisect_right(ends, a)
+        if i == len(ends) or starts[i] >= b:
+            out.append((k, a, b))
     return out
 
 
 def find_all(model: Tagger, texts: list[str]) -> list[tuple[list, list]]:
     """(base spans, added spans) of each text; an added span overlaps no base span and looks like its kind."""
     base = [base_spans(t) for t in texts]
-    where = [(i, a, b) for i, t in enumerate(texts) for a, b in stretches(t)]
     added: list[list] = [[] for _ in texts]
-    for n in range(0, len(where), 4096):
-        some = where[n : n + 4096]
+    some: list[tuple[int, int, int]] = []
+
+    def tag():
         for (i, a, b), spans in zip(some, tag_stretches(model, [texts[i][a:b] for i, a, b in some])):
-            for k, s, e in spans:
-                s, e = s + a, e + a
-                if _plausible(KINDS[k], texts[i][s:e]) and not any(x < e and s < y for _, x, y in base[i]):
-                    added[i].append((k, s, e))
-    return list(zip(base, added))
+            added[i] += [(k, s + a, e + a) for k, s, e in spans if _plausible(KINDS[k], texts[i][s + a : e + a])]
+        some.clear()
+
+    held = 0
+    for i, t in enumerate(texts):
+        for a, b in stretches(t):
+            some.append((i, a, b))
+            held += b - a
+            if held >= HELD:
+                tag()
+                held = 0
+    tag()
+    return [(b, _free(x, b)) for b, x in zip(base, added)]
 
 
 def find_pii(docs: DataFrame, model: Tagger | None = None, key: str = "doc_id", text: str = "text") -> DataFrame:
@@ -248,8 +333,13 @@ def find_pii(docs: DataFrame, model: Tagger | None = None, key: str = "doc_id",
 
 
 def op9_pii(spark, sf_dir: str) -> DataFrame:
+    """The contract's columns; n_secret and n_added count spans that only the tagger finds."""
     found = find_pii(table(spark, sf_dir, "documents"))
     joined = lambda c: F.array_join(F.transform(c, lambda s: F.concat_ws(":", s["kind"], s["start"].cast("string"), s["end"].cast("string"))), ",")
-    count = lambda kind: F.size(F.filter("base", lambda s: s["kind"] == kind)).cast("long").alias(f"n_{kind}")
-    counts = [count(kind) for kind in BASE]
+    count = lambda c, kind: F.size(F.filter(c, lambda s: s["kind"] == kind)).cast("long").alias(f"n_{kind}")
+    counts = [*(count("base", kind) for kind in BASE), count("spans", "secret"), (F.size("spans") - F.size("base")).cast("long").alias("n_added")]
     return found.select("doc_id", *counts, F.sha2(joined("base").cast("binary"), 256).alias("base_sha256"), joined("spans").alias("spans"))
+
+
+if __name__ == "__main__":
+    train().save(importlib.resources.files(__package__) / WEIGHTS)

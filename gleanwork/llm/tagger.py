@@ -120,15 +120,70 @@ class Tagger:
             self.p[name] = (self.p[name] - rate * (m1 / (1 - 0.9 ** state["t"])) / (np.sqrt(m2 / (1 - 0.99 ** state["t"])) + 1e-8)).astype(np.float32)
         return float((logz.sum() - score) / n)
 
+    def save(self, path) -> None:
+        np.savez_compressed(path, **self.p)
+
+    @classmethod
+    def load(cls, file, tags: int) -> Tagger:
+        out = cls(tags)
+        with np.load(file, allow_pickle=False) as stored:
+            out.p = {k: stored[k] for k in stored.files}
+        out.h = out.p["Uf"].shape[1] // 4
+        return out
+
     def decode(self, e: np.ndarray) -> np.ndarray:
         """The best tag sequence of one stretch of emissions (L, tags)."""
-        best, back = self.p["S"] + e[0], np.zeros(e.shape, np.int64)
-        for t in range(1, len(e)):
-            paths = best[:, None] + self.p["T"]
-            back[t] = paths.argmax(0)
-            best = paths.max(0) + e[t]
-        out = np.zeros(len(e), np.int64)
-        out[-1] = int(best.argmax())
-        for t in range(len(e) - 1, 0, -1):
-            out[t - 1] = back[t][out[t]]
+        d = Decoder(self)
+        return np.array([*d.push(e), *d.end()], np.int64)
+
+
+class Decoder:
+    """Viterbi over emissions that come block by block. Tags are given out as soon as all surviving paths share them, so
+    that memory does not grow with the stretch."""
+
+    #: Steps between two looks for what all paths share.
+    LOOK = 2048
+
+    def __init__(self, model: Tagger):
+        self.step, self.best, self.start = model.p["T"], None, model.p["S"]
+        self.look = self.LOOK
+        self.back: list[np.ndarray] = []  # back[i][tag]: the tag before, for each step that is not given out but the first
+
+    def push(self, e: np.ndarray) -> list[int]:
+        rows, at = [], 0
+        if self.best is None and len(e):
+            self.best, at = self.start + e[0], 1
+        for t in range(at, len(e)):
+            paths = self.best[:, None] + self.step
+            rows.append(paths.argmax(0))
+            self.best = paths.max(0) + e[t]
+        self.back += rows
+        return self._shared() if len(self.back) >= self.look else []
+
+    def _shared(self) -> list[int]:
+        """The tags before the last step at which all paths meet."""
+        states = np.arange(len(self.best))
+        for i in range(len(self.back) - 1, -1, -1):
+            states = self.back[i][states]
+            if (states == states[0]).all():
+                out = self._trace(int(states[0]), i)
+                self.back = self.back[i:]
+                break
+        else:
+            out = []
+        self.look = max(self.LOOK, 2 * len(self.back))
         return out
+
+    def _trace(self, tag: int, n: int) -> list[int]:
+        """Tags of the n steps before the one with this tag."""
+        out = []
+        for i in range(n - 1, -1, -1):
+            tag = int(self.back[i][tag])
+            out.append(tag)
+        return out[::-1]
+
+    def end(self) -> list[int]:
+        if self.best is None:
+            return []
+        last = int(self.best.argmax())
+        return [*self._trace(last, len(self.back)), last]
