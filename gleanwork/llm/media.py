@@ -12,77 +12,112 @@ import struct
 import zlib
 from collections.abc import Iterator
 
+import pyarrow as pa
 from pyspark.sql import DataFrame, functions as F, types as T
 
-from .common import map_text, table
+from .common import map_text, slices, table
 
 UNIT = 64
 
 
-def _png(b: memoryview) -> int | None:
-    at = 8
-    while at + 12 <= len(b):
-        n = int.from_bytes(b[at : at + 4], "big")
-        kind = bytes(b[at + 4 : at + 8])
-        if at + 12 + n > len(b) or zlib.crc32(b[at + 4 : at + 8 + n]) != int.from_bytes(b[at + 8 + n : at + 12 + n], "big"):
-            return None
-        if at == 8 and kind != b"IHDR":
-            return None
-        at += 12 + n
-        if kind == b"IEND":
-            return at
-    return None
+class Bytes:
+    """A value under inspection. Validators take it and an absolute start and give an absolute end or None.
 
+    What they learn is kept for the value: the next place of a marker, and where chains of chunks, pages, blocks or boxes end.
+    A chain is therefore walked once, however many signatures lead into it, and no tail is copied.
+    """
 
-def _jpeg(b: memoryview) -> int | None:
-    at = 2
-    while at + 4 <= len(b):
-        if b[at] != 0xFF:
-            return None
-        kind = b[at + 1]
+    def __init__(self, data: bytes):
+        self.data, self.view, self.n = data, memoryview(data), len(data)
+        self.next: dict[bytes, int] = {}
+        self.ends: dict[tuple, object] = {}
+        self.archives: dict[int, int] | None = None
+
+    def find(self, marker: bytes, at: int) -> int:
+        """First place of marker from at on, else the value's length; looks are made from left to right."""
+        known = self.next.get(marker, -1)
+        if known < at:
+            found = self.data.find(marker, at)
+            known = self.next[marker] = self.n if found < 0 else found
+        return known
+
+    def chain(self, kind: str, at: int, step):
+        """Follow step(at) -> (next place, None) or (None, end) and remember the end for every place passed."""
+        passed = []
+        while (kind, at) not in self.ends:
+            passed.append(at)
+            nxt, end = step(at)
+            if nxt is None:
+                break
+            at = nxt
+        else:
+            end = self.ends[kind, at]
+        for p in passed:
+            self.ends[kind, p] = end
+        return end
+
+
+def _png(b: Bytes, start: int) -> int | None:
+    def step(at):
+        n = int.from_bytes(b.view[at : at + 4], "big")
+        if at + 12 + n > b.n or zlib.crc32(b.view[at + 4 : at + 8 + n]) != int.from_bytes(b.view[at + 8 + n : at + 12 + n], "big"):
+            return None, None
+        return (None, at + 12 + n) if b.data[at + 4 : at + 8] == b"IEND" else (at + 12 + n, None)
+
+    return b.chain("png", start + 8, step) if b.data[start + 8 : start + 16] == b"\0\0\0\x0dIHDR" else None
+
+
+def _jpeg(b: Bytes, start: int) -> int | None:
+    def coded(at):
+        """The next marker behind entropy-coded bytes."""
+        while (at := b.data.find(b"\xff", at)) >= 0 and at + 1 < b.n:
+            kind = b.data[at + 1]
+            if kind not in (0, 0xFF) and not 0xD0 <= kind <= 0xD7:
+                return at
+            at += 2 - (kind == 0xFF)
+        return None
+
+    def step(at):
+        if at + 4 > b.n or b.data[at] != 0xFF:
+            return None, None
+        kind = b.data[at + 1]
         if kind == 0xFF:
-            at += 1
-            continue
-        n = int.from_bytes(b[at + 2 : at + 4], "big")
+            return at + 1, None
+        n = int.from_bytes(b.view[at + 2 : at + 4], "big")
         if kind < 0xC0 or n < 2:
-            return None
+            return None, None
         at += 2 + n
         if kind == 0xDA:
-            while at + 1 < len(b):
-                if b[at] != 0xFF:
-                    at += 1
-                    continue
-                if b[at + 1] == 0xD9:
-                    return at + 2
-                if b[at + 1] in (0, 0xFF) or 0xD0 <= b[at + 1] <= 0xD7:
-                    at += 2 - (b[at + 1] == 0xFF)
-                else:
-                    break
-    return None
+            at = coded(at)
+            if at is None:
+                return None, None
+            if b.data[at + 1] == 0xD9:
+                return None, at + 2
+        return at, None
 
+    return b.chain("jpeg", start + 2, step)
 
-def _gif(b: memoryview) -> int | None:
-    if len(b) < 13:
-        return None
-    at = 13 + (3 << (b[10] & 7) + 1 if b[10] & 0x80 else 0)
 
-    def blocks(i: int) -> int | None:
-        while i < len(b):
-            if b[i] == 0:
-                return i + 1
-            i += b[i] + 1
-        return None
+def _gif(b: Bytes, start: int) -> int | None:
+    table = lambda flags: (3 << (flags & 7) + 1) if flags & 0x80 else 0
 
-    while at is not None and at < len(b):
-        if b[at] == 0x3B:
-            return at + 1
-        if b[at] == 0x21:
-            at = blocks(at + 2)
-        elif b[at] == 0x2C and at + 10 <= len(b):
-            at = blocks(at + 11 + (3 << (b[at + 9] & 7) + 1 if b[at + 9] & 0x80 else 0))
-        else:
-            return None
-    return None
+    def hop(at):
+        if at >= b.n:
+            return None, None
+        return (None, at + 1) if b.data[at] == 0 else (at + b.data[at] + 1, None)
+
+    def step(at):
+        if at >= b.n:
+            return None, None
+        if b.data[at] == 0x3B:
+            return None, at + 1
+        if b.data[at] == 0x21:
+            return b.chain("gif-block", at + 2, hop), None
+        if b.data[at] == 0x2C and at + 10 <= b.n:
+            return b.chain("gif-block", at + 11 + table(b.data[at + 9]), hop), None
+        return None, None
+
+    return b.chain("gif", start + 13 + table(b.data[start + 10]), step) if start + 13 <= b.n else None
 
 
 def riff_chunks(b: memoryview) -> list[tuple[bytes, int, int]] | None:
@@ -103,85 +138,95 @@ def riff_chunks(b: memoryview) -> list[tuple[bytes, int, int]] | None:
 
 
 def _riff(form: bytes, needs: set[bytes]):
-    def check(b: memoryview) -> int | None:
-        chunks = riff_chunks(b) if bytes(b[8:12]) == form else None
+    def check(b: Bytes, start: int) -> int | None:
+        chunks = riff_chunks(b.view[start:])
         if chunks is None or not needs & {c for c, _, _ in chunks}:
             return None
-        return 8 + int.from_bytes(b[4:8], "little")
+        return start + 8 + int.from_bytes(b.view[start + 4 : start + 8], "little")
 
     return check
 
 
-def _bmp(b: memoryview) -> int | None:
-    if len(b) < 26:
+def _bmp(b: Bytes, start: int) -> int | None:
+    head = b.view[start : start + 26]
+    if len(head) < 26:
         return None
-    size, start, header = int.from_bytes(b[2:6], "little"), int.from_bytes(b[10:14], "little"), int.from_bytes(b[14:18], "little")
-    return size if 26 <= size <= len(b) and start < size and header in (12, 40, 52, 56, 64, 108, 124) and not any(b[6:10]) else None
+    size, first, header = int.from_bytes(head[2:6], "little"), int.from_bytes(head[10:14], "little"), int.from_bytes(head[14:18], "little")
+    return start + size if 26 <= size <= b.n - start and first < size and header in (12, 40, 52, 56, 64, 108, 124) and not any(head[6:10]) else None
 
 
-def _gzip(b: memoryview) -> int | None:
-    if len(b) < 18 or b[3] & 0xE0:
+def _gzip(b: Bytes, start: int) -> int | None:
+    if b.n - start < 18 or b.data[start + 3] & 0xE0:
         return None
     d = zlib.decompressobj(31)
     try:
-        for i in range(0, len(b), 1 << 16):
-            d.decompress(b[i : i + (1 << 16)])  # output is dropped: only the end is of interest
+        for i in range(start, b.n, 1 << 16):
+            part = b.view[i : i + (1 << 16)]
+            while not d.eof:
+                full = len(d.decompress(part, 1 << 20)) == 1 << 20  # output is dropped: only the end is of interest
+                part = d.unconsumed_tail
+                if not part and not full:
+                    break
             if d.eof:
-                return min(len(b), i + (1 << 16)) - len(d.unused_data)
+                return min(b.n, i + (1 << 16)) - len(d.unused_data)
     except zlib.error:
         pass
     return None
 
 
-def _zip(b: memoryview) -> int | None:
-    at, whole = 0, bytes(b)
-    while (at := whole.find(b"PK\x05\x06", at)) >= 0:
-        if at + 22 <= len(b):
-            size, start, note = struct.unpack("<IIH", b[at + 12 : at + 22])
-            if start + size == at and at + 22 + note <= len(b) and whole[start : start + 4] == b"PK\x01\x02":
-                return at + 22 + note
-        at += 1
-    return None
+def _zip(b: Bytes, start: int) -> int | None:
+    """An end record says where its archive starts, so all end records of the value are read once."""
+    if b.archives is None:
+        b.archives, at = {}, -1
+        while (at := b.data.find(b"PK\x05\x06", at + 1)) >= 0:
+            if at + 22 <= b.n:
+                size, listing, note = struct.unpack("<IIH", b.view[at + 12 : at + 22])
+                base = at - listing - size
+                if base >= 0 and at + 22 + note <= b.n and b.data[base + listing : base + listing + 4] == b"PK\x01\x02":
+                    b.archives.setdefault(base, at + 22 + note)
+    return b.archives.get(start)
 
 
-def _pdf(b: memoryview) -> int | None:
-    whole = bytes(b)
-    at = whole.find(b"%%EOF")
-    return at + 5 if at > 0 and b"startxref" in whole[:at] else None
+def _pdf(b: Bytes, start: int) -> int | None:
+    end = b.find(b"%%EOF", start)
+    return end + 5 if end < b.n and b.find(b"startxref", start) < end else None
 
 
-def _ogg(b: memoryview) -> int | None:
-    at = 0
-    while at + 27 <= len(b) and bytes(b[at : at + 4]) == b"OggS" and b[at + 4] == 0:
-        n = b[at + 26]
-        if at + 27 + n > len(b):
-            return None
-        last = b[at + 5] & 4
-        at += 27 + n + sum(b[at + 27 : at + 27 + n])
-        if at > len(b):
-            return None
-        if last:
-            return at
-    return None
+def _ogg(b: Bytes, start: int) -> int | None:
+    def step(at):
+        if at + 27 > b.n or b.data[at : at + 4] != b"OggS" or b.data[at + 4]:
+            return None, None
+        body = at + 27 + b.data[at + 26]
+        if body > b.n:
+            return None, None
+        end = body + sum(b.view[at + 27 : body])
+        if end > b.n:
+            return None, None
+        return (None, end) if b.data[at + 5] & 4 else (end, None)
+
+    return b.chain("ogg", start, step)
 
 
-def _au(b: memoryview) -> int | None:
-    if len(b) < 24:
+def _au(b: Bytes, start: int) -> int | None:
+    if b.n - start < 24:
         return None
-    start, size, code = struct.unpack(">III", b[4:16])
-    return start + size if 24 <= start <= len(b) and start + size <= len(b) and 1 <= code <= 27 else None
+    first, size, code = struct.unpack(">III", b.view[start + 4 : start + 16])
+    return start + first + size if 24 <= first and first + size <= b.n - start and 1 <= code <= 27 else None
 
 
-def _mp4(b: memoryview) -> int | None:
-    at = 0
-    seen = set()
-    while at + 8 <= len(b):
-        n, kind = int.from_bytes(b[at : at + 4], "big"), bytes(b[at + 4 : at + 8])
-        if n < 8 or at + n > len(b) or not kind.isalnum():
+def _mp4(b: Bytes, start: int) -> int | None:
+    """Boxes in a row, one of them moov; for every box passed it is kept where its row ends and whether a moov follows."""
+    at, passed = start, []
+    while (known := b.ends.get(("mp4", at))) is None:
+        n, kind = int.from_bytes(b.view[at : at + 4], "big"), b.data[at + 4 : at + 8]
+        if n < 8 or at + n > b.n or not kind.isalnum():
+            known = (at, False)
             break
-        seen.add(kind)
+        passed.append((at, kind == b"moov"))
         at += n
-    return at if {b"ftyp", b"moov"} <= seen else None
+    for p, moov in reversed(passed):
+        known = b.ends["mp4", p] = (known[0], known[1] or moov)
+    return known[0] if known[1] else None
 
 
 #: type -> (magic, where the magic stands, validator, whether it is looked for inside other bytes)
@@ -213,14 +258,13 @@ class Sniffer:
 
     def found(self, data: bytes) -> Iterator[tuple[str, int, int]]:
         """(type, start, end) of valid structures, left to right; what lies inside one is reported too."""
-        view = memoryview(data)
+        b = Bytes(data)
         for last, (kind, n, shift, check, inside) in self.automaton.iter(data.decode("latin-1")):
             start = last - n + 1 - shift
             if start < 0 or (start and not inside) or (shift == 8 and data[start : start + 4] != b"RIFF"):
                 continue
-            size = check(view[start:])
-            if size:
-                yield kind, start, start + size
+            if end := check(b, start):
+                yield kind, start, end
 
     def sniff(self, data: bytes | None, declared: str | None = None) -> dict:
         """The type at offset 0 (else application/octet-stream), whether it corrects the declared one, embedded media."""
@@ -260,10 +304,8 @@ def sniff_media(df: DataFrame, key: str, data: str, declared: str | None = None)
     schema = T.StructType([df.schema[key], T.StructField("type", T.StringType()), T.StructField("corrected", T.BooleanType()), T.StructField("length", T.LongType()), T.StructField("embedded", where)])
 
     def run(batches):
-        import pyarrow as pa
-
         sniffer = Sniffer()
-        for b in batches:
+        for b in (piece for batch in batches for piece in slices(batch, "_data")):
             out = [sniffer.sniff(x, y) for x, y in zip(b.column(1).to_pylist(), b.column(2).to_pylist())]
             for o in out:
                 o["embedded"] = [{"type": t, "start": s, "end": e} for t, s, e in o["embedded"]]
