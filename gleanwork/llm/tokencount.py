@@ -10,6 +10,7 @@ from __future__ import annotations
 
 import os
 import re
+from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
@@ -19,10 +20,13 @@ from .common import map_text, table
 
 LIMIT = 2048
 CHUNK, OVERLAP, STABLE = 1 << 15, 1 << 10, 8
-#: Distinct pieces whose tokens, or their number, a worker remembers.
-MEMO = 1 << 20
-#: Pieces that go to the library in one call.
-JOINED = 4096
+#: Bytes, about, of the pieces a worker remembers with the number of their tokens (an eighth of it with the tokens themselves),
+#: and the longest piece it remembers, in code points.
+MEMO_BYTES, LONGEST = 96 << 20, 128
+#: What an entry takes beside the piece itself.
+_ENTRY = 140
+#: Pieces that go to the library in one call, and code points of the texts counted together.
+JOINED, TOGETHER = 4096, 1 << 20
 _CLOSING = ".,;:!?%#$&*"
 _BLANK = {9: 32, 10: 32, 13: 32}
 _PIECE = re.compile(r"[^ \n\r\t]+")
@@ -38,7 +42,8 @@ class Encoder:
     """Tokens (id, end offset) as the library gives them.
 
     The vocabulary's normaliser turns white space into one space and its splitter drops it, so no token reaches over a
-    space and a piece between spaces always gives the same tokens: pieces go to the library once and are remembered.
+    space and a piece between spaces always gives the same tokens: pieces up to LONGEST go to the library once and are
+    remembered, until the memory for it is full; longer ones are asked for each time.
     """
 
     def __init__(self, vocabulary: str):
@@ -50,18 +55,26 @@ class Encoder:
         self.library.no_truncation()
         self.numbers: dict[str, int] = {"": 0}
         self.tokens: dict[str, tuple[list[int], list[int]]] = {}
+        self.held_numbers = self.held_tokens = 0
 
     def _ask(self, pieces: list[str]) -> None:
         for i in range(0, len(pieces), JOINED):
             some = pieces[i : i + JOINED]
             self.numbers.update(zip(some, map(len, self.library.encode_batch_fast(some, add_special_tokens=False))))
+        self.held_numbers += sum(map(len, pieces)) + _ENTRY * len(pieces)
+
+    def _spare(self) -> None:
+        """Forget when the memory is full, and long pieces always."""
+        if self.held_numbers > MEMO_BYTES:
+            self.numbers, self.held_numbers = {"": 0}, 0
+        for p in self.long:
+            self.numbers.pop(p, None)
+        self.long = []
 
     def count(self, texts: list[str]) -> list[int]:
         """Tokens of each text. Closing punctuation after a letter or digit is looked up apart, as the splitter parts it
         there, and an ASCII stem in lower case, as the normaliser gives it.
         """
-        if len(self.numbers) > MEMO:
-            self.numbers = {"": 0}
         pieces = [t.translate(_BLANK).split(" ") if "\t" in t or "\r" in t else t.replace("\n", " ").split(" ") for t in texts]
         new: set[str] = set()
         for p in pieces:
@@ -82,17 +95,20 @@ class Encoder:
         known = self.numbers
         for p, (stem, tail) in parts.items():
             known[p] = known[stem] + known[tail]
-        return [sum(map(known.__getitem__, p)) for p in pieces]
+            self.held_numbers += len(p) + _ENTRY
+        counts = [sum(map(known.__getitem__, p)) for p in pieces]
+        self.long = [p for p in [*new, *wanted] if len(p) > LONGEST]
+        self._spare()
+        return counts
 
     def encode(self, text: str) -> tuple[np.ndarray, np.ndarray]:
         """Token ids and end offsets (code points)."""
         found = list(_PIECE.finditer(text))
-        if len(self.tokens) > MEMO >> 3:
-            self.tokens = {}
         new = list({m[0] for m in found}.difference(self.tokens))
         for i in range(0, len(new), JOINED):
             for p, e in zip(new[i : i + JOINED], self.library.encode_batch(new[i : i + JOINED], add_special_tokens=False)):
                 self.tokens[p] = (e.ids, [b for _, b in e.offsets])
+                self.held_tokens += len(p) + _ENTRY + 72 * len(e.ids)
         ids: list[int] = []
         ends: list[int] = []
         for m in found:
@@ -100,17 +116,19 @@ class Encoder:
             ids += tokens
             start = m.start()
             ends += [start + b for b in offsets]
+        if self.held_tokens > MEMO_BYTES >> 3:
+            self.tokens, self.held_tokens = {}, 0
         return np.array(ids, np.int64), np.array(ends, np.int64)
 
 
-def encoder_of(vocabulary: str) -> Encoder:
-    """The process's encoder: it outlives a task, so that a reused worker keeps what it has learnt."""
-    import tokenizers
+#: A process's encoders: they outlive a task, so that a reused worker keeps what it has learnt.
+_ENCODERS: dict[str, Encoder] = {}
+
 
-    held = tokenizers.__dict__.setdefault("_held_encoders", {})
-    if vocabulary not in held:
-        held[vocabulary] = Encoder(vocabulary)
-    return held[vocabulary]
+def encoder_of(vocabulary: str) -> Encoder:
+    if vocabulary not in _ENCODERS:
+        _ENCODERS[vocabulary] = Encoder(vocabulary)
+    return _ENCODERS[vocabulary]
 
 
 def splice(text: str, left: tuple[np.ndarray, np.ndarray], right: tuple[np.ndarray, np.ndarray], low: int, high: int, stable: int) -> tuple[int, int] | None:
@@ -161,6 +179,19 @@ def count_long(encode, text: str, chunk: int = CHUNK, overlap: int = OVERLAP, st
     return total + len(ids)
 
 
+def _together(texts: list[str]) -> Iterator[list[str]]:
+    """Texts in blocks of at most TOGETHER code points, or one text."""
+    some, held = [], 0
+    for t in texts:
+        if some and held + len(t) > TOGETHER:
+            yield some
+            some, held = [], 0
+        some.append(t)
+        held += len(t)
+    if some:
+        yield some
+
+
 def token_counts(docs: DataFrame, vocabulary: str | None = None, key: str = "doc_id", text: str = "text", chunk: int = CHUNK, overlap: int = OVERLAP) -> DataFrame:
     """(key, n_bytes, n_tokens) for each row; null and empty texts have none; repeated rows repeat; other columns unread."""
     path = vocabulary or default_vocabulary()
@@ -172,8 +203,8 @@ def token_counts(docs: DataFrame, vocabulary: str | None = None, key: str = "doc
             texts = [t or "" for t in texts]
             short = [t for t in texts if len(t) <= chunk]
             counted = []
-            for i in range(0, len(short), 256):
-                counted += encoder.count(short[i : i + 256])
+            for some in _together(short):
+                counted += encoder.count(some)
             of_short = iter(counted)
             counts = [next(of_short) if len(t) <= chunk else count_long(encoder.encode, t, chunk, overlap) for t in texts]
             yield [keys, [len(t.encode("utf-8", "surrogatepass")) for t in texts], counts]
