@@ -9,8 +9,6 @@ occurrence can reach outside such a run. There is no shuffle.
 from __future__ import annotations
 
 import re
-from collections import defaultdict
-
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame, functions as F, types as T
@@ -19,8 +17,10 @@ from .common import SLICE_BYTES, slices, table, to_arrow_schema, total_bytes
 from .fmindex import FMIndex
 
 WINDOW = 13
-#: Benchmark text broadcast at a time; a larger benchmark is searched in groups of items, one after another, over the same rows.
-BENCHMARK_BYTES = 32 << 20
+#: Benchmark text searched at a time; a larger benchmark is searched in groups of items, one after another, over the same rows.
+#: A word is at least two bytes with its space and takes 4 * WINDOW + 12 bytes in the broadcast windows, three times that while
+#: they are made: 130 and 390 MB at most, about a third of it for usual words.
+BENCHMARK_BYTES = 4 << 20
 #: Words of one shard's index.
 SHARD_WORDS = 1 << 20
 #: Occurrences located at a time.
@@ -35,15 +35,39 @@ def words(text: str | None) -> list[bytes]:
     return text.encode("utf-8", "surrogatepass").translate(_FOLD).split() if text else []
 
 
-def windows_of(items: list[tuple[str | None, str | None]], width: int) -> tuple[dict[bytes, int], dict[tuple, set]]:
-    """Vocabulary (ids from 1) and the windows as tuples of ids, each with its items."""
+class Windows:
+    """Distinct windows of one width, sorted, and the items (numbers) that have each: names[bounds[k]:bounds[k + 1]]."""
+
+    def __init__(self, rows: np.ndarray, owner: np.ndarray):
+        order, items = np.lexsort(rows.T[::-1]), int(owner.max(initial=0)) + 1
+        rows, owner = rows[order], owner[order]
+        first = np.flatnonzero(np.r_[True, (rows[1:] != rows[:-1]).any(axis=1)])
+        pairs = np.unique(np.repeat(np.arange(len(first)), np.diff(np.r_[first, len(rows)])) * items + owner)
+        self.rows, self.names = rows[first], (pairs % items).astype(np.int32)
+        self.bounds = np.searchsorted(pairs // items, np.arange(len(first) + 1))
+
+    def items(self, windows: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """(place in windows, item) for each item of each window."""
+        n = self.bounds[windows + 1] - self.bounds[windows]
+        place = np.repeat(np.arange(len(windows)), n)
+        return place, self.names[np.arange(len(place)) + np.repeat(self.bounds[windows] - np.cumsum(n) + n, n)]
+
+
+def windows_of(items: list[tuple[str | None, str | None]], width: int) -> tuple[dict[bytes, int], list[str | None], dict[int, Windows]]:
+    """Vocabulary (ids from 1), the items' ids, and the windows by their width; items are numbers in them."""
     vocabulary: dict[bytes, int] = {}
-    found: dict[tuple, set] = defaultdict(set)
+    names: list[str | None] = []
+    rows: dict[int, list[np.ndarray]] = {}
+    owner: dict[int, list[np.ndarray]] = {}
     for item, text in items:
-        ids = [vocabulary.setdefault(w, len(vocabulary) + 1) for w in words(text)]
-        for i in range(max(1, len(ids) - width + 1)) if ids else ():
-            found[tuple(ids[i : i + width])].add(item)
-    return vocabulary, found
+        ids = np.array([vocabulary.setdefault(w, len(vocabulary) + 1) for w in words(text)], np.int32)
+        if len(ids):
+            n = min(width, len(ids))
+            found = np.lib.stride_tricks.sliding_window_view(ids, n)
+            rows.setdefault(n, []).append(found)
+            owner.setdefault(n, []).append(np.full(len(found), len(names), np.int64))
+            names.append(item)
+    return vocabulary, names, {n: Windows(np.concatenate(rows[n]), np.concatenate(owner[n])) for n in rows}
 
 
 def _char_spans(text: str, spans: list[list[int]]) -> list[tuple[int, int]]:
@@ -55,15 +79,16 @@ class _Shard:
     """Documents whose words are indexed together."""
 
     def __init__(self):
-        self.docs: list[tuple] = []  # (keys, text, number of words)
+        self.keys: list[pa.Array] = []  # a value for each document, cut as the batches were
+        self.docs: list[tuple] = []  # (text, number of words, runs and items that earlier groups found)
         self.pieces: list[np.ndarray] = []
         self.owner: list[int] = []
         self.offset: list[int] = []
         self.size = 0
 
-    def add(self, keys, text, ids: np.ndarray, shortest: int) -> None:
+    def add(self, text, ids: np.ndarray, shortest: int, runs, items) -> None:
         n = len(self.docs)
-        self.docs.append((keys, text, len(ids)))
+        self.docs.append((text, len(ids), runs or [], items or []))
         edge = np.flatnonzero(np.diff(np.r_[0, (ids != 0).astype(np.int8), 0]))
         starts, ends = edge[::2], edge[1::2]
         long = ends - starts >= shortest
@@ -73,7 +98,7 @@ class _Shard:
             self.offset.append(a)
             self.size += b - a + 1
 
-    def hits(self, by_length: dict[int, tuple[np.ndarray, list]]):
+    def hits(self, by_width: dict[int, Windows], names: list) -> dict[int, tuple[list, list]]:
         """For each document with hits: merged word spans and items."""
         if not self.pieces:
             return {}
@@ -85,9 +110,9 @@ class _Shard:
         index = FMIndex(text)
         owner, offset = np.array(self.owner), np.array(self.offset)
         marks = np.zeros(len(text) + 1, np.int64)
-        items: dict[int, set] = defaultdict(set)
-        for width, (patterns, names) in by_length.items():
-            lo, hi = index.search(patterns)
+        seen = [np.zeros(0, np.int64)]
+        for width, w in by_width.items():
+            lo, hi = index.search(w.rows)
             before = np.r_[0, np.cumsum(hi - lo)]
             for start in range(0, int(before[-1]), _ROWS):
                 at = np.arange(start, min(int(before[-1]), start + _ROWS))
@@ -95,15 +120,18 @@ class _Shard:
                 places = index.locate(lo[window] + at - before[window])
                 np.add.at(marks, places, 1)
                 np.add.at(marks, places + width, -1)
-                pairs = np.unique(owner[np.searchsorted(begin, places, "right") - 1] * len(patterns) + window)
-                for d, k in zip((pairs // len(patterns)).tolist(), (pairs % len(patterns)).tolist()):
-                    items[d] |= names[k]
+                pairs = np.unique(owner[np.searchsorted(begin, places, "right") - 1] * len(w.rows) + window)
+                place, item = w.items(pairs % len(w.rows))
+                seen.append(np.unique((pairs // len(w.rows))[place] * len(names) + item))
+        out: dict[int, tuple[list, list]] = {}
+        for pair in np.unique(np.concatenate(seen)).tolist():
+            d, item = divmod(pair, len(names))
+            out.setdefault(d, ([], []))[1].append(names[item])
         covered = np.flatnonzero(np.diff(np.r_[0, (np.cumsum(marks[:-1]) > 0).astype(np.int8), 0]))
-        out: dict[int, tuple[list, set]] = {}
         for a, b in zip(covered[::2].tolist(), covered[1::2].tolist()):
             r = int(np.searchsorted(begin, a, "right")) - 1
             d, shift = int(owner[r]), int(offset[r] - begin[r])
-            out.setdefault(d, ([], items[d]))[0].append([a + shift, b + shift])
+            out[d][0].append([a + shift, b + shift])
         return out
 
 
@@ -119,36 +147,39 @@ def _merge(spans: list) -> list[list[int]]:
 
 def _search(df: DataFrame, items: list[tuple], width: int, shard_words: int, out: T.StructType, last: bool) -> DataFrame:
     """One group of items against all rows; a row carries what earlier groups found, and its text until the last group."""
-    vocabulary, found = windows_of(items, width)
-    shared = df.sparkSession.sparkContext.broadcast((vocabulary, [(w, {i for i in names if i is not None}) for w, names in found.items()]))
+    shared = df.sparkSession.sparkContext.broadcast(windows_of(items, width))
     arrow = to_arrow_schema(out)
 
     def run(batches):
-        known, patterns = shared.value
-        by_length = {n: (np.array([w for w, _ in patterns if len(w) == n], np.int64), [names for w, names in patterns if len(w) == n]) for n in {len(w) for w, _ in patterns}}
-        shortest = min(by_length, default=1)
+        known, names, by_width = shared.value
+        shortest = min(by_width, default=1)
 
         def flush(shard):
-            hits = shard.hits(by_length) if by_length else {}
-            cols = [[] for _ in arrow]
-            for d, (row, body, n) in enumerate(shard.docs):
-                spans, names = hits.get(d, ([], set()))
-                spans = _merge([*(row[2] or []), *spans])
+            hits = shard.hits(by_width, names) if by_width else {}
+            cols = [[] for _ in arrow][1:]
+            for d, (body, n, runs, earlier) in enumerate(shard.docs):
+                spans, found = hits.get(d, ([], []))
+                spans = _merge([*runs, *spans])
                 chars = _char_spans(body, spans) if spans and last else []
-                for col, x in zip(cols, (row[0], None if last else body, spans, sorted({*(row[3] or []), *names}), n, sum(b - a for a, b in spans), [{"start": a, "end": b} for a, b in chars])):
+                for col, x in zip(cols, (None if last else body, spans, sorted({*earlier, *(i for i in found if i is not None)}), n, sum(b - a for a, b in spans), [{"start": a, "end": b} for a, b in chars])):
                     col.append(x)
-            return pa.RecordBatch.from_arrays([pa.array(c, f.type) for c, f in zip(cols, arrow)], schema=arrow)
+            keys = pa.concat_arrays(shard.keys)
+            keys = keys if keys.type == arrow.field(0).type else keys.cast(arrow.field(0).type)
+            return pa.RecordBatch.from_arrays([keys, *(pa.array(c, f.type) for c, f in zip(cols, list(arrow)[1:]))], schema=arrow)
 
         shard, held = _Shard(), 0
         for batch in batches:
             for piece in slices(batch, "text"):
-                for row in zip(*(c.to_pylist() for c in piece.columns[:4])):
-                    ids = np.array([known.get(w, 0) for w in words(row[1])], np.int64)
-                    shard.add(row, row[1], ids, shortest)
-                    held += len(row[1] or "")
+                start = 0
+                for i, (body, runs, found) in enumerate(zip(*(c.to_pylist() for c in piece.columns[1:4]))):
+                    shard.add(body, np.array([known.get(w, 0) for w in words(body)], np.int64), shortest, runs, found)
+                    held += len(body or "")
                     if shard.size >= shard_words or held >= SLICE_BYTES:
+                        shard.keys.append(piece.column(0).slice(start, i + 1 - start))
                         yield flush(shard)
-                        shard, held = _Shard(), 0
+                        shard, held, start = _Shard(), 0, i + 1
+                if start < piece.num_rows:
+                    shard.keys.append(piece.column(0).slice(start))
         if shard.docs:
             yield flush(shard)
 
@@ -158,6 +189,7 @@ def _search(df: DataFrame, items: list[tuple], width: int, shard_words: int, out
 def find_contamination(docs: DataFrame, benchmark: DataFrame, key: str = "doc_id", text: str = "text", item: str = "item_id", item_text: str = "text", width: int = WINDOW, shard_words: int = SHARD_WORDS, group_bytes: int = BENCHMARK_BYTES) -> DataFrame:
     """One row for each input row: key, n_words, n_hit, items (sorted strings), spans (code points, merged).
 
+    The key passes through as it came, so it may be a struct of whole rows; with it a row is decided without a join.
     Null and empty texts have no words; an item without words has no window; an item with a null id marks words but is not
     listed; repeated item ids count once; repeated rows give repeated rows; an empty benchmark hits nothing. Other columns
     of either table are not read, so they may have any name.
