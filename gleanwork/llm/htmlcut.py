@@ -10,7 +10,8 @@ from __future__ import annotations
 
 import html as _html
 import re
-from collections import deque
+from collections import defaultdict, deque
+from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
@@ -18,13 +19,13 @@ from pyspark.sql import DataFrame, functions as F, types as T
 
 from .common import map_text, table
 
-#: Pages the classifier is fitted on, at most (documented bound), and the pull towards its prior weights.
-TRAIN_PAGES, PRIOR_PULL = 400, 0.05
+#: Pages, and blocks of a page, the classifier is fitted on, at most (documented bounds), and the pull towards its prior weights.
+TRAIN_PAGES, TRAIN_BLOCKS, PRIOR_PULL = 400, 1000, 0.05
 ADJACENT, SIBLING, CLIP = 0.8, 0.8, 8.0
 
 # Element kinds.
 _VOID = frozenset("area base br col embed hr img input link meta param source track wbr".split())
-_GONE = frozenset("script style template noscript svg iframe head object audio video canvas math title".split())
+_GONE = frozenset("script style template noscript svg iframe head object audio video canvas title".split())
 _RAW = frozenset("script style textarea title noscript iframe".split())
 _BLOCK = frozenset("address article aside blockquote body caption center dd details dialog div dl dt fieldset figcaption figure footer form h1 h2 h3 h4 h5 h6 header hr html legend li main menu nav ol optgroup option p pre search section select summary table tbody td tfoot th thead tr ul button label textarea".split())
 _CLOSES = {
@@ -43,46 +44,111 @@ _NAMES = list(PRIOR)
 _BIT = {n: 1 << i for i, n in enumerate(_FLAGS)}
 _BAD = ("nav", "footer", "aside", "form", "advert", "comments", "notice", "social")
 _BAD_MASK = sum(_BIT[n] for n in _BAD)
+_CONTENT = _BIT["article"] | _BIT["content_class"]
 _TAG_FLAG = {"article": "article", "main": "article", "nav": "nav", "menu": "nav", "footer": "footer", "aside": "aside", "form": "form", "select": "form", "button": "form", "textarea": "form", "fieldset": "form", "label": "form", "dialog": "notice", "search": "form"}
 _ROLE = {"navigation": "nav", "menu": "nav", "menubar": "nav", "contentinfo": "footer", "complementary": "aside", "search": "form", "form": "form", "dialog": "notice", "alert": "notice", "alertdialog": "notice", "main": "article", "article": "article", "banner": "header"}
 _WORDS = {
-    "nav": "nav navbar navigation menu menus breadcrumb breadcrumbs topbar toolbar pagination pager toc",
-    "footer": "footer foot colophon copyright legal",
-    "aside": "sidebar side aside widget widgets related recommended recommendations more trending popular",
-    "form": "form login signup search newsletter subscribe subscription register",
-    "advert": "ad ads adv advert advertisement advertising banner sponsor sponsored promo promotion promoted adsense",
-    "comments": "comment comments disqus replies respond discussion reviews reply commentlist",
-    "notice": "cookie cookies consent notice gdpr popup modal overlay alert paywall disclaimer privacy",
-    "social": "share sharing social follow tags",
-    "header": "header masthead site-header",
+    "nav": "nav navbar navigation menu menus breadcrumb breadcrumbs topbar toolbar pagination pager",
+    "footer": "footer",
+    "aside": "sidebar aside widget widgets related recommended recommendations",
+    "form": "login signup newsletter subscribe",
+    "advert": "ad ads adv advert advertisement advertising banner sponsored promo adsense",
+    "comments": "comment comments disqus replies commentlist",
+    "notice": "cookie cookies consent notice gdpr paywall",
+    "social": "share sharing social",
     "content_class": "content article post entry story body text main",
 }
+# Words that say little within an article or a content element: they count outside of them only.
+_WEAK_WORDS = {
+    "nav": "toc",
+    "footer": "foot colophon copyright legal",
+    "aside": "side more trending popular",
+    "form": "form search subscription register",
+    "advert": "sponsor promotion promoted",
+    "comments": "respond discussion reviews reply",
+    "notice": "popup modal overlay alert disclaimer privacy",
+    "social": "follow tags",
+    "header": "header masthead",
+}
 _CLASS = {w: n for n, words in _WORDS.items() for w in words.split()}
-_TOKEN = re.compile(r"<!--.*?(?:-->|\Z)|<(/?)([a-zA-Z][^\s/>]*)((?:\"[^\"]*\"|'[^']*'|[^>\"'])*+)>|<(/?)([a-zA-Z][^\s/>]*)([^>]*)>|<[!?][^>]*>", re.S)
-_ATTR = re.compile(r"\b(class|id|role|hidden|aria-hidden)\b(?:\s*=\s*(\"[^\"]*\"|'[^']*'|[^\s>]+))?", re.I)
+_WEAK = {w: n for n, words in _WEAK_WORDS.items() for w in words.split()}
+_NAME = re.compile(r"<(/?)([a-zA-Z][^\s/>]*)")
+_SPECIAL = re.compile(r">|=\s*[\"']")
+_ATTR = re.compile(r"([^\s\"'=<>/]++)(?:\s*+=\s*+(\"[^\"]*+\"|'[^']*+'|[^\s>]*+))?")
+_UNSEEN = re.compile(r"display\s*:\s*none", re.I)
 _SPLIT = re.compile(r"[^a-z]+")
 _SPACES = re.compile(r"\s+")
 _END = re.compile(r"[.!?…。！？:;\"”»)]$")
 
 
-def _flags_of(tag: str, attrs: str, memo: dict) -> int:
-    """Flags that an element gives to all blocks inside it; -1: hidden."""
+def _tags(page: str) -> Iterator[tuple[int, int, bool, str, str]]:
+    """(start, end, whether it closes, lower-case name, attributes) of tags; comments and declarations have no name.
+
+    A quoted value may hold any character; where quotes do not close before a tag does, the tag ends at its first ">". Time is
+    linear: what a failed look for the end of quoted values has passed is not passed again.
+    """
+    at, gt, special, dead = page.find("<"), -1, -1, set()
+
+    def quoted_end(start: int) -> int:
+        nonlocal special
+        if special < start:
+            m = _SPECIAL.search(page, start)
+            special = m.start() if m else len(page)
+        passed, m = [], _SPECIAL.match(page, special)
+        while m and page[m.start()] != ">" and m.start() not in dead:
+            passed.append(m.start())
+            close = page.find(m[0][-1], m.end())
+            m = _SPECIAL.search(page, close + 1) if close >= 0 else None
+        if m and page[m.start()] == ">":
+            return m.start()
+        dead.update(passed)
+        return -1
+
+    while at >= 0:
+        if gt < at:
+            gt = page.find(">", at)
+            if gt < 0:  # no tag ends any more: only an open comment can follow
+                at = page.find("<!--", at)
+                if at >= 0:
+                    yield at, len(page), False, "", ""
+                return
+        if page.startswith("<!--", at):
+            end = page.find("-->", at + 2)
+            end = len(page) if end < 0 else end + 3
+            yield at, end, False, "", ""
+        elif page.startswith(("<!", "<?"), at):
+            end = gt + 1
+            yield at, end, False, "", ""
+        elif m := _NAME.match(page, at):
+            end = quoted_end(m.end())
+            end = (gt if end < 0 else end) + 1
+            yield at, end, bool(m[1]), m[2].lower(), page[m.end() : end - 1]
+        else:
+            end = at + 1
+        at = page.find("<", end)
+
+
+def _flags_of(tag: str, attrs: str, memo: dict) -> tuple[int, int]:
+    """Flags that an element gives to all blocks inside it (-1: hidden), and those it gives outside of content only."""
     if (known := memo.get((tag, attrs))) is not None:
         return known
-    names = {_TAG_FLAG.get(tag), "header" if tag == "header" else None}
+    names, weak = {_TAG_FLAG.get(tag), "header" if tag == "header" else None}, set()
     hidden = False
     for m in _ATTR.finditer(attrs) if attrs else ():
         name, value = m[1].lower(), (m[2] or "").strip("\"'").lower()
         if name == "role":
             names.add(_ROLE.get(value))
         elif name in ("class", "id") and tag not in ("html", "body"):
-            names.update(_CLASS.get(w) for w in _SPLIT.split(value))
-        elif name == "hidden" or value == "true":
+            found = _SPLIT.split(value)
+            names.update(map(_CLASS.get, found))
+            weak.update(map(_WEAK.get, found))
+        elif name == "hidden" or name == "aria-hidden" and value == "true" or name == "style" and _UNSEEN.search(value):
             hidden = True
-    out = -1 if hidden else sum(_BIT[n] for n in names if n)
+    out = -1 if hidden else sum(_BIT[n] for n in names if n), sum(_BIT[n] for n in weak - names if n)
     if len(memo) > 4096:
         memo.clear()
-    memo[tag, attrs] = out
+    if len(attrs) <= 1024:
+        memo[tag, attrs] = out
     return out
 
 
@@ -90,7 +156,8 @@ def blocks(page: str | None, memo: dict | None = None) -> list[tuple[str, int, s
     """(text, flags, innermost block element, parent element's number, characters inside links), in page order."""
     page, memo = page or "", {} if memo is None else memo
     out: list[tuple[str, int, str, int, int]] = []
-    stack: list[tuple[str, int, int]] = [("", 0, 0)]  # element, flags with its ancestors', number
+    stack: list[tuple[str, int, int, int]] = [("", 0, 0, 0)]  # element, flags with its ancestors', number, place of the innermost block
+    places: dict[str, list[int]] = defaultdict(list)  # where in the stack each element is open
     parts: list[str] = []
     linked = links = gone = number = at = 0
 
@@ -99,7 +166,7 @@ def blocks(page: str | None, memo: dict | None = None) -> list[tuple[str, int, s
         if parts:
             text = _SPACES.sub(" ", "".join(parts)).strip()
             if text:
-                k = next((i for i in range(len(stack) - 1, 0, -1) if stack[i][0] in _BLOCK), 0)
+                k = stack[-1][3]
                 out.append((text, stack[-1][1], stack[k][0], stack[k - 1][2] if k else 0, linked))
             parts, linked = [], 0
 
@@ -114,63 +181,67 @@ def blocks(page: str | None, memo: dict | None = None) -> list[tuple[str, int, s
     def close(k: int):
         """Leave the elements from k on."""
         nonlocal gone, links
-        for tag, flags, _ in stack[k:]:
+        while len(stack) > k:
+            tag, flags, _, _ = stack.pop()
+            places[tag].pop()
             gone -= tag in _GONE or flags < 0
             links -= tag == "a"
-        del stack[k:]
 
-    while m := _TOKEN.search(page, at):
-        if m.start() > at:
-            add(page[at : m.start()])
-        at = m.end()
-        tag = m[2] or m[5]
+    def innermost(tags) -> int:
+        return max((places[t][-1] for t in tags if places.get(t)), default=0)
+
+    skip = 0
+    for start, end, closes, tag, attrs in _tags(page):
+        if start < skip:
+            continue
+        add(page[max(at, skip) : start])
+        at = end
         if not tag:
             continue
-        tag = tag.lower()
-        if m[1] or m[4]:
-            k = next((i for i in range(len(stack) - 1, 0, -1) if stack[i][0] == tag), 0)
-            if tag in _BLOCK:
+        if closes:
+            k = innermost((tag,))
+            if tag in _BLOCK or k and stack[-1][3] >= k:
                 flush()
             if k:
-                if any(s[0] in _BLOCK for s in stack[k:]):
-                    flush()
                 close(k)
             continue
-        attrs = m[3] or m[6] or ""
         if tag == "br":
             parts.append(" ")
             continue
         if tag in _BLOCK:
             flush()
-            ends, within = _CLOSES.get(tag, ({"p"}, _SCOPE)) if tag not in _CLOSES else _CLOSES[tag]
-            for i in range(len(stack) - 1, 0, -1):
-                if stack[i][0] in ends:
-                    close(i)
-                    break
-                if stack[i][0] in within:
-                    break
+            ends, within = _CLOSES.get(tag, ({"p"}, _SCOPE))
+            k = innermost(ends)
+            if k and k >= innermost(within):
+                close(k)
         if tag in _VOID or attrs.endswith("/"):
             continue
         if tag in _RAW and tag != "textarea":
-            end = re.compile(rf"</{tag}\b[^>]*(?:>|\Z)", re.I).search(page, at)
-            at = end.end() if end else len(page)
+            found = re.compile(rf"</{tag}\b[^>]*(?:>|\Z)", re.I).search(page, at)
+            skip = at = found.end() if found else len(page)
             continue
-        own = _flags_of(tag, attrs, memo)
+        own, weak = _flags_of(tag, attrs, memo)
         number += 1
         above = stack[-1][1]
         if own >= 0 and above >= 0:
+            if not above & _CONTENT:
+                own |= weak
             if own & _BIT["header"] and (above | own) & _BIT["article"]:
                 own &= ~_BIT["header"]  # an article's own header holds its title
-            stack.append((tag, above | own, number))
+            flags = above | own
         else:
-            stack.append((tag, -1, number))
-        gone += tag in _GONE or stack[-1][1] < 0
+            flags = -1
+        places[tag].append(len(stack))
+        stack.append((tag, flags, number, len(stack) if tag in _BLOCK else stack[-1][3]))
+        gone += tag in _GONE or flags < 0
         links += tag == "a"
         if tag == "body":
             # an unclosed head ends here
-            stack[:] = [("", 0, 0), stack[-1]]
-            gone, links = int(stack[-1][1] < 0), 0
-    add(page[at:])
+            stack[:] = [stack[0], ("body", flags, number, 1)]
+            places.clear()
+            places["body"].append(1)
+            gone, links = int(flags < 0), 0
+    add(page[max(at, skip) :])
     flush()
     return out
 
@@ -239,9 +310,7 @@ def main_text(page: str | None, weights: np.ndarray, memo: dict | None = None) -
     gain = np.clip(features(found) @ weights, -CLIP, CLIP).tolist()
     edges, last = [], {}
     for i, b in enumerate(found):
-        if i and gain[i] * gain[i - 1] < 0:
-            edges.append((i - 1, i, ADJACENT))
-        elif i:
+        if i:
             edges.append((i - 1, i, ADJACENT))
         if (j := last.get(b[3], -2)) >= 0:
             edges.append((j, i, SIBLING))
@@ -250,28 +319,42 @@ def main_text(page: str | None, weights: np.ndarray, memo: dict | None = None) -
     return "\n\n".join(b[0] for b, k in zip(found, keep) if k)
 
 
-def train(pages: DataFrame, key: str = "page_id", html: str = "html", train_pages: int = TRAIN_PAGES) -> np.ndarray:
-    """Weights fitted on at most train_pages pages (picked by a hash of the key), held near the prior ones.
+def train(pages: DataFrame, key: str = "page_id", html: str = "html", train_pages: int = TRAIN_PAGES, train_blocks: int = TRAIN_BLOCKS) -> np.ndarray:
+    """Weights fitted on at most train_pages whole pages (picked by a hash of the key) and train_blocks blocks of each, held
+    near the prior ones.
 
     Labels come from landmarks: a block inside an article element and in no boilerplate element is content, a block inside
-    a boilerplate element is not; others, and pages without an article, are left out.
+    a boilerplate element is not; others, and pages without an article, are left out. Each block is learnt twice, with its
+    landmarks and without them, so that length, links, punctuation and element have weights of their own where a page has no
+    landmarks. Executors make the features; the driver gets those alone.
     """
     w0 = np.array(list(PRIOR.values()))
     picked = pages.select(F.col(html).cast("string").alias("h"), F.xxhash64(key).alias("k")).filter("h IS NOT NULL").orderBy("k", F.xxhash64("h")).limit(train_pages)
-    xs, ys = [], []
-    for r in picked.select("h").toLocalIterator():
-        found = blocks(r["h"][: 1 << 20])
-        if not any(b[1] & _BIT["article"] for b in found):
-            continue
-        x = features(found)
-        for b, row in zip(found, x):
-            bad = b[1] & _BAD_MASK
-            if bad or b[1] & _BIT["article"]:
-                xs.append(row)
-                ys.append(0.0 if bad else 1.0)
-    if not xs:
+
+    def work(found):
+        for _, texts in found:
+            xs, ys = [np.zeros((0, len(_NAMES)))], []
+            for t in texts:
+                seen = blocks(t)
+                if any(b[1] & _BIT["article"] for b in seen):
+                    sure = [b for b in seen if b[1] & (_BAD_MASK | _BIT["article"])]
+                    sure = [sure[i] for i in np.unique(np.linspace(0, len(sure) - 1, min(len(sure), train_blocks)).astype(int))]
+                    xs.append(features(sure))
+                    ys += [0.0 if b[1] & _BAD_MASK else 1.0 for b in sure]
+            x = np.concatenate(xs)
+            yield [pa.array(list(x), pa.list_(pa.float64())), pa.array(ys, pa.float64())]
+
+    schema = T.StructType([T.StructField("x", T.ArrayType(T.DoubleType())), T.StructField("y", T.DoubleType())])
+    got = map_text(picked, [], "h", schema, work).toArrow()
+    if not got.num_rows:
         return w0
-    x, y, w = np.array(xs), np.array(ys), w0.copy()
+    x = np.array(got.column("x").combine_chunks().values).reshape(got.num_rows, -1)
+    y = got.column("y").to_numpy()
+    order = np.lexsort([*x.T, y])
+    x, y = x[order], np.tile(y[order], 2)
+    masked = x.copy()
+    masked[:, 1 : 1 + len(_FLAGS)] = 0
+    x, w = np.concatenate([x, masked]), w0.copy()
     for _ in range(200):
         p = 1 / (1 + np.exp(-np.clip(x @ w, -30, 30)))
         w -= 0.2 * (x.T @ (p - y) / len(y) + PRIOR_PULL * (w - w0))
