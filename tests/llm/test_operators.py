@@ -281,7 +281,8 @@ def test_toxicity(spark, data, docs, odd):
     chain = toxicity.train(df.filter("doc_id < 400"), y)
     out = toxicity.score(df.filter("doc_id >= 400"), chain).toPandas()
     assert (out["is_toxic"] == (out["doc_id"] % 4 == 0)).mean() > 0.98
-    assert out[out.doc_id % 4 == 0]["p_insult"].mean() > out[out.doc_id % 4 != 0]["p_insult"].mean()
+    kinds = [c for c in out.columns if c.startswith("p_kind")]
+    assert len(kinds) == toxicity.KINDS and out[out.doc_id % 4 == 0][kinds].sum(axis=1).mean() > 10 * out[out.doc_id % 4 != 0][kinds].sum(axis=1).mean()
     assert toxicity.score(odd, chain).count() == len(ODD)
     assert toxicity.keep_clean(odd, chain).columns == odd.columns and toxicity.keep_clean(odd, chain).count() == len(ODD)
     none = toxicity.train(docs.limit(0), labels)
