@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import contextlib
 import os
 import tempfile
 import uuid
@@ -33,16 +34,54 @@ def shared_folder(spark: SparkSession) -> str:
     return folder.rstrip("/")
 
 
+#: Tables written inside the temporary() blocks that are open, innermost last.
+_OPEN: list[list[DataFrame]] = []
+
+
 def materialise(df: DataFrame, label: str) -> DataFrame:
-    """Write df to a table in the shared folder and read it back: lineage is cut and lost executors cost nothing."""
+    """Write df to a table in the shared folder and read it back: lineage is cut and lost executors cost nothing.
+
+    Inside temporary() the table is deleted when the block ends, unless it is kept.
+    """
     spark = df.sparkSession
     path = f"{shared_folder(spark)}/gleanwork/{label}-{uuid.uuid4().hex}"
     df.write.parquet(path)
     out = spark.read.schema(df.schema).parquet(path)
     out._gleanwork_path = path
+    if _OPEN:
+        _OPEN[-1].append(out)
     return out
 
 
+@contextlib.contextmanager
+def temporary() -> Iterator[Callable[[DataFrame], DataFrame]]:
+    """Delete the tables that materialise() writes inside the block; the block's value marks one that is to stay.
+
+    A kept table belongs to the block around this one, if there is one.
+    """
+    kept: list[DataFrame] = []
+
+    def keep(df: DataFrame) -> DataFrame:
+        kept.append(df)
+        return df
+
+    _OPEN.append([])
+    try:
+        yield keep
+    finally:
+        written = _OPEN.pop()
+        for df in written:
+            if not any(df is k for k in kept):
+                discard(df)
+        if _OPEN:
+            _OPEN[-1] += kept
+
+
+def small(df: DataFrame, rows: int) -> bool:
+    """Whether df, a written table, has at most so many rows."""
+    return df.limit(rows + 1).count() <= rows
+
+
 def discard(df: DataFrame) -> None:
     """Delete a table that materialise() wrote and that no later plan reads."""
     path = getattr(df, "_gleanwork_path", None)

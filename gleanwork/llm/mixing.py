@@ -15,11 +15,13 @@ from __future__ import annotations
 import pandas as pd
 from pyspark.sql import Column, DataFrame, Window, functions as F
 
-from .common import materialise, table
+from .common import materialise, small, table, temporary
 
 BUDGET, MAX_REPEATS, WEIGHTS = 1.5, 2, (5.0, 2.0, 1.0)
 #: Least and most cells of a source's ranks, rows for each cell between the two, and documents that are walked at least.
-CELLS, MOST_CELLS, CELL_ROWS, EDGE = 512, 1 << 20, 1 << 12, 256
+CELLS, MOST_CELLS, CELL_ROWS, EDGE = 512, 1 << 20, 1 << 8, 256
+#: Sources, and documents at the cuts, that are broadcast; beyond, decisions are joined by key and hash of the text.
+BROADCAST_SOURCES, BROADCAST_EDGE = 1 << 14, 1 << 18
 
 
 def words_of(text: Column) -> Column:
@@ -104,21 +106,28 @@ class Mix:
             return f
 
         with_rest = per_source.alias("p").join(self.goal.alias("g"), F.col("p.source").eqNullSafe(F.col("g.source"))).select("p.source", "cells", "rest")
-        cuts = with_rest.select("source", "rest", F.aggregate("cells", begin, step(F.col("rest"))).alias("c")).select("source", "c.at", "c.upto", (F.col("rest") - F.col("c.before")).alias("rest_left"))
+        # Where nothing is left to draw there is no cut, and no document is walked.
+        cuts = with_rest.filter("rest > 0").select("source", "rest", F.aggregate("cells", begin, step(F.col("rest"))).alias("c")).select("source", "c.at", "c.upto", (F.col("rest") - F.col("c.before")).alias("rest_left"))
         self.goal = materialise(self.goal.alias("g").join(cuts.alias("c"), F.col("g.source").eqNullSafe(F.col("c.source")), "left").select("g.*", "at", "upto", "rest_left"), "mix-cuts")
         edge = self._ranked(drawn).filter((F.col("_size") > 0) & F.col("_cell").between(F.col("at"), F.col("upto")))
         edge = edge.groupBy(F.col("_key").alias("key"), F.col("_h").alias("h"), "source").agg(F.sum("_size").alias("words"), F.first("_rank").alias("rank"), F.first("rest_left").alias("rest_left"))
         self.edge = materialise(edge.groupBy("source").applyInPandas(_walk, "d_key string, d_h long, d_take boolean"), "mix-edge")
+        self.few = small(self.goal, BROADCAST_SOURCES) and small(self.edge, BROADCAST_EDGE)
+
+    few = False
+
+    def _side(self, df: DataFrame) -> DataFrame:
+        return F.broadcast(df) if self.few else df
 
     def _ranked(self, drawn: DataFrame) -> DataFrame:
-        df = drawn.join(self.goal, F.col("_source").eqNullSafe(self.goal["source"]), "left").drop("_source")
+        df = drawn.join(self._side(self.goal), F.col("_source").eqNullSafe(self.goal["source"]), "left").drop("_source")
         df = df.withColumn("_rank", _rank(F.col("_h"), F.try_element_at(F.col("odds"), F.col("_class"))))
         return df.withColumn("_cell", F.least(F.floor(F.col("_rank") * self.cells), F.lit(self.cells - 1)).cast("int"))
 
     def apply(self, drawn: DataFrame, keep: list[str]) -> DataFrame:
         """keep, size, source_size, target, copies, taken for each drawn row."""
         df = self._ranked(drawn)
-        df = df.join(self.edge, F.col("_key").eqNullSafe(F.col("d_key")) & (F.col("_h") == F.col("d_h")) & F.col("_cell").between(F.col("at"), F.col("upto")), "left")
+        df = df.join(self._side(self.edge), F.col("_key").eqNullSafe(F.col("d_key")) & (F.col("_h") == F.col("d_h")) & F.col("_cell").between(F.col("at"), F.col("upto")), "left")
         extra = F.coalesce(F.col("_cell") < F.col("at"), F.lit(False)) | F.coalesce(F.col("d_take"), F.lit(False)) | (F.col("at").isNull() & (F.col("rest") > 0))
         copies = F.when(F.col("_size") > 0, F.col("base") + extra.cast("int")).otherwise(F.lit(0))
         return df.select(*keep, F.col("_size").alias("size"), "source_size", "target", copies.alias("copies")).withColumn("taken", F.col("copies") * F.col("size"))
@@ -131,8 +140,11 @@ def plan_mix(docs: DataFrame, key: str = "doc_id", text: str = "text", source: s
     are taken alike; an empty table gives no rows. Reruns agree: ranks are hashes of key, text and seed. Extra columns are
     not read.
     """
-    drawn = materialise(draw(docs, key, text, source, seed).select(F.col(key).alias("key"), "_key", "_source", "_size", "_class", "_h"), "mix-drawn")
-    return Mix(drawn, budget, weights, max_repeats), drawn
+    with temporary() as keep:
+        drawn = keep(materialise(draw(docs, key, text, source, seed).select(F.col(key).alias("key"), "_key", "_source", "_size", "_class", "_h"), "mix-drawn"))
+        decided = Mix(drawn, budget, weights, max_repeats)
+        keep(decided.goal), keep(decided.edge)
+    return decided, drawn
 
 
 def mix(docs: DataFrame, key: str = "doc_id", **how) -> DataFrame:
@@ -142,10 +154,19 @@ def mix(docs: DataFrame, key: str = "doc_id", **how) -> DataFrame:
 
 
 def mixed_documents(docs: DataFrame, key: str = "doc_id", text: str = "text", source: str = "source", seed: int = 1, **how) -> DataFrame:
-    """docs with each row as often as the mix takes it, all columns as they were; texts are not shuffled while the sources' table is small enough to broadcast."""
-    decided, _ = plan_mix(docs, key=key, text=text, source=source, seed=seed, **how)
-    tagged = draw(docs.select(F.struct(*docs.columns).alias("_row"), docs[key], docs[text], docs[source]), key, text, source, seed).select("_row", "_key", "_source", "_size", "_class", "_h")
-    copies = decided.apply(tagged, ["_row"])
+    """docs with each row as often as the mix takes it, all columns as they were; odd rows as in plan_mix().
+
+    Where the sources and the documents at the cuts are few (the usual case) they are broadcast and texts are not shuffled.
+    Beyond, the decisions of the narrow table are joined to the rows, by key and hash of the text, which no source makes hot.
+    """
+    decided, drawn = plan_mix(docs, key=key, text=text, source=source, seed=seed, **how)
+    rows = docs.select(F.struct(*docs.columns).alias("_row"), docs[key], docs[text], docs[source])
+    if decided.few:
+        copies = decided.apply(draw(rows, key, text, source, seed).select("_row", "_key", "_source", "_size", "_class", "_h"), ["_row"])
+    else:
+        alike = decided.apply(drawn, ["_key", "_h"]).groupBy(F.col("_key").alias("d_key"), F.col("_h").alias("d_h")).agg(F.max("copies").alias("copies")).filter("copies > 0")
+        tagged = rows.select("_row", rows[key].cast("string").alias("_key"), F.xxhash64(rows[key], rows[text], F.lit(seed)).alias("_h"))
+        copies = tagged.join(alike, F.col("_key").eqNullSafe(F.col("d_key")) & (F.col("_h") == F.col("d_h")))
     return copies.filter("copies > 0").withColumn("_n", F.explode(F.sequence(F.lit(1), F.col("copies")))).select("_row.*")
 
 

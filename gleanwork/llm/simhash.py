@@ -16,7 +16,7 @@ import pyarrow as pa
 import xxhash
 from pyspark.sql import DataFrame, functions as F, types as T
 
-from .common import map_text, materialise, table
+from .common import map_text, materialise, table, temporary
 from .components import connected_components
 from .vptree import Router, link
 
@@ -104,14 +104,15 @@ def near_duplicates(docs: DataFrame, key: str = "doc_id", text: str = "text", re
     A null key never names a component unless all its keys are null. An empty table gives no rows. Every link of every
     size of group is followed; only classes of equal fingerprints are compared, never their members.
     """
-    fps = materialise(fingerprints(docs, key, text, width, row), "fingerprints")
-    classes = materialise(fps.groupBy("fp").agg(F.min("key").alias("rep")), "classes")
-    members = materialise(connected_components(class_links(classes, reach, **router)), "members")
-    reps = members.join(classes, members["node"] == classes["fp"]).select("fp", "root", "rep")
-    least = reps.groupBy("root").agg(F.min("rep").alias("least"))
-    linked = members.join(least, "root").select(F.col("node").alias("fp"), "root", "least")
-    # A table of its own, so that both sides of the last join are plain exchanges and a hot fingerprint can be split.
-    of_class = materialise(classes.join(linked, "fp", "left").select("fp", F.coalesce("root", "fp").alias("root"), F.coalesce("least", "rep").alias("component")), "components")
+    with temporary() as keep:
+        fps = keep(materialise(fingerprints(docs, key, text, width, row), "fingerprints"))
+        classes = materialise(fps.groupBy("fp").agg(F.min("key").alias("rep")), "classes")
+        members = materialise(connected_components(class_links(classes, reach, **router)), "members")
+        reps = members.join(classes, members["node"] == classes["fp"]).select("fp", "root", "rep")
+        least = reps.groupBy("root").agg(F.min("rep").alias("least"))
+        linked = members.join(least, "root").select(F.col("node").alias("fp"), "root", "least")
+        # A table of its own, so that both sides of the last join are plain exchanges and a hot fingerprint can be split.
+        of_class = keep(materialise(classes.join(linked, "fp", "left").select("fp", F.coalesce("root", "fp").alias("root"), F.coalesce("least", "rep").alias("component")), "components"))
     return fps.join(of_class, "fp").select(F.col("key").alias(key), "fp", "component", *(["row", "root"] if row else []))
 
 
