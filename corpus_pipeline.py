@@ -8,7 +8,7 @@ from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession, functions as F
 
-from gleanwork.llm.common import materialise, table
+from gleanwork.llm.common import discard, materialise, small, table, temporary
 from gleanwork.llm.decontaminate import contaminated, find_contamination
 from gleanwork.llm.mixing import mixed_documents
 from gleanwork.llm.shard import place
@@ -16,50 +16,70 @@ from gleanwork.llm.simhash import near_duplicates
 from gleanwork.llm.toxicity import keep_clean, train
 
 
+#: Rows that leave (or repeat), as two numbers each, that are broadcast to the texts; beyond, texts are joined by row.
+BROADCAST_ROWS = 1 << 20
+
+
 def toxicity(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Drops documents that the classifier chain rejects; the models are fitted on the labelled ones among docs."""
+    """Drops documents that the classifier chain rejects; the models are fitted on the labelled ones among docs.
+
+    Rows without a text, or without a word that the models know, stay; repeated rows share their verdict; an empty table stays
+    empty.
+    """
     return keep_clean(docs, train(docs, table(spark, sf_dir, "labels")))
 
 
 def identified(docs: DataFrame) -> DataFrame:
     """(r, row): each row of docs as a struct, and 128 bits of hash over all its columns and which of them are null."""
     parts = [x for c in docs.columns for x in (F.col(f"r.`{c}`").isNull(), F.col(f"r.`{c}`"))]
-    half = lambda seed: F.lpad(F.hex(F.xxhash64(F.lit(seed), *parts)), 16, "0")
-    return docs.select(F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("r")).select("r", F.concat(half(1), half(2)).alias("row"))
+    half = lambda seed: F.xxhash64(F.lit(seed), *parts)
+    return docs.select(F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("r")).select("r", F.struct(half(1).alias("a"), half(2).alias("b")).alias("row"))
 
 
 def near_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Keeps of each component one row: one with the least doc_id.
 
     A row without an id stays if no row with an id is in its component. Rows of one doc_id in several components are as many
-    documents. Rows are told apart by all their columns.
+    documents. Rows are told apart by all their columns; of equal rows one stays. Texts that are null, empty or without words are
+    one component. An empty table stays empty. Texts are not shuffled while the rows that leave are few enough to broadcast.
     """
     rows = identified(docs)
-    found = near_duplicates(rows.select("row", F.col("r.doc_id").alias("doc_id"), F.col("r.text").alias("text")), row="row")
-    alike = found.groupBy("root", "doc_id", "row").agg(F.count("*").alias("n"))
-    first = F.struct(F.col("doc_id").isNull(), "doc_id", "row")
-    keep = alike.groupBy("root").agg(F.min_by(F.struct("row", "n"), first).alias("k")).select(F.col("k.row").alias("kept"), F.col("k.n").alias("n"))
-    kept = rows.join(keep, rows["row"] == keep["kept"]).select("r", "row", "n")
-    alone, shared = kept.filter("n = 1"), kept.filter("n > 1")
-    one = shared.groupBy("row").agg(F.first("r").alias("r"))
-    return alone.select("r.*").union(one.select("r.*"))
+    with temporary() as stay:
+        found = near_duplicates(rows.select("row", F.col("r.doc_id").alias("doc_id"), F.col("r.text").alias("text")), row="row")
+        alike = materialise(found.groupBy("root", "doc_id", "row").agg(F.count("*").alias("n")), "alike")
+        first = F.struct(F.col("doc_id").isNull(), "doc_id", "row")
+        kept = alike.groupBy("root").agg(F.min_by("row", first).alias("kept")).select("kept")
+        marked = alike.join(kept, alike["row"] == kept["kept"], "left").select("row", "n", F.col("kept").isNotNull().alias("stays"))
+        # Rows that leave, and those that stay once though they are there n times.
+        special = stay(materialise(marked.filter("NOT stays OR n > 1").select(F.col("row").alias("special"), "stays"), "special"))
+    side = F.broadcast if small(special, BROADCAST_ROWS) else lambda df: df
+    plain = rows.join(side(special.select("special")), rows["row"] == F.col("special"), "left_anti").select("r.*")
+    repeated = special.filter("stays").select("special")
+    if not repeated.take(1):
+        return plain
+    once = rows.join(side(repeated), rows["row"] == F.col("special"), "left_semi").groupBy("row").agg(F.first("r").alias("r"))
+    return plain.union(once.select("r.*"))
 
 
 def decontaminate(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Drops rows with at least one word in twenty inside a benchmark window; other rows of the same doc_id stay."""
-    rows = identified(docs)
-    found = find_contamination(rows.select("row", F.col("r.text").alias("text")), table(spark, sf_dir, "benchmark"), key="row")
-    bad = found.filter(contaminated(F.col("n_hit"), F.col("n_words"))).select(F.col("row").alias("bad")).dropDuplicates()
-    return rows.join(bad, rows["row"] == bad["bad"], "left_anti").select("r.*")
+    """Drops rows with at least one word in twenty inside a benchmark window; other rows of the same doc_id stay.
+
+    The rows go through the search as they are, so nothing is joined or shuffled. Rows without words stay, equal rows share their
+    verdict, an empty benchmark drops nothing, an empty table stays empty.
+    """
+    packed = docs.select(F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("row"), F.col("text"))
+    found = find_contamination(packed, table(spark, sf_dir, "benchmark"), key="row")
+    return found.filter(~contaminated(F.col("n_hit"), F.col("n_words"))).select("row.*")
 
 
 def mixing(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Each document as often as the mix takes it."""
+    """Each document as often as the mix takes it; texts without words are never taken, equal rows are taken alike, rows without
+    a source are a source of their own, an empty table stays empty."""
     return mixed_documents(docs)
 
 
 def sharding(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """The mixed documents with their shard."""
+    """The mixed documents with their shard; rows without an id share one, copies of a row share one."""
     return place(docs)
 
 
@@ -70,7 +90,11 @@ ORACLE_SQL = None
 
 
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The rows of the last stage. What a stage read is deleted once its own result is written."""
     docs = table(spark, sf_dir, "documents")
     for name, stage in STAGES[:-1]:
-        docs = materialise(stage(spark, docs, sf_dir), f"pipeline-{name}")
+        before = docs
+        with temporary() as keep:
+            docs = keep(materialise(stage(spark, before, sf_dir), f"pipeline-{name}"))
+        discard(before)
     return STAGES[-1][1](spark, docs, sf_dir)
