@@ -115,7 +115,20 @@ def windows_of(held: Column, n: int) -> Column:
 def hold(df: DataFrame, **columns: Column) -> DataFrame:
     """df with computed columns that later lambdas may use freely: a generator keeps the optimizer from copying them in."""
     made = F.explode(F.array(F.struct(*[c.alias(n) for n, c in columns.items()]))).alias("_held")
-    return df.select("*", made).select(*[F.col(c) for c in df.columns], *[F.col(f"_held.{n}").alias(n) for n in columns])
+    return df.select("*", made).select(*[F.col(f"`{c}`") for c in df.columns if c not in columns], *[F.col(f"_held.{n}").alias(n) for n in columns])
+
+
+#: Input, as the plan estimates it, that spread() deals anew.
+SMALL_BYTES = 256 << 20
+
+
+def spread(df: DataFrame) -> DataFrame:
+    """A small input dealt over all cores: a file of one row group is one task otherwise. Larger inputs, which have enough
+    splits of their own, stay as they are.
+    """
+    size = df._jdf.queryExecution().optimizedPlan().stats().sizeInBytes()
+    cores = df.sparkSession.sparkContext.defaultParallelism
+    return df.repartition(cores) if cores > 1 and int(str(size)) <= SMALL_BYTES else df
 
 
 def md5_long(text: Column, digits: int = 15) -> Column:

@@ -11,10 +11,13 @@ import os
 import tempfile
 import uuid
 
-from pyspark.sql import Column, DataFrame, Window, functions as F
+from pyspark.sql import Column, DataFrame, SparkSession, functions as F
 
 from . import minhash
 
+#: Keys that are broadcast at most.
+BROADCAST_ROWS = 1 << 20
+
 
 def recency(key: Column, snapshots: int = 21, days: int = 50) -> tuple[Column, Column]:
     """(snapshot_ix, crawl_ts): a stand-in for crawl time, from the id."""
@@ -22,24 +25,55 @@ def recency(key: Column, snapshots: int = 21, days: int = 50) -> tuple[Column, C
     return ix, F.to_timestamp(F.date_add(F.lit("2020-09-20").cast("date"), ix * days))
 
 
-def save(df: DataFrame, label: str) -> DataFrame:
-    """A written table in the folder all executors share (spark.checkpoint.dir; temporary where unset): cuts lineage."""
-    spark = df.sparkSession
+def shared_folder(spark: SparkSession) -> str:
+    """The folder all executors share: spark.checkpoint.dir, or a temporary one where it is unset, on one machine only."""
     folder = spark.conf.get("spark.checkpoint.dir", None)
     if not folder:
         if not spark.sparkContext.master.startswith("local"):
             raise ValueError("set spark.checkpoint.dir to a folder that all executors share")
         folder = "file://" + tempfile.mkdtemp(prefix=f"gleanwork-{os.getpid()}-")
-    path = f"{folder.rstrip('/')}/gleanwork/{label}-{uuid.uuid4().hex}"
+    return f"{folder.rstrip('/')}/gleanwork"
+
+
+def save(df: DataFrame, label: str) -> DataFrame:
+    """A written table in the shared folder: cuts lineage, and lost executors cost nothing."""
+    spark = df.sparkSession
+    path = f"{shared_folder(spark)}/{label}-{uuid.uuid4().hex}"
     df.write.parquet(path)
     return spark.read.schema(df.schema).parquet(path)
 
 
+def without(df: DataFrame, losers: DataFrame, key: str) -> DataFrame:
+    """df without the keys of losers, a written table: broadcast while it has at most BROADCAST_ROWS, so that texts stay where
+    they are; beyond, joined by a shuffle.
+    """
+    few = losers.limit(BROADCAST_ROWS + 1).count() <= BROADCAST_ROWS
+    return df.join(F.broadcast(losers) if few else losers, key, "left_anti")
+
+
 def keep_newest(keys: DataFrame, order: list[str], key: str = "doc_id") -> DataFrame:
-    """Losers of the pairwise reading, distinct keys. keys: (key, band, bucket, *order); two shuffles, linear in any bucket."""
+    """Losers of the pairwise reading, distinct keys. keys: (key, band, bucket, *order).
+
+    The newest of each bucket comes from a max with partial sums, and only buckets of several rows are joined back, so a hot
+    bucket is never one task's window. Linear in any bucket.
+    """
+    rank = F.struct(*order, key)
+    newest = keys.groupBy("band", "bucket").agg(F.max(rank).alias("_newest"), F.count("*").alias("_n")).filter("_n > 1")
+    return keys.join(newest, ["band", "bucket"]).filter(rank < F.col("_newest")).select(key).distinct()
+
+
+def newest_of_digests(found: DataFrame, order: list[str], key: str = "doc_id") -> DataFrame:
+    """Losers of the pairwise reading from minhash.digests(), which is a written table.
+
+    Rows of one signature share all their buckets: the newest of them stands for all, the others lose. Only those that stand
+    for others are dealt to buckets, so copies never make a bucket hot.
+    """
     rank = F.struct(*order, key)
-    newest = F.max(rank).over(Window.partitionBy("band", "bucket"))
-    return keys.withColumn("_rank", rank).withColumn("_newest", newest).filter(F.col("_rank") < F.col("_newest")).select(key).distinct()
+    best = found.groupBy("whole").agg(F.max(rank).alias("_best"), F.count("*").alias("_n"))
+    copies = found.join(best.filter("_n > 1"), "whole").filter(rank < F.col("_best")).select(key)
+    alone = found.join(best, "whole").filter(rank == F.col("_best"))
+    keys = alone.select(key, *order, F.posexplode("buckets").alias("band", "bucket"))
+    return copies.union(keep_newest(keys, order, key)).distinct()
 
 
 def components(edges: DataFrame) -> DataFrame:
@@ -86,17 +120,15 @@ def keep_greedy(edges: DataFrame, rank: DataFrame, order: list[str], key: str =
 
 def run(df: DataFrame, bands: int = minhash.BANDS, rows: int = minhash.ROWS, n: int = minhash.SHINGLE, order: tuple[str, ...] = ("crawl_ts",), mode: str = "pairwise", family: str = "poly", key: str = "doc_id", text: str = "text", seed: int = 1) -> DataFrame:
     """df without the documents that lose. df has the order columns; empty texts have no buckets and stay."""
-    sigs = minhash.signatures(df, rows, bands, n, family, seed, key, text)
-    keys = minhash.band_keys(sigs, rows, bands, key)
-    rank = df.select(key, *order)
-    if mode == "pairwise":
-        losers = keep_newest(keys.join(rank, key), list(order), key)
-    elif mode in ("component", "greedy"):
-        pairs = save(minhash.candidate_pairs(keys, key, star=mode == "component"), "pairs")
-        losers = (keep_component if mode == "component" else keep_greedy)(pairs, rank, list(order), key)
-    else:
+    if mode not in ("pairwise", "component", "greedy"):
         raise ValueError("mode is pairwise, component or greedy")
-    return df.join(losers, key, "left_anti")
+    if mode == "pairwise":
+        found = save(minhash.digests(df, rows, bands, n, family, seed, key, text, tuple(order)), "digests")
+        return without(df, save(newest_of_digests(found, list(order), key), "losers"), key)
+    keys = minhash.band_keys(minhash.signatures(df, rows, bands, n, family, seed, key, text), rows, bands, key)
+    pairs = save(minhash.candidate_pairs(keys, key, star=mode == "component"), "pairs")
+    losers = (keep_component if mode == "component" else keep_greedy)(pairs, df.select(key, *order), list(order), key)
+    return without(df, save(losers.distinct(), "losers"), key)
 
 
 def survival_by(df: DataFrame, survivors: DataFrame, period: str, key: str = "doc_id") -> DataFrame:

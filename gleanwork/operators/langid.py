@@ -6,8 +6,6 @@ SQL as oracle), and weights trained on hashed character n-grams (a trained model
 
 from __future__ import annotations
 
-import zlib
-from collections import Counter
 from dataclasses import dataclass
 
 import numpy as np
@@ -32,19 +30,31 @@ def foreign_words(code: str) -> list[str]:
     return sorted({w for c, ws in FUNCTION_WORDS.items() if c != code for w in ws if w not in mine})
 
 
-def score(text: Column, code: str) -> Column:
-    """(own - foreign function words) / words; empty text 0."""
-    w = ts.words(text)
+def score_of(w: Column, code: str) -> Column:
+    """(own - foreign function words) / words, of a list of words; an empty one 0. Hold the words where several uses follow."""
     return ts.ratio(_hits(w, own_words(code)) - _hits(w, foreign_words(code)), F.size(w))
 
 
+def score(text: Column, code: str) -> Column:
+    return score_of(ts.words(text), code)
+
+
+def in_language(df: DataFrame, code: str, text: str = "text", threshold: float = THRESHOLD) -> DataFrame:
+    """The rows whose text is in the language; the words are taken once."""
+    held = ts.hold(df, _words=ts.words(F.col(text)))
+    return held.filter(F.coalesce(score_of(F.col("_words"), code) > threshold, F.lit(False))).select(df.columns)
+
+
 def is_target(text: Column, code: str, threshold: float = THRESHOLD) -> Column:
     return F.coalesce(score(text, code) > threshold, F.lit(False))
 
 
 def function_word_vote(text: Column) -> Column:
     """The language with most function words; a tie or no hit gives 'und'."""
-    w = ts.words(text)
+    return vote_of(ts.words(text))
+
+
+def vote_of(w: Column) -> Column:
     votes = {c: _hits(w, ws) for c, ws in FUNCTION_WORDS.items()}
     top = F.greatest(*votes.values())
     ties = sum(((v == top).cast("int") for v in votes.values()), F.lit(0))
@@ -56,18 +66,21 @@ def _hits(w: Column, listed: list[str]) -> Column:
     return F.size(F.filter(w, lambda x: x.isin(listed)))
 
 
-def ngram_counts(text: str) -> dict[int, float]:
-    """Hashed counts of character 1- to 3-grams of the whole lower-cased text, L2-normalised."""
-    t = " " + (text or "").lower() + " "
-    if len(t) == 2:
-        return {}
-    counts: dict[int, float] = {}
-    for n in (1, 2, 3):
-        for gram, m in Counter(map("".join, zip(*(t[i:] for i in range(n))))).items():
-            h = zlib.crc32(gram.encode("utf-8", "surrogatepass")) & ((1 << BITS) - 1)
-            counts[h] = counts.get(h, 0.0) + m
-    norm = sum(v * v for v in counts.values()) ** 0.5
-    return {k: v / norm for k, v in counts.items()}
+#: Multipliers that mix the code points of a gram into its feature number, by length of the gram.
+_MIX = [np.array(m, np.uint64) for m in ([0x9E3779B97F4A7C15], [0xC2B2AE3D27D4EB4F, 0x165667B19E3779F9], [0xD6E8FEB86659FD93, 0xA0761D6478BD642F, 0xE7037ED1A0B428DB])]
+
+
+def ngram_counts(text: str) -> tuple[np.ndarray, np.ndarray]:
+    """(feature numbers, values): hashed counts of character 1- to 3-grams of the whole lower-cased text, L2-normalised."""
+    if not text:
+        return np.zeros(0, np.int64), np.zeros(0)
+    code = np.frombuffer(f" {text.lower()} ".encode("utf-32-le", "surrogatepass"), np.uint32).astype(np.uint64)
+    found = []
+    for mix in _MIX:
+        h = sum((code[k : len(code) - len(mix) + 1 + k] * m for k, m in enumerate(mix)), np.uint64(len(mix)))
+        found.append((h ^ h >> np.uint64(31)) * np.uint64(0x9E3779B97F4A7C15) >> np.uint64(64 - BITS))
+    ids, counts = np.unique(np.concatenate(found), return_counts=True)
+    return ids.astype(np.int64), counts / np.sqrt((counts.astype(float) ** 2).sum())
 
 
 @dataclass
@@ -76,16 +89,14 @@ class LangModel:
     threshold: float
 
     def score(self, text: str | None) -> float:
-        found = ngram_counts(text or "")
-        if not found:
-            return -1e9
-        return float(sum(self.weights[k] * v for k, v in found.items()) + self.weights[-1])
+        ids, values = ngram_counts(text or "")
+        return float(self.weights[ids] @ values + self.weights[-1]) if len(ids) else -1e9
 
 
 def train(df: DataFrame, label: Column, key: str = "doc_id", text: str = "text", rows: int = TRAIN_ROWS, epochs: int = 12) -> LangModel:
     """Logistic regression on at most rows labelled texts picked by a hash of the key; threshold of maximal F1 on a fifth."""
     picked = df.select(F.col(text).cast("string").alias("t"), label.cast("int").alias("y"), F.xxhash64(key).alias("h")).filter("t IS NOT NULL AND y IS NOT NULL").orderBy("h", "t").limit(rows).toArrow()
-    data = [(np.array(list(f), np.int64), np.array(list(f.values())), y) for t, y in zip(picked.column("t").to_pylist(), picked.column("y").to_pylist()) if (f := ngram_counts(t))]
+    data = [(*ngram_counts(t), y) for t, y in zip(picked.column("t").to_pylist(), picked.column("y").to_pylist()) if t]
     w = np.zeros((1 << BITS) + 1)
     fit, held = [d for i, d in enumerate(data) if i % 5], [d for i, d in enumerate(data) if i % 5 == 0]
     rng = np.random.default_rng(1)

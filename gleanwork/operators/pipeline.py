@@ -6,6 +6,7 @@ from dataclasses import dataclass
 
 from pyspark.sql import DataFrame, functions as F
 
+from ..functions import textstats as ts
 from ..profiles import LanguageProfile
 from . import dedup, gate, hosts, htmltext, langid, metrics, normalize, quality, repetition
 
@@ -17,12 +18,12 @@ def extract_stage(pages: DataFrame, code: str, gate_mode: str = "either", form:
     """
     gated = gate.rapid_gate(pages, code, gate_mode)
     if detect_before_extract:
-        gated = gated.filter(langid.is_target(F.col("html"), code))
+        gated = langid.in_language(gated, code, "html")
     if form == "regex":
-        out = gated.withColumn("text", htmltext.extract_main_text(F.col("html"))).drop("html")
+        out = ts.hold(gated, text=htmltext.extract_main_text(F.col("html"))).drop("html")
     else:
         out = gated.drop("html").join(htmltext.extract(gated), "page_id")
-    return out if detect_before_extract else out.filter(langid.is_target(F.col("text"), code))
+    return out if detect_before_extract else langid.in_language(out, code)
 
 
 def quality_stage(df: DataFrame, profile: LanguageProfile, key: str = "doc_id", with_repetition: bool = True) -> DataFrame:

@@ -10,8 +10,9 @@ from ..profiles import LanguageProfile, Thresholds
 RULES = ["length", "hiragana", "katakana", "script", "mean_sentence", "longest_sentence", "ellipsis"]
 
 
-def rule_values(text: Column) -> dict[str, Column]:
-    parts = ts.sentences(text)
+def rule_values(text: Column, parts: Column | None = None) -> dict[str, Column]:
+    """parts: the text's sentences, where they are held already."""
+    parts = ts.sentences(text) if parts is None else parts
     return {
         "length": F.length(text).cast("double"),
         "hiragana": ts.hiragana_share(text),
@@ -42,12 +43,16 @@ def annotate(df: DataFrame, profile: LanguageProfile, text: str = "text", rules:
 
     Null text counts as empty. Kana rules take part only in profiles of such scripts.
     """
-    body = F.coalesce(F.col(text), F.lit(""))
     names = rules or [r for r in RULES if profile.kana_rules or r not in ("hiragana", "katakana", "script")]
-    values = {k: v for k, v in rule_values(body).items() if k in names}
-    df = df.withColumns({f"q_{k}": v for k, v in values.items()} | {"q_harmful": ts.term_share(body, profile.harmful)})
+    columns = df.columns
+    # Text and sentences are computed once; left as expressions they would be copied into every rule.
+    df = ts.hold(df, _body=F.coalesce(F.col(text), F.lit("")))
+    df = ts.hold(df, _sentences=ts.sentences(F.col("_body")))
+    values = {k: v for k, v in rule_values(F.col("_body"), F.col("_sentences")).items() if k in names}
+    df = ts.hold(df, **{f"q_{k}": v for k, v in values.items()}, q_harmful=ts.term_share(F.col("_body"), profile.harmful))
     flags = rule_flags({k: F.col(f"q_{k}") for k in values}, profile.thresholds) | {"harmful": F.col("q_harmful") > profile.thresholds.max_harmful}
-    return df.withColumn("reasons", F.array_compact(F.array(*[F.when(f, F.lit(k)) for k, f in flags.items()])))
+    reasons = F.array_compact(F.array(*[F.when(f, F.lit(k)) for k, f in flags.items()])).alias("reasons")
+    return df.select(*[F.col(f"`{c}`") for c in columns], *[f"q_{k}" for k in values], "q_harmful", reasons)
 
 
 def apply(df: DataFrame, profile: LanguageProfile, text: str = "text", rules: list[str] | None = None) -> DataFrame:

@@ -16,7 +16,9 @@ GLOBS = [f"*{ENCYCLOPEDIA_SUFFIX}", f"*{FORUM_SUFFIX}"]
 
 
 def table(spark: SparkSession, d: str, name: str) -> DataFrame:
-    return spark.read.parquet(f"{d}/{name}.parquet")
+    """A given table; small tables of texts are dealt over all cores."""
+    df = spark.read.parquet(f"{d}/{name}.parquet")
+    return ts.spread(df) if name in ("documents", "pages") else df
 
 
 def query(name: str, sql: str | None = None):
@@ -81,10 +83,6 @@ ELLIPSIS_SQL = r"(CASE WHEN doc_id % 5 = 0 THEN regexp_replace(text, '([^.\n]+)\
 MARKS_SQL = "(" + " OR ".join(f"ends_with(regexp_replace(regexp_replace(s, '[\"''”’」』)）\\]]+$', ''), '([…‥])[.。]$', '\\1'), '{m}')" for m in ELLIPSES) + ")"
 
 
-def gate_flags(html: Column) -> dict[str, Column]:
-    return {c: gate.gate_flag(html, c) for c in TARGETS}
-
-
 @query("w01_gate_declared", f"SELECT page_id, {DECLARED_SQL} AS declared, " + ", ".join(f"{DECLARED_SQL} = '{c}' AS is_{c}" for c in TARGETS) + f" FROM {VIEW_SQL}")
 def w01(spark, d):
     v = gate.gate_view(table(spark, d, "pages"))
@@ -94,7 +92,9 @@ def w01(spark, d):
 @query("w02_gate_title", f"SELECT page_id, md5(t) AS title_md5, " + ", ".join(f"t <> '' AND {score_sql('t', c)} > 0.05 AS is_{c}" for c in TARGETS) + f" FROM (SELECT page_id, {TITLE_SQL} AS t FROM {VIEW_SQL})")
 def w02(spark, d):
     v = gate.gate_view(table(spark, d, "pages"))
-    return v.select("page_id", F.md5(gate.title(F.col("html")).cast("binary")).alias("title_md5"), *[gate.title_matches(F.col("html"), c).alias(f"is_{c}") for c in TARGETS])
+    held = ts.hold(v, _t=gate.title(F.col("html")))
+    held = ts.hold(held, _w=ts.words(F.col("_t")))
+    return held.select("page_id", F.md5(F.col("_t").cast("binary")).alias("title_md5"), *[((F.col("_t") != "") & (langid.score_of(F.col("_w"), c) > langid.THRESHOLD)).alias(f"is_{c}") for c in TARGETS])
 
 
 def either_sql(c: str) -> str:
@@ -103,8 +103,8 @@ def either_sql(c: str) -> str:
 
 @query("w03_gate_either", "SELECT page_id, " + ", ".join(f"{either_sql(c)} AS is_{c}" for c in TARGETS) + f" FROM {VIEW_SQL}")
 def w03(spark, d):
-    v = gate.gate_view(table(spark, d, "pages"))
-    return v.select("page_id", *[f.alias(f"is_{c}") for c, f in gate_flags(F.col("html")).items()])
+    v, flags = gate.held_gate(gate.gate_view(table(spark, d, "pages")), TARGETS)
+    return v.select("page_id", *[f.alias(f"is_{c}") for c, f in flags.items()])
 
 
 MAIN_SQL = "html"
@@ -132,9 +132,9 @@ MAIN_SQL, VISIBLE_SQL = tidy_sql(MAIN_SQL), tidy_sql(VISIBLE_SQL, "|nav")
   n AS (SELECT lang, count(*) FILTER (t AND g) AS tp, count(*) FILTER (NOT t AND g) AS fp, count(*) FILTER (t AND NOT g) AS fn, count(*) FILTER (NOT t AND NOT g) AS tn FROM f GROUP BY lang)
   SELECT *, round(tp / nullif(tp + fp, 0)::DOUBLE, 6) AS precision, round(tp / nullif(tp + fn, 0)::DOUBLE, 6) AS recall, round(2 * tp / nullif(2 * tp + fp + fn, 0)::DOUBLE, 6) AS f1, round(fn / nullif(tp + fn, 0)::DOUBLE, 6) AS lost FROM n""")
 def w04(spark, d):
-    v = gate.gate_view(table(spark, d, "pages")).withColumn("body", htmltext.extract_main_text(F.col("html")))
-    flags = gate_flags(F.col("html"))
-    rows = F.array(*[F.struct(F.lit(c).alias("lang"), langid.is_target(F.col("body"), c).alias("t"), flags[c].alias("g")) for c in TARGETS])
+    v, flags = gate.held_gate(gate.gate_view(table(spark, d, "pages")), TARGETS)
+    v = ts.hold(v, _w=ts.words(htmltext.extract_main_text(F.col("html"))))
+    rows = F.array(*[F.struct(F.lit(c).alias("lang"), F.coalesce(langid.score_of(F.col("_w"), c) > langid.THRESHOLD, F.lit(False)).alias("t"), flags[c].alias("g")) for c in TARGETS])
     out = metrics.confusion(v.select(F.explode(rows).alias("r")).select("r.*"), F.col("t"), F.col("g"), ["lang"])
     return out.select("lang", "tp", "fp", "fn", "tn", *[r6(F.col(c)).alias(c) for c in ("precision", "recall", "f1", "lost")])
 
@@ -143,9 +143,10 @@ def w04(spark, d):
   m AS (SELECT 'off' AS mode, count(*) AS pages, sum(n) AS chars FROM p UNION ALL SELECT 'either', count(*), sum(n) FROM p WHERE dec OR tit UNION ALL SELECT 'declared', count(*), sum(n) FROM p WHERE dec UNION ALL SELECT 'title', count(*), sum(n) FROM p WHERE tit)
   SELECT mode, pages, chars::BIGINT AS chars, round((SELECT sum(n) FROM p) / chars::DOUBLE, 6) AS saving FROM m""")
 def w05(spark, d):
-    v = gate.gate_view(table(spark, d, "pages"))
-    h, n = F.col("html"), F.length("html")
-    one = v.agg(*[F.struct(F.count_if(F.coalesce(gate.gate_flag(h, "fr", m), F.lit(False))).alias("pages"), F.sum(F.when(F.coalesce(gate.gate_flag(h, "fr", m), F.lit(False)), n)).alias("chars")).alias(m) for m in ("off", "either", "declared", "title")])
+    v = ts.hold(gate.gate_view(table(spark, d, "pages")), _declared=gate.declares_language(F.col("html"), "fr"), _title=gate.title(F.col("html")), _n=F.length("html"))
+    v = ts.hold(v, _titled=(F.col("_title") != "") & langid.is_target(F.col("_title"), "fr"))
+    passes = {"off": F.lit(True), "either": F.col("_declared") | F.col("_titled"), "declared": F.col("_declared"), "title": F.col("_titled")}
+    one = v.agg(*[F.struct(F.count_if(F.coalesce(p, F.lit(False))).alias("pages"), F.sum(F.when(p, F.col("_n"))).alias("chars")).alias(m) for m, p in passes.items()])
     rows = F.array(*[F.struct(F.lit(m).alias("mode"), F.col(f"{m}.pages").alias("pages"), F.col(f"{m}.chars").alias("chars"), r6(F.col("off.chars") / F.col(f"{m}.chars").cast("double")).alias("saving")) for m in ("off", "either", "declared", "title")])
     return one.select(F.explode(rows).alias("r")).select("r.*")
 
@@ -176,7 +177,8 @@ def w07(spark, d):
 
 @query("w08_langid_score", "SELECT doc_id, " + ", ".join(f"round({score_sql('text', c)}, 6) AS score_{c}" for c in FUNCTION_WORDS) + " FROM documents")
 def w08(spark, d):
-    return table(spark, d, "documents").select("doc_id", *[r6(langid.score(F.col("text"), c)).alias(f"score_{c}") for c in FUNCTION_WORDS])
+    held = ts.hold(table(spark, d, "documents"), _w=ts.words(F.col("text")))
+    return held.select("doc_id", *[r6(langid.score_of(F.col("_w"), c)).alias(f"score_{c}") for c in FUNCTION_WORDS])
 
 
 @query("w08b_langid_trained")
@@ -198,7 +200,8 @@ VOTE_SQL = "list_value(" + ", ".join(f"len(list_filter(w, lambda x: list_contain
   p AS (SELECT lang, CASE WHEN list_max(n) = 0 OR len(list_filter(n, lambda x: x = list_max(n))) > 1 THEN 'und' ELSE list_extract({lst(FUNCTION_WORDS)}, list_position(n, list_max(n))::INT) END AS predicted FROM v)
   SELECT lang, predicted, count(*) AS n FROM p GROUP BY ALL""")
 def w09(spark, d):
-    return table(spark, d, "documents").groupBy("lang", langid.function_word_vote(F.col("text")).alias("predicted")).agg(F.count("*").alias("n"))
+    held = ts.hold(table(spark, d, "documents"), _w=ts.words(F.col("text")))
+    return held.select("lang", langid.vote_of(F.col("_w")).alias("predicted")).groupBy("lang", "predicted").agg(F.count("*").alias("n"))
 
 
 @query("w10_language_share", f"SELECT 'documents' AS src, lang, count(*) AS n, round(count(*) / sum(count(*)) OVER ()::DOUBLE, 6) AS share FROM documents GROUP BY lang UNION ALL SELECT 'pages', {DECLARED_SQL}, count(*), round(count(*) / sum(count(*)) OVER ()::DOUBLE, 6) FROM pages GROUP BY 2")
@@ -625,9 +628,9 @@ def w45c(spark, d):
   SELECT 0 AS ix, 'gate' AS stage, count(*) AS pages, coalesce(sum(length(text)), 0)::BIGINT AS chars FROM x UNION ALL SELECT 1, 'precise', count(*), coalesce(sum(length(text)), 0)::BIGINT FROM p UNION ALL SELECT 2, 'quality', count(*), coalesce(sum(length(text)), 0)::BIGINT FROM q UNION ALL SELECT 3, 'hosts', count(*), coalesce(sum(length(text)), 0)::BIGINT FROM h UNION ALL SELECT 4, 'clean', count(*), coalesce(sum(length({footer_sql(punct_sql('text'))})), 0)::BIGINT FROM h""")
 def w46(spark, d):
     v = gate.gate_view(table(spark, d, "pages")).withColumn("host", hosts.host_of(F.col("url")))
-    x = gate.rapid_gate(v, "fr").withColumn("text", htmltext.extract_main_text(F.col("html"))).drop("html")
-    p = x.filter(langid.is_target(F.col("text"), "fr"))
-    q = quality.apply(p, MILD)
+    x = dedup.save(ts.hold(gate.rapid_gate(v, "fr"), text=htmltext.extract_main_text(F.col("html"))).drop("html"), "gated")
+    p = langid.in_language(x, "fr")
+    q = dedup.save(quality.apply(p, MILD), "quality")
     h = hosts.apply(q, block(spark, hosted(spark, d)))
     return metrics.stage_sizes([("gate", x), ("precise", p), ("quality", q), ("hosts", h), ("clean", normalize.run(h))])
 
@@ -636,8 +639,8 @@ def w46(spark, d):
 def w46d(spark, d):
     ix, when = dedup.recency(F.col("page_id"))
     v = gate.gate_view(table(spark, d, "pages")).withColumns({"host": hosts.host_of(F.col("url")), "crawl_ts": when})
-    x = gate.rapid_gate(v, "fr").withColumn("text", htmltext.extract_main_text(F.col("html"))).drop("html")
-    p = x.filter(langid.is_target(F.col("text"), "fr"))
+    x = dedup.save(ts.hold(gate.rapid_gate(v, "fr"), text=htmltext.extract_main_text(F.col("html"))).drop("html"), "gated")
+    p = langid.in_language(x, "fr")
     return metrics.stage_sizes([("gate", x), ("precise", p), *whole(p, "page_id", "host", lambda dd: block(spark, hosted(spark, d)))])
 
 

@@ -2,8 +2,6 @@
 
 from __future__ import annotations
 
-import os
-import tempfile
 import uuid
 from collections.abc import Callable
 
@@ -13,8 +11,7 @@ from ..operators import dedup, minhash
 
 
 def scratch(spark: SparkSession, label: str) -> str:
-    folder = spark.conf.get("spark.checkpoint.dir", None) or "file://" + tempfile.mkdtemp(prefix=f"gleanwork-{os.getpid()}-")
-    return f"{folder.rstrip('/')}/gleanwork/{label}-{uuid.uuid4().hex}"
+    return f"{dedup.shared_folder(spark)}/{label}-{uuid.uuid4().hex}"
 
 
 def read_stream(spark: SparkSession, path: str, per_batch: int = 1) -> DataFrame:
