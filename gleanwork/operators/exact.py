@@ -1,6 +1,7 @@
 """Exact deduplication of units inside texts: lines, paragraphs, sentence windows, URLs, repeated token spans.
 
-Only (hash, id, position) is shuffled for corpus-wide decisions; texts are put together again from the kept units.
+Only (hash, id, position) is shuffled for corpus-wide decisions; positions that stay are gathered for each document and joined
+to its units once, which is the only time that texts move.
 """
 
 from __future__ import annotations
@@ -24,13 +25,13 @@ def dedup_units(df: DataFrame, units: Column, joiner: str, key: str = "doc_id",
     First occurrences come from a min per hash with partial sums, so a unit that stands in a third of all texts is no hot
     spot; every text with units stays, perhaps with none left.
     """
-    rows = df.select(key, F.posexplode(units).alias("pos", "unit"))
-    first = rows.select(unit_hash(F.col("unit"), kind).alias("h"), F.struct(key, "pos").alias("at")).groupBy("h").agg(F.min("at").alias("at"))
-    kept = first.select(F.col(f"at.{key}").alias(key), F.col("at.pos").alias("pos"), F.lit(True).alias("keep"))
-    joined = rows.join(kept, [key, "pos"], "left")
-    order = F.array_sort(F.collect_list(F.when(F.col("keep"), F.struct("pos", "unit"))))
-    out = joined.groupBy(key).agg(order.alias("u"), F.count("keep").alias("kept"), F.count_if(F.col("keep").isNull()).alias("dropped"))
-    return out.select(key, F.array_join(F.transform("u", lambda s: s["unit"]), joiner).alias("text"), "kept", "dropped")
+    body = ts.hold(df, _units=units).select(key, "_units").filter(F.size("_units") > 0)
+    rows = body.select(key, F.posexplode("_units").alias("pos", "unit")).select(key, "pos", unit_hash(F.col("unit"), kind).alias("h"))
+    first = rows.groupBy("h").agg(F.min(F.struct(key, "pos")).alias("at"))
+    kept = first.groupBy(F.col(f"at.{key}").alias(key)).agg(F.array_sort(F.collect_list("at.pos")).alias("_kept"))
+    joined = body.join(kept, key, "left").select(key, "_units", F.coalesce("_kept", F.array().cast("array<int>")).alias("_kept"))
+    text = F.array_join(F.transform("_kept", lambda p: F.element_at("_units", p + 1)), joiner)
+    return joined.select(key, text.alias("text"), F.size("_kept").cast("long").alias("kept"), (F.size("_units") - F.size("_kept")).cast("long").alias("dropped"))
 
 
 def dedup_lines(df: DataFrame, key: str = "doc_id", text: str = "text", kind: str = "md5") -> DataFrame:

@@ -113,12 +113,12 @@ def by_stopwords(html: str | None, low: float = 0.1, high: float = 0.2, short: i
     return "\n".join(t for i, (t, _, _) in enumerate(found) if kinds[i] == "good" or (kinds[i] in ("near", "short") and first - 1 <= i <= last + 1))
 
 
-def extract(pages: DataFrame, how=by_density, key: str = "page_id", html: str = "html", **options) -> DataFrame:
-    """(key, text) by one of the parsers, in one Arrow pass; null pages give the empty text."""
-    schema = T.StructType([pages.schema[key], T.StructField("text", T.StringType())])
+def extract(pages: DataFrame, how=by_density, key: str = "page_id", html: str = "html", carry: tuple[str, ...] = (), **options) -> DataFrame:
+    """(key, carried columns, text) by one of the parsers, in one Arrow pass; null pages give the empty text."""
+    schema = T.StructType([pages.schema[key], *(pages.schema[c] for c in carry), T.StructField("text", T.StringType())])
 
     def run(batches):
         for b in batches:
-            yield pa.RecordBatch.from_arrays([b.column(0), pa.array([how(h, **options) for h in b.column(1).to_pylist()], pa.string())], names=[key, "text"])
+            yield pa.RecordBatch.from_arrays([*b.columns[:-1], pa.array([how(h, **options) for h in b.columns[-1].to_pylist()], pa.string())], names=[key, *carry, "text"])
 
-    return pages.select(key, F.col(html).cast("string")).mapInArrow(run, schema)
+    return pages.select(key, *carry, F.col(html).cast("string").alias("_html")).mapInArrow(run, schema)

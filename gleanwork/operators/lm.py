@@ -5,6 +5,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, functions as F
 
 from ..functions import textstats as ts
+from .dedup import save
 
 UNKNOWN = "<unk>"
 
@@ -14,21 +15,33 @@ def reference_vocabulary(reference: DataFrame, least: int = 2, text: str = "text
     return reference.select(F.explode(ts.words(F.col(text))).alias("word")).groupBy("word").agg(F.count("*").alias("c")).filter(F.col("c") >= least).select("word")
 
 
-def known_tokens(df: DataFrame, vocabulary: DataFrame, key: str, text: str = "text") -> DataFrame:
-    """(key, pos, token): words outside the vocabulary become unknown."""
-    rows = df.select(key, F.posexplode(ts.words(F.col(text))).alias("pos", "w"))
-    return rows.join(vocabulary, rows["w"] == vocabulary["word"], "left").select(key, "pos", F.coalesce("word", F.lit(UNKNOWN)).alias("token"))
+#: Words of a vocabulary that are broadcast as one map; a larger one is joined, word by word.
+BROADCAST_WORDS = 1 << 16
+
+
+def known_words(df: DataFrame, vocabulary: DataFrame, key: str, text: str = "text") -> DataFrame:
+    """(key, w): a text's words in order; those outside the vocabulary become unknown.
+
+    A small vocabulary goes to the documents, which then stay in place. Beyond, words are joined to it and gathered again.
+    """
+    body = ts.hold(df, w=ts.words(F.col(text))).select(key, "w")
+    if vocabulary.limit(BROADCAST_WORDS + 1).count() <= BROADCAST_WORDS:
+        known = vocabulary.agg(F.map_from_entries(F.collect_list(F.struct("word", "word"))).alias("_known"))
+        joined = body.crossJoin(F.broadcast(known))
+        return joined.select(key, F.transform("w", lambda x: F.coalesce(F.try_element_at("_known", x), F.lit(UNKNOWN))).alias("w"))
+    rows = body.select(key, F.posexplode("w").alias("pos", "x")).join(vocabulary, F.col("x") == F.col("word"), "left")
+    parts = rows.groupBy(key).agg(F.array_sort(F.collect_list(F.struct("pos", F.coalesce("word", F.lit(UNKNOWN)).alias("token")))).alias("s"))
+    return parts.select(key, F.transform("s", lambda s: s["token"]).alias("w"))
 
 
 def grams(tokens: DataFrame, n: int, key: str) -> DataFrame:
-    """(key, context, token) from the n-th token of a text on."""
-    parts = tokens.groupBy(key).agg(F.transform(F.array_sort(F.collect_list(F.struct("pos", "token"))), lambda s: s["token"]).alias("w"))
-    return parts.select(key, F.explode(ts.ngrams(F.col("w"), n)).alias("g")).select(key, F.regexp_extract("g", r"^(.*) [^ ]+$", 1).alias("context"), F.col("g").alias("gram"))
+    """(key, context, gram) from the n-th token of a text on."""
+    return ts.hold(tokens, _w=F.col("w")).select(key, F.explode(ts.ngrams(F.col("_w"), n)).alias("g")).select(key, F.regexp_extract("g", r"^(.*) [^ ]+$", 1).alias("context"), F.col("g").alias("gram"))
 
 
 def train_ngram(reference: DataFrame, vocabulary: DataFrame, n: int = 3, key: str = "item_id", text: str = "text") -> tuple[DataFrame, DataFrame]:
     """Counts of n-grams (gram, c) and of their contexts (context, t)."""
-    g = grams(known_tokens(reference, vocabulary, key, text), n, key)
+    g = grams(known_words(reference, vocabulary, key, text), n, key)
     return g.groupBy("gram").agg(F.count("*").alias("c")), g.groupBy("context").agg(F.count("*").alias("t"))
 
 
@@ -37,24 +50,60 @@ def log_likelihood(df: DataFrame, reference: DataFrame, n: int = 3, k: float = 0
     vocabulary = reference_vocabulary(reference, least, text)
     counts, contexts = train_ngram(reference, vocabulary, n, ref_key, text)
     size = vocabulary.agg((F.count("*") + 1).alias("v"))
-    g = grams(known_tokens(df, vocabulary, key, text), n, key).groupBy(key, "context", "gram").agg(F.count("*").alias("m"))
+    g = grams(known_words(df, vocabulary, key, text), n, key).groupBy(key, "context", "gram").agg(F.count("*").alias("m"))
     p = g.join(counts, "gram", "left").join(contexts, "context", "left").crossJoin(F.broadcast(size))
     logp = F.log((F.coalesce("c", F.lit(0)) + k) / (F.coalesce("t", F.lit(0)) + F.col("v") * k))
     return p.groupBy(key).agg((F.sum(F.col("m") * logp) / F.sum("m")).alias("score"))
 
 
+def exact_quantiles(df: DataFrame, value: str, qs: list[float], cells: int = 4096, most: int = 1 << 16) -> list[float | None]:
+    """Interpolated quantiles, exact, without gathering all values: cells of the range are counted, and only the cells that hold
+    the ranks asked for are divided again, until they have few distinct values. The driver sees counts of cells alone.
+    """
+    v = df.select(F.col(value).cast("double").alias("v")).filter("v IS NOT NULL AND NOT isnan(v)")
+    n, low, high = v.agg(F.count("*"), F.min("v"), F.max("v")).first()
+    if not n:
+        return [None] * len(qs)
+
+    def at_rank(k: int, rows: DataFrame, low: float, high: float) -> float:
+        while low < high:
+            counts = rows.groupBy("v").agg(F.count("*").alias("n"))
+            if counts.limit(most + 1).count() <= most:
+                for r in sorted(counts.collect()):
+                    if k < r["n"]:
+                        return r["v"]
+                    k -= r["n"]
+            cell = F.least(F.floor((F.col("v") - low) / (high - low) * cells), F.lit(cells - 1))
+            rows = rows.withColumn("c", cell)
+            for r in sorted(rows.groupBy("c").agg(F.count("*").alias("n"), F.min("v").alias("a"), F.max("v").alias("b")).collect()):
+                if k < r["n"]:
+                    rows, low, high = rows.filter(F.col("c") == r["c"]).select("v"), r["a"], r["b"]
+                    break
+                k -= r["n"]
+        return low
+
+    out = []
+    for q in qs:
+        place = q * (n - 1)
+        below = at_rank(int(place), v, low, high)
+        part = place - int(place)
+        out.append(below if not part else below + (at_rank(int(place) + 1, v, low, high) - below) * part)
+    return out
+
+
 def quantile_cut(scored: DataFrame, q: float, keep_above: bool = True, score: str = "score") -> DataFrame:
     """Rows at or above (or at or below) the exact q-quantile of the scores."""
-    cut = scored.agg(F.percentile(score, F.lit(q)).alias("_cut"))
-    test = F.col(score) >= F.col("_cut") if keep_above else F.col(score) <= F.col("_cut")
-    return scored.crossJoin(F.broadcast(cut)).filter(test).drop("_cut")
+    scored = save(scored, "scored")
+    cut = exact_quantiles(scored, score, [q])[0]
+    return scored.filter(F.col(score) >= F.lit(cut) if keep_above else F.col(score) <= F.lit(cut))
 
 
 def terciles(scored: DataFrame, score: str = "score") -> DataFrame:
     """head, middle and tail by the scores' terciles."""
-    cuts = scored.agg(F.percentile(score, F.lit(2 / 3)).alias("_hi"), F.percentile(score, F.lit(1 / 3)).alias("_lo"))
-    part = F.when(F.col(score) >= F.col("_hi"), "head").when(F.col(score) >= F.col("_lo"), "middle").otherwise("tail")
-    return scored.crossJoin(F.broadcast(cuts)).withColumn("part", part).drop("_hi", "_lo")
+    scored = save(scored, "scored")
+    low, high = exact_quantiles(scored, score, [1 / 3, 2 / 3])
+    part = F.when(F.col(score) >= F.lit(high), "head").when(F.col(score) >= F.lit(low), "middle").otherwise("tail")
+    return scored.withColumn("part", part)
 
 
 def harmful_reference(docs: DataFrame, labels: DataFrame, key: str = "doc_id") -> DataFrame:
@@ -63,8 +112,7 @@ def harmful_reference(docs: DataFrame, labels: DataFrame, key: str = "doc_id") -
 
 def drop_harmful(scored: DataFrame, q: float = 0.9) -> DataFrame:
     """Texts less likely under the harmful model than the q-quantile."""
-    cut = scored.agg(F.percentile("score", F.lit(q)).alias("_cut"))
-    return scored.crossJoin(F.broadcast(cut)).filter(F.col("score") <= F.col("_cut")).drop("_cut")
+    return quantile_cut(scored, q, keep_above=False)
 
 
 def rounded(c: Column, digits: int = 6) -> Column:

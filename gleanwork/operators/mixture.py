@@ -26,6 +26,7 @@ def plan(spark: SparkSession, components: list[Component], seq_len: int = 4096,
     return spark.createDataFrame([(n, t, t / budget) for n, t in rows], "component string, tokens double, share double")
 
 
+SECOND_PLAN = [Component("target_web", 0.72), Component("encyclopedia", fixed=1.6e9, within="target_web"), Component("english_web", 0.28)]
 PAPER_PLAN = [Component("target_web", 0.90), Component("encyclopedia", fixed=1.6e9, within="target_web"), Component("english_web", 0.05), Component("papers", 0.05)]
 
 

@@ -22,7 +22,7 @@ def extract_stage(pages: DataFrame, code: str, gate_mode: str = "either", form:
     if form == "regex":
         out = ts.hold(gated, text=htmltext.extract_main_text(F.col("html"))).drop("html")
     else:
-        out = gated.drop("html").join(htmltext.extract(gated), "page_id")
+        out = htmltext.extract(gated, carry=tuple(c for c in gated.columns if c not in ("page_id", "html", "text")))
     return out if detect_before_extract else langid.in_language(out, code)
 
 

@@ -2,12 +2,12 @@
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame, functions as F
+from pyspark.sql import DataFrame, Window, functions as F
 
 from ..functions import textstats as ts
 from ..operators import classifier, digests, exact, hosts, lm, metrics, minhash, mixture, normalize, quality, recipes, tables
 from ..profiles import HARMFUL_TERMS, LATIN
-from .corpus import CONF_SQL, LINES_SQL, PARAS_SQL, TOKENS_SQL, WORDS_SQL, jaccard_sql, lst, mild_flags, MILD, pairs_sql, r6, sentences_sql, small_keys, table, term_sql
+from .corpus import CONF_SQL, LINES_SQL, PARAS_SQL, TOKENS_SQL, WORDS_SQL, jaccard_sql, lst, mild_flags, MILD, pairs_sql, prefix_sql, r6, sentences_sql, small_keys, table, term_sql
 
 Q: dict[str, tuple] = {}
 
@@ -159,6 +159,12 @@ def w60(spark, d):
     return s.select("doc_id", F.round("score", 5).alias("score"))
 
 
+@query("w60b_lm_harmful_drop", f"WITH s AS ({lm_sql('(SELECT * FROM documents WHERE doc_id IN (SELECT doc_id FROM labels WHERE toxic = 1))', 'doc_id', 2)}) SELECT doc_id FROM s WHERE score <= (SELECT quantile_cont(score, 0.9) FROM s)")
+def w60b(spark, d):
+    """Texts that stay when the tenth likeliest under the harmful model goes."""
+    return lm.drop_harmful(w60(spark, d)).select("doc_id")
+
+
 @query("w61_exact_substring", f"""WITH w AS MATERIALIZED (SELECT doc_id, {TOKENS_SQL.format(t='text')} AS w FROM documents), g AS (SELECT doc_id, pos, substr(md5(array_to_string(w[pos + 1 : pos + 50], ' ')), 1, 16) AS h FROM (SELECT doc_id, w, unnest(range(0, greatest(len(w) - 49, 0))) AS pos FROM w)),
   r AS (SELECT doc_id, pos, row_number() OVER (PARTITION BY h ORDER BY doc_id, pos) AS rn FROM g), c AS (SELECT DISTINCT doc_id, unnest(range(pos, pos + 50)) AS p FROM r WHERE rn > 1),
   l AS (SELECT doc_id, unnest(range(0, len(w))) AS p, unnest(list_transform(w, lambda x: length(x))) AS n FROM w), s AS (SELECT c.doc_id, count(*) AS removed, sum(n)::BIGINT AS chars FROM c JOIN l ON c.doc_id = l.doc_id AND c.p = l.p GROUP BY c.doc_id)
@@ -196,6 +202,18 @@ def w63(spark, d):
     return recipes.compare(docs, {"raw": None, "c4": recipes.c4(t), "mc4": F.when(recipes.multilingual_rule(t), t), "massive_web": F.when(recipes.massive_web(t), t), "line_corrections": recipes.clean_lines(t), "own_quality": F.when(reasons, t)})
 
 
+PARA_MARKS_SQL = f"(WITH u AS (SELECT doc_id, unnest(range(0, len(u))) AS pos, unnest(u) AS unit FROM (SELECT doc_id, {PARAS_SQL} AS u FROM documents)), f AS (SELECT doc_id, row_number() OVER (PARTITION BY substr(sha1(unit), 1, 16) ORDER BY doc_id, pos) AS rn FROM u) SELECT doc_id, count(*) FILTER (rn = 1) AS kept, count(*) FILTER (rn > 1) AS dropped FROM f GROUP BY doc_id)"
+
+
+@query("w63e_annotate_only", f"SELECT d.doc_id, d.source, length(d.text)::DOUBLE AS q_length, round({term_sql('d.text', HARMFUL_TERMS)}, 6) AS q_harmful, {mild_flags('d.text')} AS flagged, coalesce(p.kept, 0) AS paragraphs_first, coalesce(p.dropped, 0) AS paragraphs_seen FROM documents d LEFT JOIN {PARA_MARKS_SQL} p ON p.doc_id = d.doc_id")
+def w63e(spark, d):
+    """Quality signals and paragraph duplicates beside every text; nothing is removed."""
+    a = quality.annotate(table(spark, d, "documents"), MILD)
+    marks = exact.dedup_paragraphs(table(spark, d, "documents")).select("doc_id", F.col("kept").alias("paragraphs_first"), F.col("dropped").alias("paragraphs_seen"))
+    signals = a.select("doc_id", "source", "q_length", r6(F.col("q_harmful")).alias("q_harmful"), (F.size("reasons") > 0).alias("flagged"))
+    return signals.join(marks, "doc_id", "left").fillna(0, ["paragraphs_first", "paragraphs_seen"])
+
+
 @query("w63b_truecase")
 def w63b(spark, d):
     return normalize.truecase(table(spark, d, "documents")).select("doc_id", F.md5(F.col("text").cast("binary")).alias("md5"))
@@ -217,6 +235,11 @@ def w64(spark, d):
     return mixture.plan(spark, mixture.PAPER_PLAN).select("component", "tokens", r6(F.col("share")).alias("share"))
 
 
+@query("w64b_mixture_72_28", "SELECT component, tokens::DOUBLE AS tokens, round(tokens / 104857600000.0, 6) AS share FROM (VALUES ('target_web', 0.72::DOUBLE * 104857600000 - 1.6e9), ('encyclopedia', 1.6e9), ('english_web', 0.28::DOUBLE * 104857600000)) v(component, tokens)")
+def w64b(spark, d):
+    return mixture.plan(spark, mixture.SECOND_PLAN).select("component", "tokens", r6(F.col("share")).alias("share"))
+
+
 SHARES = [("fr", 40_000.0), ("de", 20_000.0), ("en", 60_000.0), ("es", 1e12)]
 
 
@@ -240,6 +263,11 @@ def w66b(spark, d):
     return mixture.lr_schedule(spark).select("step", F.round(F.col("lr") * 1e6, 6).alias("lr_e6"))
 
 
+@query("w66c_lr_schedule_second", "SELECT i AS step, round(CASE WHEN i < 1000 THEN i * (2e-5 / 1000) ELSE 2e-5 / 10 + (2e-5 - 2e-5 / 10) * (1 + cos(3.141592653589793 * (i - 1000) / 24000.0)) / 2 END * 1e6, 6) AS lr_e6 FROM (SELECT unnest(range(0, 25001)) AS i)")
+def w66c(spark, d):
+    return mixture.lr_schedule(spark, peak=2e-5, final_ratio=1 / 10).select("step", F.round(F.col("lr") * 1e6, 6).alias("lr_e6"))
+
+
 SCORES_SQL = "(VALUES " + ", ".join("(" + ", ".join(f"'{x}'" if isinstance(x, str) else f"{x:.2f}::DOUBLE" for x in r) + ")" for r in tables.SCORES) + f") s(model, size, base, role, {', '.join(tables.TASKS)}, printed)"
 LONG = " UNION ALL ".join(f"SELECT model, size, base, role, '{t}' AS task, {t} AS score FROM {SCORES_SQL}" for t in tables.TASKS)
 GAINS_SQL = f"(WITH e AS (SELECT model, base, role, task, score FROM ({LONG}) UNION ALL SELECT model, base, role, 'Avg', printed FROM {SCORES_SQL}) SELECT x.model, x.task, round(x.score - b.score, 2) AS gain FROM e x JOIN e b ON b.role = 'base' AND b.base = x.base AND b.task = x.task WHERE x.role IN ('continued', 'other-corpus'))"
@@ -325,29 +353,89 @@ def w76b(spark, d):
 TURNS = "(SELECT conv_id, turn, text AS gold, lead(text) OVER (PARTITION BY conv_id ORDER BY turn) AS pred FROM conversations)"
 
 
+def turns(spark, d) -> DataFrame:
+    """(conv_id, turn, gold, pred): each turn with the one after it as its answer."""
+    t = table(spark, d, "conversations").select("conv_id", "turn", F.col("text").alias("gold"), F.lead("text").over(Window.partitionBy("conv_id").orderBy("turn")).alias("pred"))
+    return t.filter("pred IS NOT NULL AND (pred <> '' OR gold <> '')")
+
+
 @query("w77_answer_metrics", f"""WITH t AS MATERIALIZED (SELECT * FROM {TURNS} WHERE pred IS NOT NULL), c AS (SELECT conv_id, turn, 'p' AS side, unnest(string_split(pred, '')) AS ch FROM t UNION ALL SELECT conv_id, turn, 'g', unnest(string_split(gold, '')) FROM t),
   n AS (SELECT conv_id, turn, ch, count(*) FILTER (side = 'p') AS p, count(*) FILTER (side = 'g') AS g FROM c WHERE ch <> '' GROUP BY ALL), f AS (SELECT conv_id, turn, 2.0 * sum(least(p, g)) / sum(p + g) AS f1 FROM n GROUP BY ALL)
   SELECT t.conv_id, t.turn, (trim(pred) = trim(gold))::INT AS exact_match, round(f1::DOUBLE, 6) AS char_f1 FROM t JOIN f USING (conv_id, turn)""")
 def w77(spark, d):
-    from pyspark.sql import Window
-
-    t = table(spark, d, "conversations").select("conv_id", "turn", F.col("text").alias("gold"), F.lead("text").over(Window.partitionBy("conv_id").orderBy("turn")).alias("pred")).filter("pred IS NOT NULL AND (pred <> '' OR gold <> '')")
-    a = metrics.answer_metrics(t, "pred", "gold")
+    a = metrics.answer_metrics(turns(spark, d), "pred", "gold")
     return a.select("conv_id", "turn", "exact_match", r6(F.col("char_f1")).alias("char_f1"))
 
 
+NUMBER_SQL = "regexp_extract_all(replace({t}, ',', ''), '-?[0-9]+(?:\\.[0-9]+)?')"
+SPLIT_SQL = "list_filter(regexp_split_to_array({t}, '\\s+'), lambda x: x <> '')"
+
+
+def clipped_sql(n: int) -> str:
+    """(conv_id, turn, hit, total): clipped matches and number of a prediction's word n-grams."""
+    def grams(t: str) -> str:
+        return f"SELECT conv_id, turn, array_to_string(w[p + 1 : p + {n}], ' ') AS g, count(*) AS c FROM (SELECT conv_id, turn, w, unnest(range(0, greatest(len(w) - {n - 1}, 0))) AS p FROM (SELECT conv_id, turn, {SPLIT_SQL.format(t=t)} AS w FROM t)) GROUP BY ALL"
+
+    return f"(SELECT x.conv_id, x.turn, sum(least(x.c, coalesce(y.c, 0))) AS hit, sum(x.c) AS total FROM ({grams('pred')}) x LEFT JOIN ({grams('gold')}) y ON x.conv_id = y.conv_id AND x.turn = y.turn AND x.g = y.g GROUP BY ALL)"
+
+
+@query("w77b_answer_metrics_words", f"""WITH t AS MATERIALIZED (SELECT * FROM {TURNS} WHERE pred IS NOT NULL AND (pred <> '' OR gold <> '')),
+  m AS (SELECT conv_id, turn, coalesce(({NUMBER_SQL.format(t='pred')}[-1]::DOUBLE = {NUMBER_SQL.format(t='gold')}[-1]::DOUBLE)::INT, 0) AS numeric_match, exp(least(0, 1 - len({SPLIT_SQL.format(t='gold')}) / nullif(len({SPLIT_SQL.format(t='pred')}), 0)::DOUBLE)) AS brevity FROM t)
+  SELECT m.conv_id, m.turn, numeric_match, round(coalesce(CASE WHEN least(a.hit, b.hit, c.hit, e.hit) > 0 THEN exp((ln(a.hit / a.total::DOUBLE) + ln(b.hit / b.total::DOUBLE) + ln(c.hit / c.total::DOUBLE) + ln(e.hit / e.total::DOUBLE)) / 4) * brevity END, 0.0), 6) AS ngram_precision
+  FROM m LEFT JOIN {clipped_sql(1)} a USING (conv_id, turn) LEFT JOIN {clipped_sql(2)} b USING (conv_id, turn) LEFT JOIN {clipped_sql(3)} c USING (conv_id, turn) LEFT JOIN {clipped_sql(4)} e USING (conv_id, turn)""")
+def w77b(spark, d):
+    a = metrics.answer_metrics(turns(spark, d), "pred", "gold")
+    return a.select("conv_id", "turn", "numeric_match", r6(F.col("ngram_precision")).alias("ngram_precision"))
+
+
+@query("w77c_answer_metrics_lcs")
+def w77c(spark, d):
+    a = metrics.answer_metrics(turns(spark, d), "pred", "gold")
+    return a.select("conv_id", "turn", r6(F.col("lcs_recall")).alias("lcs_recall"))
+
+
 @query("w78_sizes", f"SELECT sum(length(text))::BIGINT AS letters, sum(len({TOK_T}))::BIGINT AS words, sum(len(regexp_extract_all(text, '[A-Za-z0-9À-ÿœ]+|[^A-Za-z0-9À-ÿœ \\n\\t\\r]')))::BIGINT AS tokens, sum(strlen(text))::BIGINT AS bytes FROM documents")
 def w78(spark, d):
     return metrics.sizes(table(spark, d, "documents"))
 
 
-@query("w79_pair_quality", f"""WITH f AS MATERIALIZED {pairs_sql(4, 8)}, t AS MATERIALIZED (SELECT a, b FROM {jaccard_sql(pairs_sql(4, 8), 0.9)}), j AS (SELECT (t.a IS NOT NULL) AS t, (f.a IS NOT NULL) AS g FROM f FULL JOIN t ON f.a = t.a AND f.b = t.b) SELECT {CONF_SQL} FROM j""")
+def exact_sql(least: float) -> str:
+    return jaccard_sql(prefix_sql(least), least)
+
+
+@query("w79_pair_quality", f"""WITH f AS MATERIALIZED {pairs_sql(4, 8)}, t AS MATERIALIZED (SELECT a, b FROM {exact_sql(0.8)}), j AS (SELECT (t.a IS NOT NULL) AS t, (f.a IS NOT NULL) AS g FROM f FULL JOIN t ON f.a = t.a AND f.b = t.b) SELECT {CONF_SQL} FROM j""")
 def w79(spark, d):
-    found = minhash.candidate_pairs(small_keys(spark, d))
-    truth = minhash.verify(found, table(spark, d, "documents"), 0.9)
+    """Candidates of 4 x 8 hashes against all pairs of Jaccard 0.8 or more, which are found without hashing."""
+    found, truth = minhash.candidate_pairs(small_keys(spark, d)), minhash.exact_pairs(table(spark, d, "documents"), 0.8)
     return metrics.pair_quality(found, truth).select("tp", "fp", "fn", "tn")
 
 
+BIN = "least(floor(jaccard * 20 + 1e-9), 19) / 20.0"
+
+
+@query("w79b_recall_by_similarity", f"""WITH f AS MATERIALIZED {pairs_sql(4, 8)}, t AS MATERIALIZED (SELECT a, b, round(jaccard, 6) AS jaccard FROM {exact_sql(0.5)})
+  SELECT round(({BIN})::DOUBLE, 2) AS bin, count(*) AS pairs, count(f.a) AS found, round(count(f.a) / count(*)::DOUBLE, 6) AS recall, round(avg(1 - pow(1 - pow(jaccard, 4), 8)), 6) AS expected FROM t LEFT JOIN f ON f.a = t.a AND f.b = t.b GROUP BY 1""")
+def w79b(spark, d):
+    """Recall of candidates among true pairs, by similarity, beside what the curve says."""
+    return recall_by_similarity(minhash.candidate_pairs(small_keys(spark, d)), table(spark, d, "documents"), 4, 8)
+
+
+def recall_by_similarity(found: DataFrame, docs: DataFrame, rows: int, bands: int) -> DataFrame:
+    truth = minhash.exact_pairs(docs, 0.5).withColumn("jaccard", r6(F.col("jaccard")))
+    j = truth.join(found.select("a", "b", F.lit(True).alias("_f")), ["a", "b"], "left")
+    bins = F.least(F.floor(F.col("jaccard") * 20 + 1e-9), F.lit(19)) / F.lit(20.0)
+    out = j.groupBy(F.round(bins, 2).alias("bin")).agg(F.count("*").alias("pairs"), F.count("_f").alias("found"), F.avg(minhash.detection_probability(F.col("jaccard"), F.lit(rows), F.lit(bands))).alias("expected"))
+    return out.select("bin", "pairs", "found", r6(F.col("found") / F.col("pairs")).alias("recall"), r6(F.col("expected")).alias("expected"))
+
+
+@query("w79c_recall_printed_setting")
+def w79c(spark, d):
+    """The same for the printed 20 x 40 hashes: pairs that share a band of their digests."""
+    docs = table(spark, d, "documents")
+    found = minhash.digests(docs).select("doc_id", F.posexplode("buckets").alias("band", "bucket"))
+    return recall_by_similarity(minhash.candidate_pairs(found), docs, minhash.ROWS, minhash.BANDS)
+
+
 @query("w80_corpus_profile", f"SELECT count(*) AS texts, round(avg(length(text)), 6) AS mean_chars, round(avg((length(text) < 400)::INT), 6) AS rate_short, round(avg(({term_sql('text', HARMFUL_TERMS)} > 0)::INT), 6) AS rate_harmful FROM documents")
 def w80(spark, d):
     t = F.col("text")

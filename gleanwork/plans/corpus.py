@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import time
+
 from pyspark.sql import Column, DataFrame, SparkSession, functions as F
 
 from ..functions import textstats as ts
@@ -151,6 +153,22 @@ def w05(spark, d):
     return one.select(F.explode(rows).alias("r")).select("r.*")
 
 
+@query("w05b_gate_speedup")
+def w05b(spark, d):
+    """(mode, pages, seconds, speedup): extraction and precise detection of one language after the gate, and without it.
+
+    A measurement: seconds differ from run to run. Both modes run once before they are timed.
+    """
+    pages = table(spark, d, "pages")
+    found = {}
+    for repeat in range(2):
+        for mode in ("off", "either"):
+            began = time.perf_counter()
+            found[mode] = (pipeline.extract_stage(pages, "fr", mode).agg(F.count("text")).first()[0], time.perf_counter() - began)
+    rows = [(mode, n, seconds, metrics.speedup(found["off"][1], seconds)) for mode, (n, seconds) in found.items()]
+    return spark.createDataFrame(rows, "mode string, pages long, seconds double, speedup double")
+
+
 @query("w06_extract_regex", f"SELECT page_id, length(t) AS chars, md5(t) AS md5 FROM (SELECT page_id, {MAIN_SQL} AS t FROM pages)")
 def w06(spark, d):
     t = table(spark, d, "pages").select("page_id", htmltext.extract_main_text(F.col("html")).alias("t"))
@@ -187,6 +205,20 @@ def w08b(spark, d):
     return langid.apply(docs, langid.train(docs, F.col("lang") == "fr"))
 
 
+@query("w08d_langid_accuracy")
+def w08d(spark, d):
+    """Precision and recall of the trained detector for each language, on the texts it was not trained on (odd hashes of ids)."""
+    docs = table(spark, d, "documents")
+    even = F.pmod(F.xxhash64("doc_id"), F.lit(2)) == 0
+    out = None
+    for code in FUNCTION_WORDS:
+        model = langid.train(docs.filter(even), F.col("lang") == code)
+        found = langid.apply(docs.filter(~even).withColumn("k", F.struct("doc_id", "lang")), model, "k")
+        part = metrics.confusion(found, F.col("k.lang") == code, F.col("is_target")).select(F.lit(code).alias("lang"), "tp", "fp", "fn", "tn", *[r6(F.col(c)).alias(c) for c in ("precision", "recall", "f1")])
+        out = part if out is None else out.union(part)
+    return out
+
+
 @query("w08c_langid_naive_bayes")
 def w08c(spark, d):
     docs = table(spark, d, "documents")
@@ -441,11 +473,13 @@ def w32(spark, d):
     return minhash.verify(minhash.candidate_pairs(small_keys(spark, d)), docs, 0.9).withColumn("jaccard", r6(F.col("jaccard")))
 
 
-PREFIX_SQL = f"""(WITH s AS MATERIALIZED {SHINGLES_SQL}, f AS (SELECT h, count(*) AS f FROM s GROUP BY h), r AS (SELECT s.doc_id, s.h, row_number() OVER (PARTITION BY s.doc_id ORDER BY f, s.h) AS rn, count(*) OVER (PARTITION BY s.doc_id) AS n FROM s JOIN f USING (h)),
-  x AS MATERIALIZED (SELECT doc_id, h FROM r WHERE rn <= n - ceil(n * 0.8) + 1) SELECT DISTINCT p.doc_id AS a, q.doc_id AS b FROM x p JOIN x q ON p.h = q.h AND p.doc_id < q.doc_id)"""
+def prefix_sql(least: float) -> str:
+    """Pairs that share one of their rarest shingles: all pairs of Jaccard least or more are among them."""
+    return f"""(WITH s AS MATERIALIZED {SHINGLES_SQL}, f AS (SELECT h, count(*) AS f FROM s GROUP BY h), r AS (SELECT s.doc_id, s.h, row_number() OVER (PARTITION BY s.doc_id ORDER BY f, s.h) AS rn, count(*) OVER (PARTITION BY s.doc_id) AS n FROM s JOIN f USING (h)),
+  x AS MATERIALIZED (SELECT doc_id, h FROM r WHERE rn <= n - ceil(n * {least}) + 1) SELECT DISTINCT p.doc_id AS a, q.doc_id AS b FROM x p JOIN x q ON p.h = q.h AND p.doc_id < q.doc_id)"""
 
 
-@query("w33_exact_jaccard_pairs", f"SELECT a, b, round(jaccard, 6) AS jaccard FROM {jaccard_sql(PREFIX_SQL, 0.8)}")
+@query("w33_exact_jaccard_pairs", f"SELECT a, b, round(jaccard, 6) AS jaccard FROM {jaccard_sql(prefix_sql(0.8), 0.8)}")
 def w33(spark, d):
     return minhash.exact_pairs(table(spark, d, "documents"), 0.8).withColumn("jaccard", r6(F.col("jaccard")))
 

@@ -200,7 +200,8 @@ def sql_surface(spark, d):
     return spark.sql("SELECT doc_id, is_short(text) AS short FROM documents")
 
 
-@query("op_window_json_variant", "SELECT event_type, count(*) AS n FROM events WHERE props IS NOT NULL GROUP BY event_type")
+@query("op_window_json_variant", "SELECT event_id, event_type, k, k - lag(k) OVER (PARTITION BY event_type ORDER BY event_id) AS step FROM (SELECT event_id, event_type, json_extract(props, '$.k')::INT AS k FROM events) WHERE k >= 50")
 def json_variant(spark, d):
-    e = table(spark, d, "events").filter("props IS NOT NULL").withColumn("v", F.try_parse_json("props"))
-    return e.groupBy("event_type").agg(F.count("v").alias("n"))
+    """A value of a variant, filtered by, and compared with the one before it."""
+    e = table(spark, d, "events").withColumn("k", F.try_variant_get(F.try_parse_json("props"), "$.k", "int")).filter("k >= 50")
+    return e.select("event_id", "event_type", "k", (F.col("k") - F.lag("k").over(Window.partitionBy("event_type").orderBy("event_id"))).alias("step"))
