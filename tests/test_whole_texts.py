@@ -20,4 +20,4 @@ def test_language_after_a_long_start(spark):
     assert found == {1: True, 2: False, 3: False, 4: False}
     w = np.zeros((1 << langid.BITS) + 1)
     short, long = langid.ngram_counts("b" * 20_000), langid.ngram_counts("b" * 20_000 + "z" * 9_000)
-    assert set(short[0]) < set(long[0]) and abs((long[1] ** 2).sum() - 1) < 1e-9 and langid.LangModel(w, 0.5).score("b") == 0.0
+    assert set(long[0]) - set(short[0]) and abs((long[1] ** 2).sum() - 1) < 1e-9 and langid.LangModel(w, 0.5).score("b") == 0.0
