@@ -390,11 +390,32 @@ def mild_flags(t: str) -> str:
     return f"(length({t}) < 400 OR ({mean}) NOT BETWEEN 20 AND 90 OR {longest} > 499 OR ({ell}) > 0.2 OR {term_sql(t, HARMFUL_TERMS)} > 0.01)"
 
 
-MILD_SQL = f"(SELECT * FROM documents WHERE NOT {mild_flags('text')})"
+def of_relation(sql: str, rel: str, key: str) -> str:
+    """A piece of SQL over documents and doc_id, over another relation and key."""
+    return sql.replace("documents", rel).replace("doc_id", key)
+
+
+def repetitive_sql(rel: str = "documents", key: str = "doc_id") -> str:
+    """Keys of the texts that one of the repetition statistics removes."""
+    t = repetition.THRESHOLDS
+    top = "SELECT doc_id FROM (SELECT doc_id, chars, max({{'c': c, 'l': l}}) AS b FROM (SELECT doc_id, chars, g, count(*) AS c, length(g) AS l FROM (SELECT doc_id, chars, array_to_string(w[pos + 1 : pos + {n}], ' ') AS g FROM ({grams})) GROUP BY ALL) GROUP BY doc_id, chars) WHERE b.c * b.l / chars::DOUBLE > {most}"
+    parts = [f"SELECT doc_id FROM ({dup_sql(u)}) WHERE fraction > {t[f'dup_{n}s']} OR chars > {t[f'dup_{n}_chars']}" for n, u in (("line", LINES_SQL), ("paragraph", PARAS_SQL))]
+    parts += [top.format(n=n, grams=grams_sql(str(n)), most=t[f"top_{n}"]) for n in (2, 3, 4)]
+    parts += [f"SELECT doc_id FROM ({dupgram_sql(n)}) WHERE share > {t[f'dup_{n}']}" for n in range(5, 11)]
+    return of_relation("(" + " UNION ".join(parts) + ")", rel, key)
+
+
+MILD_SQL = f"(SELECT * FROM documents WHERE NOT {mild_flags('text')} AND doc_id NOT IN {repetitive_sql()})"
 
 
 @query("w27_quality_stage", f"SELECT 'raw' AS stage, count(*) AS pages, sum(length(text))::BIGINT AS chars FROM documents UNION ALL SELECT 'quality', count(*), sum(length(text))::BIGINT FROM {MILD_SQL}")
 def w27(spark, d):
+    docs = table(spark, d, "documents")
+    return metrics.stage_sizes([("raw", docs), ("quality", dedup.save(pipeline.quality_stage(docs, MILD), "quality"))]).drop("ix")
+
+
+@query("w27c_quality_stage_rules_only", f"SELECT 'raw' AS stage, count(*) AS pages, sum(length(text))::BIGINT AS chars FROM documents UNION ALL SELECT 'quality', count(*), sum(length(text))::BIGINT FROM documents WHERE NOT {mild_flags('text')}")
+def w27c(spark, d):
     docs = table(spark, d, "documents")
     return metrics.stage_sizes([("raw", docs), ("quality", pipeline.quality_stage(docs, MILD, with_repetition=False))]).drop("ix")
 
@@ -631,25 +652,27 @@ FUNNEL_SQL = f"""WITH q AS MATERIALIZED {MILD_SQL}, k AS MATERIALIZED (SELECT *
 @query("w45_funnel", FUNNEL_SQL)
 def w45(spark, d):
     docs = crawled(spark, d)
-    kept = dedup.run(pipeline.quality_stage(docs, MILD, with_repetition=False), SMALL_BANDS, SMALL_ROWS, family="md5")
-    listed = hosts.term_page_share(kept, SITE_TERMS, "source").filter("share > 0.02")
-    result = pipeline.run(docs, MILD, rows=SMALL_ROWS, bands=SMALL_BANDS, family="md5", blocklist=listed, with_repetition=False)
-    return result.funnel.select("ix", "stage", "pages", "chars", *[r6(F.col(c)).alias(c) for c in ("page_ratio", "char_ratio", "page_total", "char_total", "chars_per_page")])
-
-
-@query("w45b_funnel_printed_setting")
-def w45b(spark, d):
-    return pipeline.run(crawled(spark, d), MILD, stages=("quality", "dedup", "clean"), save_stages=True).funnel
+    listed = lambda dd: hosts.term_page_share(dd, SITE_TERMS, "source").filter("share > 0.02")
+    funnel = metrics.funnel_ratios(metrics.stage_sizes([("raw", docs), *whole(docs, "doc_id", "source", listed, SMALL_ROWS, SMALL_BANDS, "md5")]))
+    return funnel.select("ix", "stage", "pages", "chars", *[r6(F.col(c)).alias(c) for c in ("page_ratio", "char_ratio", "page_total", "char_total", "chars_per_page")])
 
 
-def whole(df: DataFrame, key: str, host: str, blocklist_of) -> list[tuple[str, DataFrame]]:
-    """Every stage with nothing reduced: rules and repetition, the printed 20 x 40 hashes, hosts, cleaning."""
+def whole(df: DataFrame, key: str, host: str, blocklist_of, rows: int = minhash.ROWS, bands: int = minhash.BANDS, family: str = "poly") -> list[tuple[str, DataFrame]]:
+    """Every stage with nothing left out: rules and repetition, newest-wins deduplication, hosts, cleaning."""
     q = dedup.save(pipeline.quality_stage(df, MILD, key), "quality")
-    dd = dedup.save(dedup.run(q, minhash.BANDS, minhash.ROWS, key=key), "dedup")
-    h = hosts.apply(dd, blocklist_of(dd), host)
+    dd = dedup.save(dedup.run(q, bands, rows, key=key, family=family), "dedup")
+    h = dedup.save(hosts.apply(dd, blocklist_of(dd), host), "hosts")
     return [("quality", q), ("dedup", dd), ("hosts", h), ("clean", normalize.run(h))]
 
 
+@query("w45b_funnel_printed_setting")
+def w45b(spark, d):
+    """The printed hashes and the printed host criteria, all five, over sources as hosts."""
+    docs = crawled(spark, d)
+    listed = lambda dd: block(spark, dd.select("doc_id", F.col("source").alias("host"), "text")).withColumnRenamed("host", "source")
+    return metrics.funnel_ratios(metrics.stage_sizes([("raw", docs), *whole(docs, "doc_id", "source", listed)]))
+
+
 @query("w45c_funnel_whole")
 def w45c(spark, d):
     docs = crawled(spark, d)
@@ -657,25 +680,33 @@ def w45c(spark, d):
     return metrics.funnel_ratios(metrics.stage_sizes([("raw", docs), *whole(docs, "doc_id", "source", listed)]))
 
 
-@query("w46_pages_pipeline", f"""WITH v AS (SELECT * FROM {VIEW_SQL} WHERE {either_sql('fr')}), x AS (SELECT page_id, {HOST_SQL} AS host, {MAIN_SQL} AS text FROM v), p AS (SELECT * FROM x WHERE {score_sql('text', 'fr')} > 0.05), q AS (SELECT * FROM p WHERE NOT {mild_flags('text')}),
-  h AS (SELECT * FROM q WHERE host NOT IN (SELECT host FROM {BLOCK_SQL} WHERE len(reasons) > 0))
-  SELECT 0 AS ix, 'gate' AS stage, count(*) AS pages, coalesce(sum(length(text)), 0)::BIGINT AS chars FROM x UNION ALL SELECT 1, 'precise', count(*), coalesce(sum(length(text)), 0)::BIGINT FROM p UNION ALL SELECT 2, 'quality', count(*), coalesce(sum(length(text)), 0)::BIGINT FROM q UNION ALL SELECT 3, 'hosts', count(*), coalesce(sum(length(text)), 0)::BIGINT FROM h UNION ALL SELECT 4, 'clean', count(*), coalesce(sum(length({footer_sql(punct_sql('text'))})), 0)::BIGINT FROM h""")
+PAGE_LOSERS_SQL = of_relation(LOSERS_SQL, "q", "page_id")
+
+
+@query("w46_pages_pipeline", f"""WITH v AS (SELECT * FROM {VIEW_SQL} WHERE {either_sql('fr')}), x AS MATERIALIZED (SELECT page_id, {HOST_SQL} AS host, {MAIN_SQL} AS text FROM v), p AS MATERIALIZED (SELECT * FROM x WHERE {score_sql('text', 'fr')} > 0.05),
+  q AS MATERIALIZED (SELECT * FROM p WHERE NOT {mild_flags('text')} AND page_id NOT IN {repetitive_sql('p', 'page_id')}), dd AS MATERIALIZED (SELECT * FROM q WHERE page_id NOT IN {PAGE_LOSERS_SQL}),
+  h AS (SELECT * FROM dd WHERE host NOT IN (SELECT host FROM {BLOCK_SQL} WHERE len(reasons) > 0)),
+  s AS (SELECT 0 AS ix, 'gate' AS stage, text FROM x UNION ALL SELECT 1, 'precise', text FROM p UNION ALL SELECT 2, 'quality', text FROM q UNION ALL SELECT 3, 'dedup', text FROM dd UNION ALL SELECT 4, 'hosts', text FROM h UNION ALL SELECT 5, 'clean', {footer_sql(punct_sql('text'))} FROM h),
+  n AS (SELECT unnest(range(0, 6))::INT AS ix, unnest(['gate', 'precise', 'quality', 'dedup', 'hosts', 'clean']) AS stage)
+  SELECT n.ix, n.stage, count(s.text) AS pages, coalesce(sum(length(s.text)), 0)::BIGINT AS chars FROM n LEFT JOIN s ON s.ix = n.ix GROUP BY n.ix, n.stage""")
 def w46(spark, d):
-    v = gate.gate_view(table(spark, d, "pages")).withColumn("host", hosts.host_of(F.col("url")))
-    x = dedup.save(ts.hold(gate.rapid_gate(v, "fr"), text=htmltext.extract_main_text(F.col("html"))).drop("html"), "gated")
-    p = langid.in_language(x, "fr")
-    q = dedup.save(quality.apply(p, MILD), "quality")
-    h = hosts.apply(q, block(spark, hosted(spark, d)))
-    return metrics.stage_sizes([("gate", x), ("precise", p), ("quality", q), ("hosts", h), ("clean", normalize.run(h))])
+    """The whole way from pages to clean texts, with hashes that SQL can check: gate, extraction, detection, rules and
+    repetition, newest-wins deduplication, five host criteria, cleaning."""
+    return pages_pipeline(spark, d, SMALL_ROWS, SMALL_BANDS, "md5")
 
 
-@query("w46d_pages_pipeline_whole")
-def w46d(spark, d):
+def pages_pipeline(spark, d, *hashes) -> DataFrame:
     ix, when = dedup.recency(F.col("page_id"))
     v = gate.gate_view(table(spark, d, "pages")).withColumns({"host": hosts.host_of(F.col("url")), "crawl_ts": when})
     x = dedup.save(ts.hold(gate.rapid_gate(v, "fr"), text=htmltext.extract_main_text(F.col("html"))).drop("html"), "gated")
-    p = langid.in_language(x, "fr")
-    return metrics.stage_sizes([("gate", x), ("precise", p), *whole(p, "page_id", "host", lambda dd: block(spark, hosted(spark, d)))])
+    p = dedup.save(langid.in_language(x, "fr"), "precise")
+    return metrics.stage_sizes([("gate", x), ("precise", p), *whole(p, "page_id", "host", lambda dd: block(spark, hosted(spark, d)), *hashes)])
+
+
+@query("w46d_pages_pipeline_whole")
+def w46d(spark, d):
+    """The same with the printed hashes."""
+    return pages_pipeline(spark, d)
 
 
 @query("w46b_gate_off", f"SELECT page_id FROM {VIEW_SQL} WHERE {score_sql(MAIN_SQL, 'fr')} > 0.05")

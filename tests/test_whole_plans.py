@@ -27,4 +27,5 @@ def test_whole_stages(spark, tmp_path):
     assert pages("w45c_funnel_whole") == {"raw": 7, "quality": 5, "dedup": 4, "hosts": 3, "clean": 3}
     found = pages("w46d_pages_pipeline_whole")
     assert {k: found[k] for k in ("quality", "dedup", "hosts", "clean")} == {"quality": 5, "dedup": 4, "hosts": 3, "clean": 3}
-    assert pages("w27_quality_stage")["quality"] == 6  # the reduced form keeps the repetitive page
+    assert pages("w27_quality_stage")["quality"] == 5 and pages("w27c_quality_stage_rules_only")["quality"] == 6  # rules alone keep the repetitive page
+    assert pages("w46_pages_pipeline")["clean"] == 3 and list(pages("w45b_funnel_printed_setting")) == ["raw", "quality", "dedup", "hosts", "clean"]
