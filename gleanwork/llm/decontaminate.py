@@ -79,7 +79,7 @@ class _Shard:
     """Documents whose words are indexed together."""
 
     def __init__(self):
-        self.keys: list[pa.Array] = []  # a value for each document, cut as the batches were
+        self.held: list[pa.RecordBatch] = []  # key and text of each document, cut as the batches were
         self.docs: list[tuple] = []  # (text, number of words, runs and items that earlier groups found)
         self.pieces: list[np.ndarray] = []
         self.owner: list[int] = []
@@ -145,7 +145,7 @@ def _merge(spans: list) -> list[list[int]]:
     return out
 
 
-def _search(df: DataFrame, items: list[tuple], width: int, shard_words: int, out: T.StructType, last: bool) -> DataFrame:
+def _search(df: DataFrame, items: list[tuple], width: int, shard_words: int, out: T.StructType, last: bool, keep_text: bool) -> DataFrame:
     """One group of items against all rows; a row carries what earlier groups found, and its text until the last group."""
     shared = df.sparkSession.sparkContext.broadcast(windows_of(items, width))
     arrow = to_arrow_schema(out)
@@ -156,16 +156,18 @@ def _search(df: DataFrame, items: list[tuple], width: int, shard_words: int, out
 
         def flush(shard):
             hits = shard.hits(by_width, names) if by_width else {}
-            cols = [[] for _ in arrow][1:]
+            cols = [[] for _ in arrow][2:]
             for d, (body, n, runs, earlier) in enumerate(shard.docs):
                 spans, found = hits.get(d, ([], []))
                 spans = _merge([*runs, *spans])
                 chars = _char_spans(body, spans) if spans and last else []
-                for col, x in zip(cols, (None if last else body, spans, sorted({*earlier, *(i for i in found if i is not None)}), n, sum(b - a for a, b in spans), [{"start": a, "end": b} for a, b in chars])):
+                for col, x in zip(cols, (spans, sorted({*earlier, *(i for i in found if i is not None)}), n, sum(b - a for a, b in spans), [{"start": a, "end": b} for a, b in chars])):
                     col.append(x)
-            keys = pa.concat_arrays(shard.keys)
-            keys = keys if keys.type == arrow.field(0).type else keys.cast(arrow.field(0).type)
-            return pa.RecordBatch.from_arrays([keys, *(pa.array(c, f.type) for c, f in zip(cols, list(arrow)[1:]))], schema=arrow)
+            passed = [pa.concat_arrays([h.column(k) for h in shard.held]) for k in (0, 1)]
+            if last and not keep_text:
+                passed[1] = pa.nulls(len(shard.docs), arrow.field(1).type)
+            passed = [c if c.type == f.type else c.cast(f.type) for c, f in zip(passed, arrow)]
+            return pa.RecordBatch.from_arrays([*passed, *(pa.array(c, f.type) for c, f in zip(cols, list(arrow)[2:]))], schema=arrow)
 
         shard, held = _Shard(), 0
         for batch in batches:
@@ -175,21 +177,22 @@ def _search(df: DataFrame, items: list[tuple], width: int, shard_words: int, out
                     shard.add(body, np.array([known.get(w, 0) for w in words(body)], np.int64), shortest, runs, found)
                     held += len(body or "")
                     if shard.size >= shard_words or held >= SLICE_BYTES:
-                        shard.keys.append(piece.column(0).slice(start, i + 1 - start))
+                        shard.held.append(piece.slice(start, i + 1 - start))
                         yield flush(shard)
                         shard, held, start = _Shard(), 0, i + 1
                 if start < piece.num_rows:
-                    shard.keys.append(piece.column(0).slice(start))
+                    shard.held.append(piece.slice(start))
         if shard.docs:
             yield flush(shard)
 
     return df.mapInArrow(run, out)
 
 
-def find_contamination(docs: DataFrame, benchmark: DataFrame, key: str = "doc_id", text: str = "text", item: str = "item_id", item_text: str = "text", width: int = WINDOW, shard_words: int = SHARD_WORDS, group_bytes: int = BENCHMARK_BYTES) -> DataFrame:
+def find_contamination(docs: DataFrame, benchmark: DataFrame, key: str = "doc_id", text: str = "text", item: str = "item_id", item_text: str = "text", width: int = WINDOW, shard_words: int = SHARD_WORDS, group_bytes: int = BENCHMARK_BYTES, keep_text: bool = False) -> DataFrame:
     """One row for each input row: key, n_words, n_hit, items (sorted strings), spans (code points, merged).
 
-    The key passes through as it came, so it may be a struct of whole rows; with it a row is decided without a join.
+    The key passes through as it came, so it may be a struct of a row's other columns; with keep_text the text comes back too
+    (as column text), and rows are decided without a join.
     Null and empty texts have no words; an item without words has no window; an item with a null id marks words but is not
     listed; repeated item ids count once; repeated rows give repeated rows; an empty benchmark hits nothing. Other columns
     of either table are not read, so they may have any name.
@@ -204,8 +207,8 @@ def find_contamination(docs: DataFrame, benchmark: DataFrame, key: str = "doc_id
     df = docs.select(F.col(key).alias("key"), F.col(text).cast("string").alias("text"), F.lit(None).cast("array<array<bigint>>").alias("runs"), F.lit(None).cast("array<string>").alias("items"))
     for g in range(groups):
         part = side if groups == 1 else side.filter(F.pmod(F.xxhash64("item", "body"), F.lit(groups)) == g)
-        df = _search(df, [(r["item"], r["body"]) for r in part.collect()], width, shard_words, out, g == groups - 1)
-    return df.select(F.col("key").alias(key), "n_words", "n_hit", "items", "spans")
+        df = _search(df, [(r["item"], r["body"]) for r in part.collect()], width, shard_words, out, g == groups - 1, keep_text)
+    return df.select(F.col("key").alias(key), *(["text"] if keep_text else []), "n_words", "n_hit", "items", "spans")
 
 
 def remove_spans(text: Column, spans: Column) -> Column:
