@@ -67,9 +67,11 @@ def decontaminate(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFram
     The rows go through the search as they are, so nothing is joined or shuffled. Rows without words stay, equal rows share their
     verdict, an empty benchmark drops nothing, an empty table stays empty.
     """
-    packed = docs.select(F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("row"), F.col("text"))
-    found = find_contamination(packed, table(spark, sf_dir, "benchmark"), key="row")
-    return found.filter(~contaminated(F.col("n_hit"), F.col("n_words"))).select("row.*")
+    # The text travels once, beside the other columns.
+    packed = docs.select(F.struct(F.lit(0), *[F.col(f"`{c}`") for c in docs.columns if c != "text"]).alias("row"), F.col("text"))
+    found = find_contamination(packed, table(spark, sf_dir, "benchmark"), key="row", keep_text=True)
+    clean = found.filter(~contaminated(F.col("n_hit"), F.col("n_words")))
+    return clean.select(*[F.col("text") if c == "text" else F.col(f"row.`{c}`").alias(c) for c in docs.columns])
 
 
 def mixing(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
