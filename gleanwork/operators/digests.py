@@ -24,7 +24,8 @@ def simhash(df: DataFrame, n: int = 6, key: str = "doc_id", text: str = "text",
 def simhash_pairs(fps: DataFrame, most: int = 3, key: str = "doc_id", bits: int = BITS, blocks: int = BLOCKS) -> DataFrame:
     """(a, b, distance): pairs within most bits. most + 1 blocks of bits: such a pair agrees on one, so blocks are joined.
 
-    Equal fingerprints are one class while joining; members come back through the classes.
+    Equal fingerprints are one class: pairs are listed between the least keys of classes, and each other member beside its
+    class's least key, with distance 0.
     """
     if blocks <= most:
         raise ValueError("more blocks than differing bits are needed")
@@ -34,10 +35,11 @@ def simhash_pairs(fps: DataFrame, most: int = 3, key: str = "doc_id", bits: int
     rows = classes.select("fp", F.posexplode(cut).alias("block", "value"))
     near = rows.withColumnRenamed("fp", "x").join(rows.withColumnRenamed("fp", "y"), ["block", "value"]).filter("x < y")
     near = near.select("x", "y", F.bit_count(F.col("x").bitwiseXOR(F.col("y"))).alias("distance")).filter(F.col("distance") <= most).distinct()
-    near = near.union(classes.select(F.col("fp").alias("x"), F.col("fp").alias("y"), F.lit(0).alias("distance")))
-    left, right = fps.select(F.col(key).alias("p"), F.col("fp").alias("x")), fps.select(F.col(key).alias("q"), F.col("fp").alias("y"))
-    pairs = near.join(left, "x").join(right, "y").filter((F.col("x") != F.col("y")) | (F.col("p") < F.col("q")))
-    return pairs.select(F.least("p", "q").alias("a"), F.greatest("p", "q").alias("b"), F.col("distance").cast("int").alias("distance"))
+    reps = fps.groupBy("fp").agg(F.min(key).alias("rep"))
+    left, right = reps.select(F.col("rep").alias("p"), F.col("fp").alias("x")), reps.select(F.col("rep").alias("q"), F.col("fp").alias("y"))
+    pairs = near.join(left, "x").join(right, "y").select(F.least("p", "q").alias("a"), F.greatest("p", "q").alias("b"), F.col("distance").cast("int").alias("distance"))
+    members = fps.join(reps, "fp").filter(F.col(key) > F.col("rep")).select(F.col("rep").alias("a"), F.col(key).alias("b"), F.lit(0).alias("distance"))
+    return pairs.union(members)
 
 
 def locality_digest(text: str | None) -> bytes | None:
@@ -123,3 +125,33 @@ def close_pairs(df: DataFrame, least: float, key: str = "vec_id", vector: str =
         return pa.table({"a": np.minimum(a, b)[keep], "b": np.maximum(a, b)[keep], "cosine": c[keep]})
 
     return sent.groupBy("i", "j").applyInArrow(solve, schema)
+
+
+def search(df: DataFrame, queries: DataFrame, least: float, key: str = "vec_id", vector: str = "embedding", block: int = 2048) -> DataFrame:
+    """(a, b, cosine): vectors b of df within cosine least of query a, another key. Exact, by blocks of queries and of rows.
+
+    A block of queries meets a block of rows in one matrix product; the work is queries times rows. Null and zero vectors have no
+    partner.
+    """
+    def dealt(d: DataFrame, mine: str, others: str, n: int, m: int, query: bool) -> DataFrame:
+        d = d.filter(F.col(vector).isNotNull() & F.col(key).isNotNull())
+        every = F.explode(F.sequence(F.lit(0).cast("long"), F.lit(m - 1).cast("long"))).alias(others)
+        return d.select(F.col(key).alias("id"), F.col(vector).cast("array<double>").alias("v"), F.lit(query).alias("q"), F.pmod(F.xxhash64(key), F.lit(n)).alias(mine), every)
+
+    n, m = (max(1, -(-d.count() // block)) for d in (queries, df))
+    sent = dealt(queries, "i", "j", n, m, True).unionByName(dealt(df, "j", "i", m, n, False))
+    kind = df.schema[key].dataType
+    schema = T.StructType([T.StructField("a", kind), T.StructField("b", kind), T.StructField("cosine", T.DoubleType())])
+
+    def solve(t: pa.Table) -> pa.Table:
+        ids, asks = t.column("id").to_numpy(), t.column("q").to_numpy()
+        v = np.array(t.column("v").to_pylist(), float)
+        norm = np.sqrt((v * v).sum(axis=1))
+        v = v / np.maximum(norm, 1e-300)[:, None]
+        left, right = np.flatnonzero(asks & (norm > 0)), np.flatnonzero(~asks & (norm > 0))
+        c = v[left] @ v[right].T
+        x, y = np.nonzero(c >= least)
+        a, b, c = ids[left[x]], ids[right[y]], c[x, y]
+        return pa.table({"a": a[a != b], "b": b[a != b], "cosine": c[a != b]})
+
+    return sent.groupBy("i", "j").applyInArrow(solve, schema)

@@ -7,7 +7,7 @@ from pyspark.sql import DataFrame, Window, functions as F
 from ..functions import textstats as ts
 from ..operators import classifier, digests, exact, hosts, lm, metrics, minhash, mixture, normalize, quality, recipes, tables
 from ..profiles import HARMFUL_TERMS, LATIN
-from .corpus import CONF_SQL, LINES_SQL, PARAS_SQL, TOKENS_SQL, WORDS_SQL, jaccard_sql, lst, mild_flags, MILD, pairs_sql, prefix_sql, r6, sentences_sql, small_keys, table, term_sql
+from .corpus import CONF_SQL, LINES_SQL, PARAS_SQL, TOKENS_SQL, WORDS_SQL, jaccard_sql, lst, members_sql, mild_flags, MILD, of_reps, pairs_sql, prefix_sql, r6, rep_keys, sentences_sql, table, term_sql
 
 Q: dict[str, tuple] = {}
 
@@ -96,28 +96,33 @@ FP_SQL = f"""(SELECT doc_id, ({' + '.join(f'CASE WHEN sum(((h >> {k}) & 1) * 2 -
   SELECT doc_id, ('0x' || substr(md5(array_to_string(w[pos + 1 : pos + 6], ' ')), 1, 15))::BIGINT AS h FROM (SELECT doc_id, w, unnest(range(0, greatest(len(w) - 5, 0))) AS pos FROM (SELECT doc_id, {TOKENS_SQL.format(t='text')} AS w FROM documents))) GROUP BY doc_id)"""
 
 
-@query("w55_simhash_pairs", f"WITH f AS MATERIALIZED {FP_SQL} SELECT x.doc_id AS a, y.doc_id AS b, bit_count(xor(x.fp, y.fp))::INT AS distance FROM f x JOIN f y ON x.doc_id < y.doc_id WHERE bit_count(xor(x.fp, y.fp)) <= 3")
+@query("w55_simhash_pairs", f"WITH f AS MATERIALIZED {FP_SQL}, r AS MATERIALIZED (SELECT fp, min(doc_id) AS doc_id FROM f GROUP BY fp) SELECT least(x.doc_id, y.doc_id) AS a, greatest(x.doc_id, y.doc_id) AS b, bit_count(xor(x.fp, y.fp))::INT AS distance FROM r x JOIN r y ON x.fp < y.fp WHERE bit_count(xor(x.fp, y.fp)) <= 3 UNION ALL SELECT r.doc_id, f.doc_id, 0 FROM f JOIN r ON r.fp = f.fp AND r.doc_id < f.doc_id")
 def w55(spark, d):
+    """Pairs of different fingerprints by their least documents, and each other document of a fingerprint beside its least one."""
     return digests.simhash_pairs(digests.simhash(table(spark, d, "documents")))
 
 
 @query("w56_tlsh_pairs")
 def w56(spark, d):
-    return digests.digest_pairs(digests.digests(table(spark, d, "documents")))
+    docs = table(spark, d, "documents")
+    reps = minhash.copies(docs).filter("doc_id = rep").select("doc_id")
+    return minhash.with_members(digests.digest_pairs(digests.digests(docs).join(reps, "doc_id", "left_semi")), docs, distance=0)
 
 
 R5, B5 = minhash.tune(0.5, 32)
 R8, B8 = minhash.tune(0.8, 64)
 
 
-@query("w57_minhash_at_0_5", f"SELECT a, b FROM {pairs_sql(R5, B5)}")
+@query("w57_minhash_at_0_5", f"SELECT a, b FROM {of_reps(pairs_sql(R5, B5))} UNION ALL SELECT a, b FROM {members_sql()}")
 def w57(spark, d):
-    return minhash.candidate_pairs(small_keys(spark, d, R5, B5))
+    return minhash.with_members(minhash.candidate_pairs(rep_keys(spark, d, R5, B5)), table(spark, d, "documents"))
 
 
-@query("w58_minhash_at_0_8", f"SELECT a, b, round(jaccard, 6) AS jaccard FROM {jaccard_sql(pairs_sql(R8, B8), 0.8)}")
+@query("w58_minhash_at_0_8", f"SELECT a, b, round(jaccard, 6) AS jaccard FROM {of_reps(jaccard_sql(pairs_sql(R8, B8), 0.8))} UNION ALL SELECT a, b, jaccard FROM {members_sql(', 1.0::DOUBLE AS jaccard')}")
 def w58(spark, d):
-    return minhash.verify(minhash.candidate_pairs(small_keys(spark, d, R8, B8)), table(spark, d, "documents"), 0.8).withColumn("jaccard", r6(F.col("jaccard")))
+    docs = table(spark, d, "documents")
+    found = minhash.verify(minhash.candidate_pairs(rep_keys(spark, d, R8, B8)), docs, 0.8).withColumn("jaccard", r6(F.col("jaccard")))
+    return minhash.with_members(found, docs, jaccard=1.0)
 
 
 def lm_sql(ref: str, ref_key: str, n: int = 3, k: float = 0.1) -> str:
@@ -336,13 +341,11 @@ def w75(spark, d):
 COS_SQL = "(list_dot_product(x.embedding::DOUBLE[], y.embedding::DOUBLE[]) / (sqrt(list_dot_product(x.embedding::DOUBLE[], x.embedding::DOUBLE[])) * sqrt(list_dot_product(y.embedding::DOUBLE[], y.embedding::DOUBLE[]))))"
 
 
-@query("w76_embedding_near_dup", f"SELECT x.vec_id AS a, y.vec_id AS b, round({COS_SQL}, 5) AS cosine FROM embeddings x JOIN embeddings y ON x.label = y.label AND x.vec_id <> y.vec_id WHERE x.vec_id % 10 = 0 AND {COS_SQL} >= 0.9")
+@query("w76_embedding_near_dup", f"SELECT x.vec_id AS a, y.vec_id AS b, round({COS_SQL}, 5) AS cosine FROM embeddings x JOIN embeddings y ON x.vec_id <> y.vec_id WHERE x.vec_id % 100 = 0 AND {COS_SQL} >= 0.3")
 def w76(spark, d):
+    """A search: every vector whose id is divisible by 100, against all vectors, whatever their label."""
     e = table(spark, d, "embeddings")
-    x = e.filter("vec_id % 10 = 0").select(F.col("vec_id").alias("a"), F.col("embedding").alias("x"), "label")
-    j = x.join(e.select(F.col("vec_id").alias("b"), F.col("embedding").alias("y"), "label"), "label").filter("a <> b")
-    j = ts.hold(j, cosine=digests.cosine(F.col("x"), F.col("y")))
-    return j.filter("cosine >= 0.9").select("a", "b", F.round("cosine", 5).alias("cosine"))
+    return digests.search(e, e.filter("vec_id % 100 = 0"), 0.3).select("a", "b", F.round("cosine", 5).alias("cosine"))
 
 
 @query("w76b_embedding_near_dup_whole")
@@ -403,21 +406,21 @@ def exact_sql(least: float) -> str:
     return jaccard_sql(prefix_sql(least), least)
 
 
-@query("w79_pair_quality", f"""WITH f AS MATERIALIZED {pairs_sql(4, 8)}, t AS MATERIALIZED (SELECT a, b FROM {exact_sql(0.8)}), j AS (SELECT (t.a IS NOT NULL) AS t, (f.a IS NOT NULL) AS g FROM f FULL JOIN t ON f.a = t.a AND f.b = t.b) SELECT {CONF_SQL} FROM j""")
+@query("w79_pair_quality", f"""WITH f AS MATERIALIZED {of_reps(pairs_sql(4, 8))}, t AS MATERIALIZED (SELECT a, b FROM {of_reps(exact_sql(0.8))}), j AS (SELECT (t.a IS NOT NULL) AS t, (f.a IS NOT NULL) AS g FROM f FULL JOIN t ON f.a = t.a AND f.b = t.b) SELECT {CONF_SQL} FROM j""")
 def w79(spark, d):
-    """Candidates of 4 x 8 hashes against all pairs of Jaccard 0.8 or more, which are found without hashing."""
-    found, truth = minhash.candidate_pairs(small_keys(spark, d)), minhash.exact_pairs(table(spark, d, "documents"), 0.8)
+    """Candidates of 4 x 8 hashes against all pairs of different texts of Jaccard 0.8 or more, which are found without hashing."""
+    found, truth = minhash.candidate_pairs(rep_keys(spark, d)), minhash.exact_pairs(minhash.representatives(table(spark, d, "documents")), 0.8)
     return metrics.pair_quality(found, truth).select("tp", "fp", "fn", "tn")
 
 
 BIN = "least(floor(jaccard * 20 + 1e-9), 19) / 20.0"
 
 
-@query("w79b_recall_by_similarity", f"""WITH f AS MATERIALIZED {pairs_sql(4, 8)}, t AS MATERIALIZED (SELECT a, b, round(jaccard, 6) AS jaccard FROM {exact_sql(0.5)})
+@query("w79b_recall_by_similarity", f"""WITH f AS MATERIALIZED {of_reps(pairs_sql(4, 8))}, t AS MATERIALIZED (SELECT a, b, round(jaccard, 6) AS jaccard FROM {of_reps(exact_sql(0.5))})
   SELECT round(({BIN})::DOUBLE, 2) AS bin, count(*) AS pairs, count(f.a) AS found, round(count(f.a) / count(*)::DOUBLE, 6) AS recall, round(avg(1 - pow(1 - pow(jaccard, 4), 8)), 6) AS expected FROM t LEFT JOIN f ON f.a = t.a AND f.b = t.b GROUP BY 1""")
 def w79b(spark, d):
     """Recall of candidates among true pairs, by similarity, beside what the curve says."""
-    return recall_by_similarity(minhash.candidate_pairs(small_keys(spark, d)), table(spark, d, "documents"), 4, 8)
+    return recall_by_similarity(minhash.candidate_pairs(rep_keys(spark, d)), minhash.representatives(table(spark, d, "documents")), 4, 8)
 
 
 def recall_by_similarity(found: DataFrame, docs: DataFrame, rows: int, bands: int) -> DataFrame:
@@ -431,7 +434,7 @@ def recall_by_similarity(found: DataFrame, docs: DataFrame, rows: int, bands: in
 @query("w79c_recall_printed_setting")
 def w79c(spark, d):
     """The same for the printed 20 x 40 hashes: pairs that share a band of their digests."""
-    docs = table(spark, d, "documents")
+    docs = minhash.representatives(table(spark, d, "documents"))
     found = minhash.digests(docs).select("doc_id", F.posexplode("buckets").alias("band", "bucket"))
     return recall_by_similarity(minhash.candidate_pairs(found), docs, minhash.ROWS, minhash.BANDS)
 

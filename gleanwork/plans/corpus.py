@@ -477,9 +477,29 @@ def w30(spark, d):
     return small_keys(spark, d)
 
 
-@query("w31_candidates", f"SELECT a, b FROM {pairs_sql(4, 8)}")
+REPS_SQL = "(SELECT min(doc_id) AS doc_id, text FROM documents WHERE length(text) > 0 GROUP BY text)"
+
+
+def members_sql(columns: str = "") -> str:
+    """(rep, member) of equal texts, as pairs."""
+    return f"(SELECT rep AS a, doc_id AS b{columns} FROM (SELECT doc_id, min(doc_id) OVER (PARTITION BY text) AS rep FROM documents WHERE length(text) > 0) WHERE rep < doc_id)"
+
+
+def of_reps(sql: str) -> str:
+    return sql.replace("FROM documents", f"FROM {REPS_SQL}")
+
+
+def rep_keys(spark, d, rows=SMALL_ROWS, bands=SMALL_BANDS) -> DataFrame:
+    """Band keys of the texts that stand for their copies; the signatures, not the texts, are joined."""
+    docs = table(spark, d, "documents")
+    reps = minhash.copies(docs).filter("doc_id = rep").select("doc_id")
+    return minhash.band_keys(minhash.signatures(docs, rows, bands, family="md5").join(reps, "doc_id", "left_semi"), rows, bands)
+
+
+@query("w31_candidates", f"SELECT a, b FROM {of_reps(pairs_sql(4, 8))} UNION ALL SELECT a, b FROM {members_sql()}")
 def w31(spark, d):
-    return minhash.candidate_pairs(small_keys(spark, d))
+    """Pairs of different texts, and each copy beside its representative."""
+    return minhash.with_members(minhash.candidate_pairs(rep_keys(spark, d)), table(spark, d, "documents"))
 
 
 def jaccard_sql(pairs: str, least: float) -> str:
@@ -488,10 +508,11 @@ def jaccard_sql(pairs: str, least: float) -> str:
   SELECT a, b, c / (x.n + y.n - c)::DOUBLE AS jaccard FROM c JOIN n x ON x.doc_id = a JOIN n y ON y.doc_id = b WHERE c / (x.n + y.n - c)::DOUBLE >= {least})"""
 
 
-@query("w32_verified_pairs", f"SELECT a, b, round(jaccard, 6) AS jaccard FROM {jaccard_sql(pairs_sql(4, 8), 0.9)}")
+@query("w32_verified_pairs", f"SELECT a, b, round(jaccard, 6) AS jaccard FROM {of_reps(jaccard_sql(pairs_sql(4, 8), 0.9))} UNION ALL SELECT a, b, jaccard FROM {members_sql(', 1.0::DOUBLE AS jaccard')}")
 def w32(spark, d):
     docs = table(spark, d, "documents")
-    return minhash.verify(minhash.candidate_pairs(small_keys(spark, d)), docs, 0.9).withColumn("jaccard", r6(F.col("jaccard")))
+    found = minhash.verify(minhash.candidate_pairs(rep_keys(spark, d)), docs, 0.9).withColumn("jaccard", r6(F.col("jaccard")))
+    return minhash.with_members(found, docs, jaccard=1.0)
 
 
 def prefix_sql(least: float) -> str:
@@ -500,9 +521,11 @@ def prefix_sql(least: float) -> str:
   x AS MATERIALIZED (SELECT doc_id, h FROM r WHERE rn <= n - ceil(n * {least}) + 1) SELECT DISTINCT p.doc_id AS a, q.doc_id AS b FROM x p JOIN x q ON p.h = q.h AND p.doc_id < q.doc_id)"""
 
 
-@query("w33_exact_jaccard_pairs", f"SELECT a, b, round(jaccard, 6) AS jaccard FROM {jaccard_sql(prefix_sql(0.8), 0.8)}")
+@query("w33_exact_jaccard_pairs", f"SELECT a, b, round(jaccard, 6) AS jaccard FROM {of_reps(jaccard_sql(prefix_sql(0.8), 0.8))} UNION ALL SELECT a, b, jaccard FROM {members_sql(', 1.0::DOUBLE AS jaccard')}")
 def w33(spark, d):
-    return minhash.exact_pairs(table(spark, d, "documents"), 0.8).withColumn("jaccard", r6(F.col("jaccard")))
+    docs = table(spark, d, "documents")
+    found = minhash.exact_pairs(minhash.representatives(docs), 0.8).withColumn("jaccard", r6(F.col("jaccard")))
+    return minhash.with_members(found, docs, jaccard=1.0)
 
 
 def crawled(spark, d) -> DataFrame:

@@ -13,7 +13,7 @@ from pyspark.sql import DataFrame, SparkSession, Window, functions as F, types a
 from .. import sqlapi
 from ..functions import textstats as ts
 from ..operators import hosts
-from .corpus import HOST_SQL, LISTED, lst, r6, small_keys, keys_sql, table
+from .corpus import HOST_SQL, LISTED, lst, r6, of_reps, rep_keys, keys_sql, table
 
 Q: dict[str, tuple] = {}
 TABLES = "region nation customer supplier part orders lineitem events documents embeddings pages benchmark labels conversations".split()
@@ -138,9 +138,10 @@ def join_suffix(spark, d):
     return p.join(hosts.in_blocklist(p.select("host").distinct(), listed), "host", "left_semi").select("page_id")
 
 
-@query("op_self_join_keys", f"SELECT x.band, x.doc_id AS a, y.doc_id AS b FROM {keys_sql(4, 8)} x JOIN {keys_sql(4, 8)} y ON x.band = y.band AND x.bucket = y.bucket AND x.doc_id < y.doc_id")
+@query("op_self_join_keys", f"SELECT x.band, x.doc_id AS a, y.doc_id AS b FROM {of_reps(keys_sql(4, 8))} x JOIN {of_reps(keys_sql(4, 8))} y ON x.band = y.band AND x.bucket = y.bucket AND x.doc_id < y.doc_id")
 def self_join(spark, d):
-    k = small_keys(spark, d)
+    """Different texts that share a key, by their representatives."""
+    k = rep_keys(spark, d)
     return k.select("band", "bucket", F.col("doc_id").alias("a")).join(k.select("band", "bucket", F.col("doc_id").alias("b")), ["band", "bucket"]).filter("a < b").select("band", "a", "b")
 
 

@@ -135,3 +135,19 @@ def test_locality_digest_is_near_for_near_texts():
     assert digests.digest_distance(d(a), d(a)) == 0
     assert digests.digest_distance(d(a), d(near)) < digests.digest_distance(d(a), d(far))
     assert d("short") is None and d(None) is None
+
+
+def test_pairs_of_classes_lose_no_link(spark):
+    """Pairs between representatives with their copies say the same as all pairs."""
+    rng = random.Random(6)
+    base = ["".join(rng.choice("abcdefgh ") for _ in range(200)) for _ in range(4)]
+    rows = [(i, base[i % 4][: 200 - 3 * (i % 3)]) for i in range(24)] + [(50, None), (51, ""), (52, "")]
+    df = spark.createDataFrame(rows, "doc_id long, text string")
+    every = {(r["a"], r["b"]) for r in minhash.exact_pairs(df, 0.8).collect()}
+    listed = [(r["a"], r["b"]) for r in minhash.with_members(minhash.exact_pairs(minhash.representatives(df), 0.8), df).collect()]
+    rep = {r["doc_id"]: r["rep"] for r in minhash.copies(df).collect()}
+    links = {tuple(sorted(p)) for p in listed if rep[p[0]] != rep[p[1]]}
+    again = {(a, b) for a, b in itertools.combinations(sorted(rep), 2) if rep[a] == rep[b] or tuple(sorted((rep[a], rep[b]))) in links}
+    assert again == every and len(listed) == len(set(listed)) < len(every)
+    fps = spark.createDataFrame([(1, 0), (2, 0), (3, 7), (4, 1 << 40), (5, 7)], "doc_id long, fp long")
+    assert sorted(tuple(r) for r in digests.simhash_pairs(fps).collect()) == [(1, 2, 0), (1, 3, 3), (1, 4, 1), (3, 5, 0)]

@@ -20,7 +20,10 @@ def test_all_close_pairs(spark, data):
 
 
 def test_pairs_across_labels_and_ids(spark, tmp_path):
-    rows = [(11, [1.0, 0.0], 1), (12, [1.0, 0.1], 2), (13, [0.0, 1.0], 1)]
+    rows = [(11, [1.0, 0.0], 1), (12, [1.0, 0.1], 2), (13, [0.0, 1.0], 1), (200, [0.1, 1.0], 2), (300, [0.0, 0.0], 2), (400, None, 2)]
     spark.createDataFrame(rows, "vec_id long, embedding array<float>, label int").write.parquet(f"{tmp_path}/embeddings.parquet")
     run = lambda name: {(r["a"], r["b"]) for r in entry.queries()[name](spark, str(tmp_path)).collect()}
-    assert run("w76_embedding_near_dup") == set() and run("w76b_embedding_near_dup_whole") == {(11, 12)}
+    assert run("w76_embedding_near_dup") == {(200, 13)} and run("w76b_embedding_near_dup_whole") == {(11, 12), (13, 200)}
+    df = spark.read.parquet(f"{tmp_path}/embeddings.parquet")
+    for block in (1, 2, 100):
+        assert {(r["a"], r["b"]) for r in digests.search(df, df, 0.9, block=block).collect()} == {(11, 12), (12, 11), (13, 200), (200, 13)}
