@@ -2,6 +2,9 @@
 
 from __future__ import annotations
 
+from collections.abc import Iterator
+
+import pandas as pd
 from pyspark.sql import Column, DataFrame, functions as F
 
 from ..profiles import ELLIPSES, HIRAGANA, KANJI, KATAKANA, PUNCTUATION, TERMINATORS, kana_map
@@ -142,11 +145,35 @@ def term_pattern(terms: list[str] | tuple[str, ...]) -> str:
     return "|".join("".join("\\" + c if c in special else c for c in t) for t in sorted(terms, key=lambda t: (-len(t), t)))
 
 
+#: Terms from which on an automaton looks for them; a pattern of alternatives tries each at every place.
+MANY_TERMS = 1000
+
+
+def _covered(terms: list[str]):
+    """Column function: characters inside terms, leftmost and longest first, by an Aho-Corasick automaton in an Arrow pass."""
+
+    @F.pandas_udf("int")
+    def covered(parts: Iterator[pd.Series]) -> Iterator[pd.Series]:
+        import ahocorasick
+
+        automaton = ahocorasick.Automaton()
+        for t in terms:
+            if t:
+                automaton.add_word(t, len(t))
+        automaton.make_automaton()
+        for texts in parts:
+            yield pd.Series([sum(n for _, n in automaton.iter_long(t)) if t else 0 for t in texts], dtype="int32")
+
+    return covered
+
+
 def term_share(text: Column, terms: list[str] | tuple[str, ...]) -> Column:
     """Characters inside terms over all characters, lower-cased; no terms or empty text 0."""
     if not terms:
         return F.lit(0.0)
     low = F.lower(text)
+    if len(terms) > MANY_TERMS:
+        return ratio(_covered(list(terms))(low), F.length(low))
     return ratio(F.length(low) - F.length(F.regexp_replace(low, term_pattern(terms), "")), F.length(low))
 
 

@@ -62,6 +62,30 @@ def parse(record: bytes | None) -> tuple | None:
         return (None, fields.get("WARC-Target-URI"), None, None, None, f"{type(e).__name__}: {e}")
 
 
+def _open(path: str):
+    """A stream of bytes of a file: a plain path, or a URI of a store that pyarrow reads."""
+    from pyarrow import fs
+
+    if path.startswith("file:") and not path.startswith("file://"):
+        path = "file://" + path[5:]
+    store, inner = fs.FileSystem.from_uri(path) if "://" in path else (fs.LocalFileSystem(), path)
+    return store.open_input_stream(inner, compression=None)
+
+
+def _list(pattern: str) -> list[str]:
+    """Files of a glob; in a store only the last part may have wildcards."""
+    import fnmatch
+    import glob
+
+    from pyarrow import fs
+
+    if "://" not in pattern:
+        return sorted(glob.glob(pattern))
+    folder, _, name = pattern.rpartition("/")
+    store, inner = fs.FileSystem.from_uri(folder)
+    return sorted(f"{folder}/{i.base_name}" for i in store.get_file_info(fs.FileSelector(inner)) if i.is_file and fnmatch.fnmatch(i.base_name, name))
+
+
 class _File(InputPartition):
     def __init__(self, path: str):
         self.path = path
@@ -72,12 +96,10 @@ class ArchiveReader(DataSourceReader):
         self.paths = [p for p in options.get("paths", options.get("path", "")).split(",") if p]
 
     def partitions(self):
-        import glob
-
-        return [_File(f) for p in self.paths for f in sorted(glob.glob(p))]
+        return [_File(f) for p in self.paths for f in _list(p)]
 
     def read(self, partition):
-        with open(partition.path, "rb") as f:
+        with _open(partition.path) as f:
             for record in members(f):
                 row = parse(record)
                 if row is not None:
@@ -85,7 +107,7 @@ class ArchiveReader(DataSourceReader):
 
 
 class ArchiveSource(DataSource):
-    """format("page_archive"), option path: a glob of files in a mounted file system."""
+    """format("page_archive"), option path: a glob of files, in a mounted file system or a store that pyarrow reads."""
 
     @classmethod
     def name(cls):
@@ -98,12 +120,21 @@ class ArchiveSource(DataSource):
         return ArchiveReader(self.options)
 
 
-def read_archive(spark: SparkSession, path: str, snapshots: list[int] | None = None) -> DataFrame:
-    """Pages of archive files. Any store that Spark reads: files come through binaryFile, one task for each."""
-    df = _records(spark.read.format("binaryFile").load(path).select("content"))
+def read_archive(spark: SparkSession, path: str, snapshots: list[int] | None = None, streamed: bool = False) -> DataFrame:
+    """Pages of archive files, one task for each file.
+
+    Files come through binaryFile, which reads any store that Spark reads but holds a file as one value of at most 2 GB.
+    streamed: only their paths come so, and tasks read them through pyarrow, record by record, whatever their size.
+    """
+    files = spark.read.format("binaryFile").load(path)
+    df = _records(files.select("path") if streamed else files.select("content"))
     return df if snapshots is None else df.filter(F.col("snapshot_ix").isin(snapshots) | F.col("_corrupt").isNotNull())
 
 
+#: Characters of page that go to Spark at a time.
+BATCH_CHARS = 8 << 20
+
+
 def _records(files: DataFrame) -> DataFrame:
     import pyarrow as pa
 
@@ -112,9 +143,20 @@ def _records(files: DataFrame) -> DataFrame:
 
     def run(batches):
         for b in batches:
-            for content in b.column(0):
-                rows = [r for m in members(io.BytesIO(content.as_py())) if (r := parse(m)) is not None]
-                yield pa.RecordBatch.from_arrays([pa.array([r[i] for r in rows], k) for i, k in enumerate(kinds)], names=names)
+            for found in b.column(0):
+                rows, held = [], 0
+                with (_open(found.as_py()) if pa.types.is_string(found.type) else io.BytesIO(found.as_py())) as stream:
+                    for r in map(parse, members(stream)):
+                        if r is not None:
+                            rows.append(r)
+                            held += len(r[2] or "")
+                        if held > BATCH_CHARS:
+                            yield made(rows)
+                            rows, held = [], 0
+                yield made(rows)
+
+    def made(rows):
+        return pa.RecordBatch.from_arrays([pa.array([r[i] for r in rows], k) for i, k in enumerate(kinds)], names=names)
 
     return files.mapInArrow(run, SCHEMA)
 

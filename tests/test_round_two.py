@@ -9,7 +9,9 @@ import pytest
 from pyspark.sql import functions as F
 
 import __spark_entry__ as entry
-from gleanwork.operators import classifier, dedup, digests, gate, langid, lm, metrics, minhash, normalize
+from gleanwork.functions import textstats as ts
+from gleanwork.operators import classifier, dedup, digests, gate, lm, metrics, minhash, normalize
+from gleanwork.sources import archive
 
 
 def test_exact_quantiles(spark):
@@ -151,3 +153,25 @@ def test_pairs_of_classes_lose_no_link(spark):
     assert again == every and len(listed) == len(set(listed)) < len(every)
     fps = spark.createDataFrame([(1, 0), (2, 0), (3, 7), (4, 1 << 40), (5, 7)], "doc_id long, fp long")
     assert sorted(tuple(r) for r in digests.simhash_pairs(fps).collect()) == [(1, 2, 0), (1, 3, 3), (1, 4, 1), (3, 5, 0)]
+
+
+def test_many_terms_by_automaton(spark, monkeypatch):
+    rng = random.Random(9)
+    terms = sorted({"".join(rng.choice("abc.") for _ in range(rng.randint(1, 4))) for _ in range(25)})
+    df = spark.createDataFrame([(i, "".join(rng.choice("abcABC. x") for _ in range(rng.randint(0, 60)))) for i in range(300)] + [(999, None)], "doc_id long, t string")
+    share = lambda: [r[0] for r in df.orderBy("doc_id").select(ts.term_share(F.col("t"), terms)).collect()]
+    plain = share()
+    monkeypatch.setattr(ts, "MANY_TERMS", 3)
+    assert share() == plain
+
+
+def test_archives_are_read_record_by_record(spark, tmp_path, monkeypatch):
+    ix, when = dedup.recency(F.col("page_id"))
+    pages = spark.createDataFrame([(i, f"http://h/{i}", "<p>" + "x" * i) for i in range(30)], "page_id long, url string, html string").withColumns({"snapshot_ix": ix, "crawl_ts": when})
+    archive.write_archives(pages, f"{tmp_path}/a", 2)
+    monkeypatch.setattr(archive, "BATCH_CHARS", 50)
+    rows = lambda df: sorted((r["page_id"], r["url"], r["html"], r["snapshot_ix"]) for r in df.collect())
+    whole = rows(archive.read_archive(spark, f"{tmp_path}/a"))
+    assert len(whole) == 30 and whole == rows(archive.read_archive(spark, f"{tmp_path}/a", streamed=True))
+    spark.dataSource.register(archive.ArchiveSource)
+    assert whole == rows(spark.read.format("page_archive").load(f"file://{tmp_path}/a/*.warc.gz")) == rows(spark.read.format("page_archive").load(f"{tmp_path}/a/*.warc.gz"))
