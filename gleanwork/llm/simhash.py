@@ -24,6 +24,8 @@ REACH = 2
 SHINGLE = 3
 #: Least number of shards, classes in a shard beyond that, and classes in the sample that shapes the router.
 MIN_SHARDS, SHARD_CLASSES, SAMPLE = 64, 1 << 18, 1 << 14
+#: Queries, about, that one task asks of a shard; a shard that is asked more is copied to several tasks.
+TASK_QUERIES = 1 << 20
 _UPPER = {c: c + 32 for c in range(65, 91)}
 _SPACE = dict.fromkeys([9, 10, 11, 12, 13], 32)
 _FOLD = bytes(c + 32 if 65 <= c <= 90 else 32 if 9 <= c <= 13 else c for c in range(256))
@@ -62,14 +64,21 @@ def fingerprints(docs: DataFrame, key: str = "doc_id", text: str = "text", width
     return map_text(docs.select(*(docs[c].alias(name) for name, c in named.items()), docs[text].alias("text")), list(named), "text", schema, work)
 
 
-def class_links(classes: DataFrame, reach: int = REACH, min_shards: int = MIN_SHARDS, shard_classes: int = SHARD_CLASSES, sample: int = SAMPLE) -> DataFrame:
-    """classes(fp), distinct -> (a, b): for each component within a shard, its members and its least member."""
+def class_links(classes: DataFrame, reach: int = REACH, min_shards: int = MIN_SHARDS, shard_classes: int = SHARD_CLASSES, sample: int = SAMPLE, task_queries: int = TASK_QUERIES) -> DataFrame:
+    """classes(fp), distinct -> (a, b): for each component within a shard, its members and its least member.
+
+    A shard's own classes go to each of its tasks, which share the queries, so that a task stays bounded when queries go to many
+    shards.
+    """
     spark = classes.sparkSession
     n = classes.count()
     depth = max(1, math.ceil(math.log2(max(min_shards, n / shard_classes))))
     # At least 16 sampled classes for each shard; a router node is 16 bytes.
     picked = classes.select("fp").orderBy(F.xxhash64("fp"), "fp").limit(max(sample, 16 << depth)).toArrow().column("fp").to_numpy()
-    router = spark.sparkContext.broadcast(Router(picked.view(np.uint64), depth))
+    sampled = picked.view(np.uint64)
+    router = Router(sampled, depth)
+    asked = len(router.route(sampled, reach)[0]) / max(1, len(sampled)) * n / (1 << depth)
+    tasks, router = max(1, math.ceil(asked / task_queries)), spark.sparkContext.broadcast(router)
 
     def send(batches):
         for b in batches:
@@ -77,11 +86,15 @@ def class_links(classes: DataFrame, reach: int = REACH, min_shards: int = MIN_SH
             for i in range(0, len(fp), 1 << 16):
                 part = fp[i : i + (1 << 16)]
                 row, leaf, home = router.value.route(part.view(np.uint64), reach)
-                yield pa.RecordBatch.from_arrays([pa.array(leaf), pa.array(part[row]), pa.array(home)], names=["leaf", "fp", "home"])
+                mine = (part.view(np.uint64)[row] * np.uint64(0x9E3779B97F4A7C15) >> np.uint64(40)).astype(np.int64) % tasks
+                for t in range(tasks):
+                    asks = mine == t
+                    some = asks | home
+                    yield pa.RecordBatch.from_arrays([pa.array(leaf[some]), pa.array(np.full(int(some.sum()), t)), pa.array(part[row[some]]), pa.array(home[some]), pa.array(asks[some])], names=["leaf", "task", "fp", "home", "asks"])
 
     def solve(t: pa.Table) -> pa.Table:
-        fp, home = t.column("fp").to_numpy(), t.column("home").to_numpy()
-        points, queries = np.unique(fp[home]).view(np.uint64), np.unique(fp).view(np.uint64)
+        fp, home, asks = (t.column(c).to_numpy() for c in ("fp", "home", "asks"))
+        points, queries = np.unique(fp[home]).view(np.uint64), np.unique(fp[asks]).view(np.uint64)
         labels = link(points, queries, reach)
         values = np.concatenate([points, queries]).view(np.int64)
         root = np.full(len(values), np.iinfo(np.int64).max)
@@ -90,8 +103,8 @@ def class_links(classes: DataFrame, reach: int = REACH, min_shards: int = MIN_SH
         keep = values != b
         return pa.table({"a": values[keep], "b": b[keep]})
 
-    sent = classes.select("fp").mapInArrow(send, "leaf long, fp long, home boolean")
-    return sent.groupBy("leaf").applyInArrow(solve, "a long, b long")
+    sent = classes.select("fp").mapInArrow(send, "leaf long, task long, fp long, home boolean, asks boolean")
+    return sent.groupBy("leaf", "task").applyInArrow(solve, "a long, b long")
 
 
 def near_duplicates(docs: DataFrame, key: str = "doc_id", text: str = "text", reach: int = REACH, width: int = SHINGLE, row: str | None = None, **router) -> DataFrame:

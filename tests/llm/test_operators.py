@@ -233,6 +233,9 @@ def test_near_duplicates(docs, odd):
     want = brute_components(sorted(texts), fps)
     got = simhash.near_duplicates(docs).collect()
     assert all(r["fp"] & (1 << 64) - 1 == fps[r["doc_id"]] and r["component"] == want[r["doc_id"]] for r in got) and len(got) == len(texts)
+    # Shards asked by several tasks, and few or many shards, give the same.
+    for how in ({"task_queries": 3}, {"min_shards": 2, "shard_classes": 50, "task_queries": 20}):
+        assert {(r["doc_id"], r["component"]) for r in simhash.near_duplicates(docs, **how).collect()} == set(want.items())
     rows = simhash.near_duplicates(odd).collect()
     assert len(rows) == len(ODD) and {r["component"] for r in rows if r["doc_id"] in (1, 2, 4)} == {1}
     assert simhash.near_duplicates(odd.limit(0)).count() == 0
