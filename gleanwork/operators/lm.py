@@ -15,8 +15,8 @@ def reference_vocabulary(reference: DataFrame, least: int = 2, text: str = "text
     return reference.select(F.explode(ts.words(F.col(text))).alias("word")).groupBy("word").agg(F.count("*").alias("c")).filter(F.col("c") >= least).select("word")
 
 
-#: Words of a vocabulary that are broadcast as one map; a larger one is joined, word by word.
-BROADCAST_WORDS = 1 << 16
+#: Words of a vocabulary that go into the plan as a set; a larger one is joined, word by word.
+BROADCAST_WORDS = 1 << 13
 
 
 def known_words(df: DataFrame, vocabulary: DataFrame, key: str, text: str = "text") -> DataFrame:
@@ -25,10 +25,11 @@ def known_words(df: DataFrame, vocabulary: DataFrame, key: str, text: str = "tex
     A small vocabulary goes to the documents, which then stay in place. Beyond, words are joined to it and gathered again.
     """
     body = ts.hold(df, w=ts.words(F.col(text))).select(key, "w")
-    if vocabulary.limit(BROADCAST_WORDS + 1).count() <= BROADCAST_WORDS:
-        known = vocabulary.agg(F.map_from_entries(F.collect_list(F.struct("word", "word"))).alias("_known"))
-        joined = body.crossJoin(F.broadcast(known))
-        return joined.select(key, F.transform("w", lambda x: F.coalesce(F.try_element_at("_known", x), F.lit(UNKNOWN))).alias("w"))
+    listed = [r["word"] for r in vocabulary.limit(BROADCAST_WORDS + 1).collect()]
+    if 0 < len(listed) <= BROADCAST_WORDS:
+        # A set of literals is looked up by hash; a map would be searched from its start. Words hold letters only.
+        known = ", ".join(f"'{w}'" for w in sorted(listed))
+        return body.select(key, F.expr(f"transform(w, x -> if(x IN ({known}), x, '{UNKNOWN}'))").alias("w"))
     rows = body.select(key, F.posexplode("w").alias("pos", "x")).join(vocabulary, F.col("x") == F.col("word"), "left")
     parts = rows.groupBy(key).agg(F.array_sort(F.collect_list(F.struct("pos", F.coalesce("word", F.lit(UNKNOWN)).alias("token")))).alias("s"))
     return parts.select(key, F.transform("s", lambda s: s["token"]).alias("w"))
