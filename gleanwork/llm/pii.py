@@ -333,11 +333,11 @@ def find_pii(docs: DataFrame, model: Tagger | None = None, key: str = "doc_id",
 
 
 def op9_pii(spark, sf_dir: str) -> DataFrame:
-    """The contract's columns; n_secret and n_added count spans that only the tagger finds."""
+    """The contract's columns; n_secret and n_added count spans that only the tagger finds, n_spans all: 0 where a text has none."""
     found = find_pii(table(spark, sf_dir, "documents"))
     joined = lambda c: F.array_join(F.transform(c, lambda s: F.concat_ws(":", s["kind"], s["start"].cast("string"), s["end"].cast("string"))), ",")
     count = lambda c, kind: F.size(F.filter(c, lambda s: s["kind"] == kind)).cast("long").alias(f"n_{kind}")
-    counts = [*(count("base", kind) for kind in BASE), count("spans", "secret"), (F.size("spans") - F.size("base")).cast("long").alias("n_added")]
+    counts = [*(count("base", kind) for kind in BASE), count("spans", "secret"), (F.size("spans") - F.size("base")).cast("long").alias("n_added"), F.size("spans").cast("long").alias("n_spans")]
     return found.select("doc_id", *counts, F.sha2(joined("base").cast("binary"), 256).alias("base_sha256"), joined("spans").alias("spans"))
 
 

@@ -166,7 +166,7 @@ def test_op9(spark, sf):
     assert rows_of(got, "doc_id", "n_email", "n_ip", "n_card", "n_phone", "base_sha256") == sorted(want, key=str)
     for r in got:
         spans = [s for s in r["spans"].split(",") if s]
-        assert len(spans) == r["n_email"] + r["n_ip"] + r["n_card"] + r["n_phone"] + r["n_added"] and sum(s.startswith("secret:") for s in spans) == r["n_secret"]
+        assert len(spans) == r["n_spans"] == r["n_email"] + r["n_ip"] + r["n_card"] + r["n_phone"] + r["n_added"] and sum(s.startswith("secret:") for s in spans) == r["n_secret"]
 
 
 def test_linear_patterns_match_the_plain_ones():
