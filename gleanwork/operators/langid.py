@@ -12,8 +12,9 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame, functions as F, types as T
 
-from ..functions import textstats as ts
+from ..functions import chargrams, textstats as ts
 from ..profiles import FUNCTION_WORDS
+from .dedup import save
 
 THRESHOLD = 0.05
 BITS, TRAIN_ROWS = 18, 5_000
@@ -129,16 +130,76 @@ def apply(df: DataFrame, model: LangModel, key: str = "doc_id", text: str = "tex
     return df.select(key, F.col(text).cast("string")).mapInArrow(run, schema)
 
 
+#: Grams of a naive Bayes model that go to the texts; a larger model is joined.
+MODEL_GRAMS = 1 << 19
+
+
 def naive_bayes(train_df: DataFrame, df: DataFrame, label: str = "lang", key: str = "doc_id", text: str = "text", n: int = 2, k: float = 0.5) -> DataFrame:
-    """(key, predicted): multinomial naive Bayes over character n-grams, as joins with the gram table."""
-    def grams(d: DataFrame, *cols: str) -> DataFrame:
-        starts = F.sequence(F.lit(1), F.greatest(F.length("_t") - (n - 1), F.lit(1)))
-        return ts.hold(d, _t=F.lower(F.col(text))).select(*cols, F.explode(F.transform(starts, lambda i: F.substring(F.col("_t"), i, F.lit(n)))).alias("g"))
-
-    counts = grams(train_df.select(label, text), label).groupBy(label, "g").agg(F.count("*").alias("c"))
-    totals = counts.groupBy(label).agg(F.sum("c").alias("total"))
-    vocabulary = counts.select("g").distinct().count()
-    model = counts.select("g").distinct().crossJoin(F.broadcast(totals)).join(counts, [label, "g"], "left").select(label, "g", F.log((F.coalesce("c", F.lit(0)) + k) / (F.col("total") + k * vocabulary)).alias("lp"))
-    doc = grams(df.select(key, text), key).groupBy(key, "g").agg(F.count("*").alias("m"))
-    scored = doc.join(model, "g").groupBy(key, label).agg(F.sum(F.col("m") * F.col("lp")).alias("s"))
-    return scored.groupBy(key).agg(F.max_by(label, F.struct("s", label)).alias("predicted"))
+    """(key, predicted): multinomial naive Bayes over character n-grams of whole texts; a text without a known gram has no row.
+
+    The grams of the labelled texts are counted in an Arrow pass. The model goes to the texts, which stay in place; one of more
+    than MODEL_GRAMS grams is joined to the distinct grams of each text.
+    """
+    low = lambda d, *cols: d.select(*cols, F.lower(F.col(text)).alias("_t"))
+    counts = save(chargrams.gram_counts(low(train_df, label), n, label, "_t"), "grams")
+    by_gram = counts.groupBy("gram").agg(F.map_from_entries(F.collect_list(F.struct(label, "n"))).alias("c"))
+    totals = {r[0]: r[1] for r in counts.groupBy(label).agg(F.sum("n")).collect()}
+    labels, size = sorted(totals), by_gram.count()
+    weight = [F.log((F.coalesce(F.col("c")[F.lit(x)], F.lit(0)) + k) / (totals[x] + k * size)) for x in labels]
+    model = by_gram.select("gram", F.array(*weight).cast("array<double>").alias("lp"))
+    schema = T.StructType([df.schema[key], T.StructField("predicted", train_df.schema[label].dataType)])
+    if not labels:
+        return df.sparkSession.createDataFrame([], schema)
+    best = lambda s: max(range(len(labels)), key=lambda i: (s[i], labels[i]))
+    if size > MODEL_GRAMS:
+        return _joined_bayes(low(df, key), model, labels, key, n)
+    table = model.toArrow()
+    shared = df.sparkSession.sparkContext.broadcast((table.column("gram").to_pylist(), np.array(table.column("lp").to_pylist()).reshape(size, len(labels))))
+
+    def run(batches):
+        grams, weights = shared.value
+        at = {g: i for i, g in enumerate(grams)}
+        alphabet = np.unique(chargrams.codes_of(grams)) if any(grams) else np.zeros(0, np.uint32)
+        a = len(alphabet) + 1  # rank 0 is a character that the model does not know
+        dense = a**n <= 1 << 24
+        if dense:
+            rank = np.zeros(0x110000, np.int64)
+            rank[alphabet] = np.arange(1, a)
+            row = np.full(a**n, size, np.int32)
+            whole = [g for g in grams if len(g) == n]
+            r = rank[chargrams.codes_of(whole)].reshape(-1, n)
+            row[sum(r[:, j] * a ** (n - 1 - j) for j in range(n)) if whole else []] = [at[g] for g in whole]
+        for batch in batches:
+            ids, said = [], []
+            for i, t in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist()):
+                if t is None:
+                    continue
+                if dense and len(t) >= n:
+                    c = rank[chargrams.codes_of([t])]
+                    m = np.bincount(row[sum(c[j : len(c) - n + 1 + j] * a ** (n - 1 - j) for j in range(n))], minlength=size + 1)[:size]
+                    known, m = np.flatnonzero(m), m[m > 0]
+                else:
+                    held = {at[g]: x for g, x in chargrams.count_grams([t], n).items() if g in at}
+                    known, m = np.array(sorted(held), np.int64), np.array([held[x] for x in sorted(held)])
+                if len(known):
+                    ids.append(i)
+                    said.append(labels[best((m[:, None] * weights[known]).sum(axis=0))])
+            yield pa.RecordBatch.from_arrays([pa.array(ids, batch.schema.field(0).type), pa.array(said)], names=[key, "predicted"])
+
+    return low(df, key).mapInArrow(run, schema)
+
+
+def _joined_bayes(low: DataFrame, model: DataFrame, labels: list, key: str, n: int) -> DataFrame:
+    """naive_bayes with a model too large for one task: distinct grams of each text meet the model."""
+    schema = T.StructType([low.schema[key], T.StructField("gram", T.StringType()), T.StructField("m", T.LongType())])
+
+    def run(batches):
+        for batch in batches:
+            for i, t in zip(batch.column(0), batch.column(1).to_pylist()):
+                if t is not None:
+                    found = chargrams.count_grams([t], n)
+                    yield pa.RecordBatch.from_arrays([pa.array([i.as_py()] * len(found), batch.schema.field(0).type), pa.array(list(found), pa.string()), pa.array(list(found.values()), pa.int64())], names=[key, "gram", "m"])
+
+    sums = low.mapInArrow(run, schema).join(model, "gram").groupBy(key).agg(*[F.sum(F.col("m") * F.col("lp")[i]).alias(f"s{i}") for i in range(len(labels))])
+    ranked = F.array_max(F.array(*[F.struct(F.col(f"s{i}").alias("s"), F.lit(x).alias("label")) for i, x in enumerate(labels)]))
+    return sums.select(key, ranked["label"].alias("predicted"))
