@@ -2,12 +2,16 @@
 
 from __future__ import annotations
 
-from pyspark.sql import Column, DataFrame, functions as F
+import re
+
+import pyarrow as pa
+from pyspark.sql import Column, DataFrame, functions as F, types as T
 
 from ..functions import textstats as ts
 from ..profiles import FUNCTION_WORDS
 
 ALL_FUNCTION_WORDS = sorted({w for ws in FUNCTION_WORDS.values() for w in ws})
+STOPS, EMOJI = frozenset(ALL_FUNCTION_WORDS), re.compile("[\u2600-\u27bf\U0001f300-\U0001faff]")
 EMAIL = r"[A-Za-z0-9._%+-]+@[A-Za-z0-9-]+(\.[A-Za-z0-9-]+)+"
 FRAGMENT = r"</?[a-zA-Z][^<>]*>|&[a-z]+;"
 
@@ -42,15 +46,47 @@ def few_words(text: Column, least: int = 50) -> Column:
 
 
 def char_repetition(text: Column, n: int = 10) -> Column:
-    """Share of character n-grams at multiples of n that occurred before."""
-    starts = F.sequence(F.lit(1), F.greatest(F.length(text) - (n - 1), F.lit(1)), F.lit(n))
-    grams = F.transform(starts, lambda i: F.substring(text, i, F.lit(n)))
-    return ts.ratio(F.size(grams) - F.size(F.array_distinct(grams)), F.size(grams))
+    """Share of character n-grams at multiples of n that occurred before.
+
+    One scan cuts the text; a substring would be looked for from the text's start each time.
+    """
+    return repeated(char_chunks(text, n))
+
+
+def char_chunks(text: Column, n: int) -> Column:
+    """Characters 1 to n, n + 1 to 2n and so on, without a shorter rest; a shorter text is one."""
+    return F.when(F.length(text) >= n, F.regexp_extract_all(text, F.lit(f"(?s).{{{n}}}"), F.lit(0))).otherwise(F.array(text))
+
+
+def repeated(parts: Column) -> Column:
+    """Share of parts that occurred before."""
+    return ts.ratio(F.size(parts) - F.size(F.array_distinct(parts)), F.size(parts))
 
 
 def word_repetition(text: Column, n: int = 5) -> Column:
-    grams = ts.ngrams(ts.tokens(text), n)
-    return ts.ratio(F.size(grams) - F.size(F.array_distinct(grams)), F.size(grams))
+    return repeated(ts.ngrams(ts.tokens(text), n))
+
+
+def _roots(text: str) -> tuple[bool, float, float, float, float]:
+    share = lambda a, b: a / b if b else 0.0
+    tok, words = re.findall(r"[^ \n\t\r]+", text), re.findall(ts.WORD, text.lower())
+    ten = [text[i : i + 10] for i in range(0, max(len(text) - 9, 1), 10)]
+    five = max(len(tok) - 4, 0)
+    return len(tok) < 50, share(len(ten) - len(set(ten)), len(ten)), share(five - len(set(zip(*(tok[k:] for k in range(5))))), five), share(len(EMOJI.findall(text)), len(text)), share(sum(map(STOPS.__contains__, words)), len(words))
+
+
+def roots(df: DataFrame, key: str = "doc_id", text: str = "text") -> DataFrame:
+    """(key, few_words, char_repetition, word_repetition, emoji, function_words) of these rules, in one Arrow pass."""
+    names = ["few_words", "char_repetition", "word_repetition", "emoji", "function_words"]
+    kinds = [pa.bool_(), *[pa.float64()] * 4]
+    schema = T.StructType([df.schema[key], T.StructField(names[0], T.BooleanType()), *(T.StructField(c, T.DoubleType()) for c in names[1:])])
+
+    def run(batches):
+        for b in batches:
+            rows = [(None, 0.0, None, None, None) if t is None else _roots(t) for t in b.column(1).to_pylist()]
+            yield pa.RecordBatch.from_arrays([b.column(0), *(pa.array([r[i] for r in rows], kind) for i, kind in enumerate(kinds))], names=[key, *names])
+
+    return df.select(key, F.col(text).cast("string")).mapInArrow(run, schema)
 
 
 def emoji_share(text: Column) -> Column:
