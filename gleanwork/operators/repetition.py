@@ -6,8 +6,10 @@ them for a text at once, which is the form for large runs.
 
 from __future__ import annotations
 
+import re
 from collections import Counter
 
+import numpy as np
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame, functions as F, types as T
 from pyspark.sql.window import Window
@@ -30,12 +32,49 @@ def duplicate_chars(parts: Column, text: Column) -> Column:
     return ts.ratio(ts.total_length(parts) - ts.total_length(F.array_distinct(parts)), F.length(text))
 
 
+def _tokens(text: str) -> list[str]:
+    return [w for w in re.split(r"[ \n\t\r]+", text) if w]
+
+
+def _tops(words: list[str], sizes: tuple[int, ...]) -> dict[int, tuple[int, int]]:
+    """n: (count, length) of the most frequent n-gram; ties go to the longest. Sizes beyond the number of words are left out.
+
+    Words and then grams are numbered, so that counting sorts numbers.
+    """
+    ids: dict[str, int] = {}
+    word = np.fromiter((ids.setdefault(w, len(ids)) for w in words), np.int64, len(words))
+    ends = np.concatenate(([0], np.cumsum(np.fromiter(map(len, words), np.int64, len(words)))))
+    out, gram = {}, word
+    for n in range(1, min(max(sizes), len(words)) + 1):
+        if n > 1:
+            gram = gram[:-1] * len(ids) + word[n - 1 :]
+        _, at, gram, counts = np.unique(gram, return_index=True, return_inverse=True, return_counts=True)
+        if n in sizes:
+            at = at[counts == counts.max()]
+            out[n] = int(counts.max()), int((ends[at + n] - ends[at]).max()) + n - 1
+    return out
+
+
+def top_ngrams(df: DataFrame, sizes: tuple[int, ...], key: str = "doc_id", text: str = "text") -> DataFrame:
+    """(key, n, share): count times length of the most frequent word n-gram over all characters, for each n of sizes; texts with
+    fewer words have no row. One Arrow pass, no shuffle.
+    """
+    schema = T.StructType([df.schema[key], T.StructField("n", T.IntegerType()), T.StructField("share", T.DoubleType())])
+
+    def run(batches):
+        for b in batches:
+            rows = []
+            for i, t in enumerate(b.column(1).to_pylist()):
+                rows += [(i, n, count * length / len(t)) for n, (count, length) in _tops(_tokens(t or ""), sizes).items()]
+            at, n, share = zip(*rows) if rows else ((), (), ())
+            yield pa.RecordBatch.from_arrays([b.column(0).take(pa.array(at, pa.int64())), pa.array(n, pa.int32()), pa.array(share, pa.float64())], names=[key, "n", "share"])
+
+    return df.select(key, F.col(text).cast("string")).mapInArrow(run, schema)
+
+
 def top_ngram(df: DataFrame, n: int, key: str = "doc_id", text: str = "text") -> DataFrame:
-    """(key, share): count times length of the most frequent word n-gram over all characters; ties go to the longest."""
-    grams = df.select(key, F.length(text).alias("chars"), F.explode(ts.ngrams(ts.tokens(F.col(text)), n)).alias("gram"))
-    counts = grams.groupBy(key, "chars", "gram").agg(F.count("*").alias("n"))
-    best = counts.groupBy(key, "chars").agg(F.max(F.struct("n", F.length("gram").alias("len"))).alias("b"))
-    return best.select(key, ts.ratio(F.col("b.n") * F.col("b.len"), F.col("chars")).alias("share"))
+    """(key, share) of top_ngrams."""
+    return top_ngrams(df, (n,), key, text).select(key, "share")
 
 
 def duplicated_ngrams(df: DataFrame, n: int, key: str = "doc_id", text: str = "text") -> DataFrame:
@@ -54,19 +93,17 @@ def _of_text(text: str) -> list[float]:
     if not chars:
         return [0.0] * len(THRESHOLDS)
     lines = [x for x in text.split("\n") if x]
-    import re
-
     paragraphs = [x for x in re.split(r"\n\s*\n", text) if x]
     out = [(len(x) - len(set(x))) / len(x) if x else 0.0 for x in (lines, paragraphs)]
     out += [(sum(map(len, x)) - sum(map(len, set(x)))) / chars for x in (lines, paragraphs)]
-    words = [w for w in re.split(r"[ \n\t\r]+", text) if w]
+    words = _tokens(text)
     ends = [0]
     for w in words:
         ends.append(ends[-1] + len(w))
+    tops = _tops(words, (2, 3, 4))
     for n in (2, 3, 4):
-        counts = Counter(zip(*(words[i:] for i in range(n))))
-        best = max(((c, sum(map(len, g)) + n - 1) for g, c in counts.items()), default=(0, 0))
-        out.append(best[0] * best[1] / chars)
+        count, length = tops.get(n, (0, 0))
+        out.append(count * length / chars)
     for n in range(5, 11):
         seen, covered, upto = set(), 0, 0
         for i, g in enumerate(zip(*(words[k:] for k in range(n)))):
