@@ -6,7 +6,11 @@ to its units once, which is the only time that texts move.
 
 from __future__ import annotations
 
-from pyspark.sql import Column, DataFrame, Window, functions as F
+import hashlib
+import re
+
+import pyarrow as pa
+from pyspark.sql import Column, DataFrame, Window, functions as F, types as T
 
 from ..functions import textstats as ts
 from .hosts import url_key
@@ -42,15 +46,48 @@ def dedup_paragraphs(df: DataFrame, key: str = "doc_id", text: str = "text", kin
     return dedup_units(df, ts.paragraphs(F.col(text)), "\n\n", key, kind)
 
 
+def _sentences(text: str) -> list[str]:
+    """textstats.sentences of a text."""
+    return [s for x in re.findall(ts.SENTENCE, text) if (s := x.strip(" "))]
+
+
 def dedup_spans(df: DataFrame, width: int = 3, key: str = "doc_id", text: str = "text") -> DataFrame:
-    """(key, sentences, dropped): sentences inside a window of width sentences that occurred earlier in the corpus."""
-    parts = ts.sentences(F.col(text))
-    windows = df.select(key, F.posexplode(ts.ngrams(parts, width)).alias("pos", "unit"))
-    hashed = windows.select(key, "pos", unit_hash(F.col("unit")).alias("h"))
-    first = hashed.groupBy("h").agg(F.min(F.struct(key, "pos")).alias("at"))
-    again = hashed.join(first, "h").filter(F.struct(key, "pos") > F.col("at"))
-    covered = again.select(key, F.explode(F.sequence(F.col("pos"), F.col("pos") + width - 1)).alias("pos")).distinct().groupBy(key).agg(F.count("*").alias("dropped"))
-    return df.select(key, F.size(parts).alias("sentences")).join(covered, key, "left").select(key, "sentences", F.coalesce("dropped", F.lit(0)).alias("dropped"))
+    """(key, sentences, dropped): sentences inside a window of width sentences that occurred earlier in the corpus.
+
+    An Arrow pass gives 8 bytes of md5 for each window that differs inside its text. First occurrences come from a min per hash
+    with partial sums; a text's other windows are those that occurred before, so no window is joined to its copies and no
+    text moves.
+    """
+    body = df.select(key, F.col(text).cast("string").alias("_t"))
+    hashed = T.StructType([df.schema[key], T.StructField("pos", T.IntegerType()), T.StructField("h", T.LongType())])
+    counted = T.StructType([df.schema[key], T.StructField("sentences", T.IntegerType())])
+
+    def windows(batches):
+        for b in batches:
+            at, pos, h = [], [], []
+            for i, t in enumerate(b.column(1).to_pylist()):
+                s, seen = _sentences(t or ""), set()
+                for p in range(len(s) - width + 1):
+                    x = int.from_bytes(hashlib.md5(" ".join(s[p : p + width]).encode("utf-8", "surrogatepass"), usedforsecurity=False).digest()[:8], "big", signed=True)
+                    if x not in seen:
+                        seen.add(x)
+                        at.append(i)
+                        pos.append(p)
+                        h.append(x)
+            yield pa.RecordBatch.from_arrays([b.column(0).take(pa.array(at, pa.int64())), pa.array(pos, pa.int32()), pa.array(h, pa.int64())], names=[key, "pos", "h"])
+
+    def sizes(batches):
+        for b in batches:
+            yield pa.RecordBatch.from_arrays([b.column(0), pa.array([None if t is None else len(_sentences(t)) for t in b.column(1).to_pylist()], pa.int32())], names=[key, "sentences"])
+
+    first = body.mapInArrow(windows, hashed).groupBy("h").agg(F.min(key).alias("_at"), F.min_by("pos", key).alias("_pos"))
+    kept = first.groupBy(F.col("_at").alias(key)).agg(F.collect_list("_pos").alias("_kept"))
+    joined = body.mapInArrow(sizes, counted).join(kept, key, "left")
+    last = F.coalesce(F.col("sentences") - width, F.lit(-1))
+    every = F.when(last >= 0, F.sequence(F.lit(0), F.greatest(last, F.lit(0)))).otherwise(F.array().cast("array<int>"))
+    again = F.array_except(every, F.coalesce("_kept", F.array().cast("array<int>")))
+    covered = F.array_distinct(F.flatten(F.transform(again, lambda p: F.sequence(p, p + width - 1))))
+    return joined.select(key, "sentences", F.size(covered).cast("long").alias("dropped"))
 
 
 def dedup_urls(pages: DataFrame, url: str = "url", key: str = "page_id", canonical: bool = True) -> DataFrame:
